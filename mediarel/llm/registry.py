@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from mediarel.llm import mixing
+from mediarel.llm import mixing, quality
 
 _QUERIES = {
+    "op1_quality_rules": quality.op1_quality_rules,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
