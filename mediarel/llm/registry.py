@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from mediarel.llm import mixing, quality
+from mediarel.llm import language, mixing, quality
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
+    "op3_language_id": language.op3_language_id,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
