@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from mediarel.llm import language, mixing, quality
+from mediarel.llm import bpe, language, mixing, quality
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
     "op3_language_id": language.op3_language_id,
+    "op4_bpe_codec": bpe.op4_bpe_codec,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
