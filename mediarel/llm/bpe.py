@@ -78,6 +78,7 @@ class ForcedBoundaryBpe:
         self.fragments: dict[tuple[str, bool], tuple[int, ...]] = {}
         self.words: dict[str, tuple[int, ...]] = {}
         self.chunks: dict[str, tuple[bytes, str]] = {}
+        self.library_chunks: dict[str, bytes] = {}
         # Latin letters, digits and marks whose class no Unicode version moves; others go to the library.
         self.plain = re.compile(r"[\x00-\x1b\x20-ɏ‐-‧€]*\Z")
         self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_²³¹¼½¾]+|[\d²³¹¼½¾]|(?:[^\w\s]|_)+")
@@ -185,6 +186,25 @@ class ForcedBoundaryBpe:
         some, more = self._segment(text[at:])
         return b"".join([*ids, *some]), " ".join([*words, *more])
 
+    def library_ids(self, text: str) -> bytes:
+        """Ids by the library: it encodes every chunk between white space that the cache lacks, all of a text in one call."""
+        if not text:
+            return b""
+        if not self.plain.match(text) or "İ" in text or self.special_pattern is not None and self.special_pattern.search(text):
+            return array("I", self.library().encode(text, add_special_tokens=False).ids).tobytes()
+        if not text.isascii():
+            text = unicodedata.normalize("NFC", text)
+        chunks = text.lower().split()
+        known = self.library_chunks
+        missing = [c for c in dict.fromkeys(chunks) if c not in known]
+        if not missing:
+            return b"".join(map(known.__getitem__, chunks))
+        made = {c: array("I", e.ids).tobytes() for c, e in zip(missing, self.library().encode_batch_fast(missing, add_special_tokens=False), strict=True)}
+        found = b"".join([known.get(c) or made[c] for c in chunks])
+        if len(known) < 2 * CACHE_ENTRIES:
+            known.update((c, i) for c, i in made.items() if len(c) <= CACHED_CHARS)
+        return found
+
     def decode(self, ids: bytes) -> str:
         """Text of ids, special tokens included."""
         return " ".join([self.tokens[i] for i in array("I", ids)])

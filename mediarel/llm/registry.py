@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from mediarel.llm import bpe, language, mixing, quality
+from mediarel.llm import bpe, language, mixing, quality, token_files
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
     "op3_language_id": language.op3_language_id,
     "op4_bpe_codec": bpe.op4_bpe_codec,
+    "op5_token_files": token_files.op5_token_files,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
