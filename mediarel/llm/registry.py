@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from mediarel.llm import bpe, language, mixing, quality, token_files
+from mediarel.llm import bpe, language, mixing, near_dup, quality, token_files
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
+    "op2_near_duplicates": near_dup.op2_near_duplicates,
     "op3_language_id": language.op3_language_id,
     "op4_bpe_codec": bpe.op4_bpe_codec,
     "op5_token_files": token_files.op5_token_files,
