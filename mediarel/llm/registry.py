@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from mediarel.llm import bpe, language, mixing, near_dup, quality, token_files
+from mediarel.llm import bpe, language, mixing, near_dup, neighbours, quality, token_files
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
@@ -10,10 +10,11 @@ _QUERIES = {
     "op3_language_id": language.op3_language_id,
     "op4_bpe_codec": bpe.op4_bpe_codec,
     "op5_token_files": token_files.op5_token_files,
+    "op7_nearest_neighbours": neighbours.op7_nearest_neighbours,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
-_ORACLE_SQL = {"op10_mix_sources": mixing.OP10_SQL}
+_ORACLE_SQL = {"op7_nearest_neighbours": neighbours.OP7_SQL, "op10_mix_sources": mixing.OP10_SQL}
 
 
 def queries() -> dict:
