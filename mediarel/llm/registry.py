@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from mediarel.llm import bpe, language, mixing, near_dup, neighbours, quality, token_files
+from mediarel.llm import bpe, html_text, language, mixing, near_dup, neighbours, quality, token_files
 
 _QUERIES = {
     "op1_quality_rules": quality.op1_quality_rules,
@@ -11,6 +11,7 @@ _QUERIES = {
     "op4_bpe_codec": bpe.op4_bpe_codec,
     "op5_token_files": token_files.op5_token_files,
     "op7_nearest_neighbours": neighbours.op7_nearest_neighbours,
+    "op8_html_text": html_text.op8_html_text,
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
