@@ -63,6 +63,22 @@ class _WordHashes(dict):
 _words = _WordHashes()
 
 
+def word_hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(_words.__getitem__, words), dtype=np.uint64, count=len(words))
+
+
+def rolled(hashes: np.ndarray, width: int) -> np.ndarray:
+    """Hash of every run of ``width`` words, in order."""
+    n = len(hashes) - width + 1
+    with np.errstate(over="ignore"):
+        total = np.full(max(n, 0), width, dtype=np.uint64)
+        for k in range(width if n > 0 else 0):
+            total = (total ^ hashes[k : n + k]) * _A
+            total = (total ^ (total >> np.uint64(32))) * _B
+        total ^= total >> np.uint64(29)
+        return (total * _C).view(np.int64)
+
+
 def shingle_set(text: str | None, width: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the word shingles of a text; fewer words than ``width`` make one."""
     # bytes.lower and bytes.split know A to Z and the separators 9 to 13 and 32 only.
@@ -71,14 +87,7 @@ def shingle_set(text: str | None, width: int) -> np.ndarray:
         return np.empty(0, dtype=np.int64)
     if len(words) < width:
         return np.array([xxhash.xxh3_64_intdigest(b" ".join(words), seed=len(words))], dtype=np.uint64).view(np.int64)
-    hashes = np.fromiter(map(_words.__getitem__, words), dtype=np.uint64, count=len(words))
-    with np.errstate(over="ignore"):
-        total = np.full(len(words) - width + 1, width, dtype=np.uint64)
-        for k in range(width):
-            total = (total ^ hashes[k : len(words) - width + 1 + k]) * _A
-            total = (total ^ (total >> np.uint64(32))) * _B
-        total ^= total >> np.uint64(29)
-    return np.unique((total * _C).view(np.int64))
+    return np.unique(rolled(word_hashes(words), width))
 
 
 def prefix_length(n: int, per_cent: int) -> int:
