@@ -26,9 +26,11 @@ from collections.abc import Iterator
 from functools import lru_cache
 
 import pandas as pd
+import pyarrow as pa
 from pyspark import SparkFiles
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from mediarel.llm import common
 
@@ -241,6 +243,25 @@ def with_tokens(docs: DataFrame, path: str | None = None, text: Column | None =
     return kept.withColumn("_bpe", run(F.col("text") if text is None else text)).select(*kept.columns, "_bpe.token_ids", "_bpe.decoded")
 
 
+def encoded(docs: DataFrame, path: str | None = None, columns: tuple[str, ...] = ("doc_id", "lang", "source"), rows: int = 512) -> DataFrame:
+    """``columns`` with ``n_tokens`` and ``token_ids`` (binary), handed on in small blocks of rows."""
+    name = distribute(docs.sparkSession, path or vocabulary_path())
+    kept = docs.select(*columns, "text")
+    fields = [f for f in kept.schema.fields if f.name in columns]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bpe = encoder(name)
+        for batch in batches:
+            for at in range(0, batch.num_rows, rows):
+                part = batch.slice(at, rows)
+                ids = [bpe.encode(t)[0] for t in part.column(part.num_columns - 1).to_pylist()]
+                made = [pa.array([len(i) // 4 for i in ids], pa.int64()), pa.array(ids, pa.binary())]
+                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=[*columns, "n_tokens", "token_ids"])
+
+    schema = T.StructType([*fields, T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.BinaryType())])
+    return kept.mapInArrow(run, schema)
+
+
 def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256: digests are taken where the ids are made, so no ids travel."""
     name = distribute(docs.sparkSession, path or vocabulary_path())
