@@ -81,9 +81,10 @@ class PushdownWindows:
     after_ms: int
     reconcile: Callable[[DataFrame, list[str], str], DataFrame]
     keys: tuple[str, ...] = ("source_id",)
+    #: Key columns that candidates carry, beside those of the source: several instructions over one relation.
+    lift: tuple[str, ...] = ()
     duration: str = "duration_ms"
     restore_sources: bool = True
-    barrier: bool = False
 
     def apply(self, plan: ir.Node) -> ir.Node:
         def wanted(n: ir.Node) -> bool:
@@ -97,14 +98,16 @@ class PushdownWindows:
         source, keys = n.child, list(self.keys)
         found = ir.Unnest(ir.Map(source, self.cand, "_c", self.cand_on), "_c")
         low, high = pad_window(F.col("_c.start_ms"), F.col("_c.end_ms"), self.before_ms, self.after_ms, F.col(self.duration))
+        for name in self.lift:
+            found = ir.Map(found, F.col(f"_c.{name}"), name)
         padded = ir.Map(ir.Map(ir.Stage(found, "candidates"), low, "start_ms"), high, "end_ms")
         real = ir.Filter(padded, F.col("start_ms") < F.col("end_ms"))
-        windows = ir.Stage(ir.Resolve(real, lambda df, within: intervals.coalesce(df, within), self.keys), "windows")
+        windows = ir.Stage(ir.Resolve(real, lambda df, within: intervals.coalesce(df, within), (*self.keys, *self.lift)), "windows")
         media = ir.Resolve(source, lambda df, within: df.select(*within, n.on), self.keys)
         clips = ir.Stage(ir.View(ir.Join(windows, media, keys), n.on, "start_ms", "end_ms", "_clip"), "clips")
         watched = ir.Stage(ir.Map(clips, n.fn, n.into, "_clip"), "watched")
-        settled = ir.Reduce(watched, self.keys, lambda df, by: self.reconcile(df, by, n.into))
-        if not self.restore_sources:
+        settled = ir.Reduce(watched, (*self.keys, *self.lift), lambda df, by: self.reconcile(df, by, n.into))
+        if self.lift or not self.restore_sources:
             return settled
         joined = ir.Join(source, settled, keys, how="left")
         empty = F.coalesce(F.col(n.into), F.array().cast(n.fn.output)) if n.fn.output.startswith("array") else F.col(n.into)
