@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("points", "spans")
+MODULES = ("points", "spans", "crosscam")
 
 
 def _gather(name: str) -> dict:
