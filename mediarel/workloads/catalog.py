@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-MODULES = ("points", "spans", "crosscam", "algebra")
+MODULES = ("points", "spans", "crosscam", "algebra", "relational")
 
 
 def _gather(name: str) -> dict:
