@@ -7,8 +7,8 @@ so lists stay short except inside large families of near copies.
 
 Lists never become all pairs. Each list compares its members with one leader (the member nearest to
 the family's common part); what ends in one component needs no more comparison. Members left over
-are compared with a few hubs of the family, and only then with each other, under the triangle inequality of the
-Jaccard distance, which spares pairs whose distances to the leader differ too much.
+are compared with a few hubs of the family; those still outside its main component meet the whole family in blocks, where exact
+intersections are matrix products and only one link a document and component leaves a block.
 
 Candidates pass an estimate from the union sketch of their smallest hashes. It drops a pair
 only 0.45 under the threshold, eight standard errors with 32 values (a chance below 1e-9 for a true link).
@@ -41,10 +41,14 @@ HOT_SHARE = 1 / 20_000
 #: Values moved to the end at most (the most frequent): bounds what is broadcast, not what is found.
 HOT_MOST = 1_000_000
 #: Values that are counted at once while looking for frequent ones.
-COUNT_BLOCK = 2_000_000
+COUNT_BLOCK = 4_000_000
 #: Ids that may be broadcast to pick texts for exact comparison; beyond it they are joined by shuffle.
 BROADCAST_IDS = 500_000
 HUBS = 8
+#: Sides of the grid in which members outside their family's main component meet the family, and columns of one matrix product.
+OUTSIDE_BLOCK = 128
+FAMILY_BLOCK = 2048
+TILE = 256
 _WORDS_HELD = 400_000
 
 _A, _B, _C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -94,6 +98,11 @@ def prefix_length(n: int, per_cent: int) -> int:
     return n + (-per_cent * n) // 100 + 1
 
 
+def crowd(n_docs: int) -> int:
+    """Documents from which on a value counts as frequent. The share bounds how many values can."""
+    return max(HOT_LEAST, int(n_docs * HOT_SHARE))
+
+
 def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
     """Values in many documents, most frequent first up to ``HOT_MOST``; only the order of values depends on it."""
 
@@ -121,7 +130,7 @@ def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
         if held:
             yield flush()
 
-    least = max(HOT_LEAST, int(n_docs * HOT_SHARE))
+    least = crowd(n_docs)
     found = docs.select("text").mapInPandas(count, "v long, times long").groupBy("v").agg(F.sum("times").alias("times"))
     rows = found.where(F.col("times") > least).orderBy(F.desc("times"), "v").limit(HOT_MOST).select("v").toPandas()
     return np.sort(rows["v"].to_numpy(dtype=np.int64))
@@ -172,7 +181,20 @@ def _estimated(pairs: DataFrame, sketched: DataFrame, per_cent: int) -> DataFram
 
 def _verified(pairs: DataFrame, docs: DataFrame, width: int, per_cent: int) -> DataFrame:
     """a, b, distance, linked: exact, on full sets made from the texts of the documents in question."""
-    ids = common.materialise(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), "dup-ids")
+    ids = common.materialise(pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct(), "dup-ids")
+    known = _sets_of(ids, docs, width)
+    side = lambda s: known.select(F.col("doc_id").alias(s), F.col("values").alias(f"v_{s}"))
+    common_values = F.size(F.array_intersect("v_a", "v_b")).cast("long")
+    joined = pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b")
+    measured = joined.select("a", "b", common_values.alias("same"), (F.size("v_a") + F.size("v_b") - common_values).cast("long").alias("whole"))
+    found = measured.select("a", "b", (1 - F.col("same") / F.col("whole")).alias("distance"), (100 * F.col("same") >= per_cent * F.col("whole")).alias("linked"))
+    found = common.materialise(found, "dup-links")
+    common.discard(ids, known)
+    return found
+
+
+def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
+    """(doc_id, values): full shingle sets of the documents in question, from their texts."""
     picked = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
     def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -180,13 +202,53 @@ def _verified(pairs: DataFrame, docs: DataFrame, width: int, per_cent: int) -> D
             yield pd.DataFrame({"doc_id": batch["doc_id"], "values": [shingle_set(t, width) for t in batch["text"]]})
 
     known = docs.select("doc_id", "text").join(picked, "doc_id", "left_semi").mapInPandas(sets, "doc_id long, values array<long>")
-    known = common.materialise(known, "dup-sets")
-    side = lambda s: known.select(F.col("doc_id").alias(s), F.col("values").alias(f"v_{s}"))
-    common_values = F.size(F.array_intersect("v_a", "v_b")).cast("long")
-    joined = pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b")
-    measured = joined.select("a", "b", common_values.alias("same"), (F.size("v_a") + F.size("v_b") - common_values).cast("long").alias("whole"))
-    found = measured.select("a", "b", (1 - F.col("same") / F.col("whole")).alias("distance"), (100 * F.col("same") >= per_cent * F.col("whole")).alias("linked"))
-    found = common.materialise(found, "dup-links")
+    return common.materialise(known, "dup-sets")
+
+
+def _links_of_block(left: pd.DataFrame, right: pd.DataFrame, per_cent: int) -> list[tuple[int, int]]:
+    """For each left document one linked right document of every component but its own, by exact intersections."""
+    sizes = left["values"].map(len).to_numpy()
+    flat, owner = np.concatenate(left["values"].to_list()), np.repeat(np.arange(len(left)), sizes)
+    found: dict[tuple[int, int], tuple[int, int]] = {}
+    for start in range(0, len(right), TILE):
+        part = right.iloc[start : start + TILE]
+        part_sizes = part["values"].map(len).to_numpy()
+        part_flat, part_owner = np.concatenate(part["values"].to_list()), np.repeat(np.arange(len(part)), part_sizes)
+        shared = np.intersect1d(flat, part_flat)
+        a, b = (np.zeros((len(x), len(shared)), dtype=np.float32) for x in (left, part))
+        for table, values, rows in ((a, flat, owner), (b, part_flat, part_owner)):
+            inside = np.isin(values, shared)
+            table[rows[inside], np.searchsorted(shared, values[inside])] = 1
+        same = (a @ b.T).astype(np.int64)
+        linked = 100 * same >= per_cent * (sizes[:, None] + part_sizes[None, :] - same)
+        for i, j in zip(*np.nonzero(linked), strict=True):
+            x, y = left.iloc[i], part.iloc[j]
+            if x["c"] != y["c"]:
+                found.setdefault((int(x["id"]), int(y["c"])), (int(x["id"]), int(y["id"])))
+    return list(found.values())
+
+
+def _met_in_blocks(outside: DataFrame, anyone: DataFrame, docs: DataFrame, width: int, per_cent: int) -> DataFrame:
+    """Links (a, b) between members outside their family's main component and all members of the family.
+
+    Blocks of the two sides meet in a grid, exact sets in hand; a cell returns one link a document and component, never its pairs.
+    """
+    ids = common.materialise(anyone.select(F.col("y").alias("doc_id")).distinct(), "dup-ids")
+    known = _sets_of(ids, docs, width)
+    grid = outside.groupBy("a").agg(F.ceil(F.count("*") / OUTSIDE_BLOCK).cast("int").alias("rows")).join(anyone.groupBy("a").agg(F.ceil(F.count("*") / FAMILY_BLOCK).cast("int").alias("columns")), "a")
+    place = lambda c, n: F.pmod(F.xxhash64(c), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    left = outside.join(grid, "a").select("a", place("x", "rows").alias("row"), every("columns").alias("column"), F.col("x").alias("id"), F.col("c_x").alias("c"))
+    right = anyone.join(grid, "a").select("a", place("y", "columns").alias("column"), every("rows").alias("row"), F.col("y").alias("id"), F.col("c_y").alias("c"))
+    # Fresh names on either side: both come from the same tables, which a cogroup could not tell apart.
+    fields = ("a", "row", "column", "id", "c", "values")
+    with_sets = lambda df: df.join(known.withColumnRenamed("doc_id", "id"), "id").select(*[F.col(f).alias(f) for f in fields]).groupBy("a", "row", "column")
+
+    def meet(l: pd.DataFrame, r: pd.DataFrame) -> pd.DataFrame:  # noqa: E741
+        links = _links_of_block(l, r, per_cent) if len(l) and len(r) else []
+        return pd.DataFrame([(min(p), max(p)) for p in links], columns=["a", "b"])
+
+    found = common.materialise(with_sets(left).cogroup(with_sets(right)).applyInPandas(meet, "a long, b long").distinct(), "dup-met")
     common.discard(ids, known)
     return found
 
@@ -217,16 +279,26 @@ def _labelled(rows: DataFrame, labels: DataFrame, column: str, into: str) -> Dat
 def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
     docs = docs.select("doc_id", "text")
-    hot = frequent_values(docs, width, docs.count())
-    base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
-
-    filled = base.where("n > 0")
-    classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
-    copies = common.materialise(filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep").select("doc_id", "rep").distinct(), "dup-copies")
-    reps = filled.join(copies.select("doc_id"), "doc_id", "left_anti")
+    n_docs = docs.count()
+    hot = frequent_values(docs, width, n_docs)
+    # Counting in blocks misses values that are thinly spread; exact lists show them, and they move to the end too.
+    for last in (False, True):
+        base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
+        filled = base.where("n > 0")
+        classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
+        copies = common.materialise(filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep").select("doc_id", "rep").distinct(), "dup-copies")
+        reps = filled.join(copies.select("doc_id"), "doc_id", "left_anti")
+        rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
+        if last:
+            break
+        listed = rows.where("place < cool").groupBy("v").agg(F.count("*").alias("held")).where(F.col("held") > crowd(n_docs))
+        crowded = listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v").toPandas()["v"].to_numpy(dtype=np.int64)
+        if not len(crowded):
+            break
+        hot = np.union1d(hot, crowded)
+        common.discard(base, copies)
     sketched = reps.select("doc_id", "n", "sketch")
 
-    rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
     # Frequent values may have very long lists: their leaders come from a pre-aggregated minimum.
     hot_rows = rows.where("place >= cool").select("v", "doc_id", "n", (F.col("cool") / F.col("n")).alias("own"))
     leaders = hot_rows.groupBy("v").agg(F.min(F.struct("own", "doc_id", "n")).alias("lead"), F.count("*").alias("held")).where("held > 1")
@@ -256,26 +328,25 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     labels = components(linked)
 
     # What is left: pairs of one list in different components.
-    known = family.select("a", "b", "n_b", "distance")
+    known = family.select("a", "b")
     known = common.materialise(_labelled(known, labels, "b", "c"), "dup-family")
     mixed = known.groupBy("a").agg(F.min("c").alias("c1"), F.max("c").alias("c2")).where("c1 != c2").select("a", F.col("c1"))
     open_families = known.join(mixed, "a")
     # The component with the leader is the large one; pairs need one member outside it.
     main = labels.select(F.col("node").alias("a"), F.col("component").alias("main"))
     open_families = open_families.join(main, "a", "left").withColumn("main", F.coalesce("main", "a"))
-    outside = open_families.where("c != main").select("a", F.col("b").alias("x"), F.col("n_b").alias("n_x"), F.col("distance").alias("d_x"), F.col("c").alias("c_x"))
-    anyone = open_families.select("a", F.col("b").alias("y"), F.col("n_b").alias("n_y"), F.col("distance").alias("d_y"), F.col("c").alias("c_y"))
-    near = F.abs(F.col("d_x") - F.col("d_y")) <= spread
-    hot_rest = outside.join(anyone, "a").where((F.col("c_x") != F.col("c_y")) & F.coalesce(near, F.lit(True)) & _sizes_fit(F.col("n_x"), F.col("n_y"), per_cent)).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    outside = open_families.where("c != main").select("a", F.col("b").alias("x"), F.col("c").alias("c_x"))
+    anyone = open_families.select("a", F.col("b").alias("y"), F.col("c").alias("c_y"))
+    met = _met_in_blocks(outside, anyone, docs, width, per_cent)
     lists = _labelled(cool_rows.where("held > 2").select("v", "doc_id", "n", "lead"), labels, "doc_id", "c")
     split = lists.groupBy("v").agg(F.min("c").alias("c1"), F.max("c").alias("c2")).where("c1 != c2").select("v")
     lists = lists.join(split, "v", "left_semi").where("doc_id != lead").select("v", "doc_id", "n", "c")
     left, right = (lists.select("v", F.col("doc_id").alias(s), F.col("n").alias(f"n_{s}"), F.col("c").alias(f"c_{s}")) for s in ("a", "b"))
     cool_rest = left.join(right, "v").where((F.col("a") < F.col("b")) & (F.col("c_a") != F.col("c_b")) & _sizes_fit(F.col("n_a"), F.col("n_b"), per_cent)).select("a", "b")
     done = first.select("a", "b").unionByName(second.select("a", "b"))
-    rest = hot_rest.unionByName(cool_rest).distinct().join(done, ["a", "b"], "left_anti")
+    rest = cool_rest.distinct().join(done, ["a", "b"], "left_anti")
     third = _verified(common.materialise(_estimated(rest, sketched, per_cent), "dup-pairs"), docs, width, per_cent)
-    labels = components(linked.unionByName(third.where("linked").select("a", "b")))
+    labels = components(linked.unionByName(third.where("linked").select("a", "b")).unionByName(met))
 
     classed = docs.select("doc_id").join(copies, "doc_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     placed = _labelled(classed, labels, "rep", "component_id")
