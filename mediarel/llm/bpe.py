@@ -34,8 +34,10 @@ from pyspark.sql import types as T
 
 from mediarel.llm import common
 
-#: Entries that the cache of a worker process holds at most, on each level.
-CACHE_ENTRIES = 300_000
+#: Entries that the caches of a worker process hold at most: fragments and words, chunks, chunks of the library.
+CACHE_ENTRIES = 100_000
+CHUNK_ENTRIES = 200_000
+LIBRARY_ENTRIES = 600_000
 #: A chunk longer than this is not cached.
 CACHED_CHARS = 64
 
@@ -152,7 +154,7 @@ class ForcedBoundaryBpe:
     def _chunk(self, chunk: str, plain: bool) -> tuple[bytes, str]:
         ids = [i for w in self.pretokens(chunk, plain) for i in self.word_ids(w)]
         made = (array("I", ids).tobytes(), " ".join([self.tokens[i] for i in ids]))
-        if plain and len(chunk) <= CACHED_CHARS and len(self.chunks) < CACHE_ENTRIES:
+        if plain and len(chunk) <= CACHED_CHARS and len(self.chunks) < CHUNK_ENTRIES:
             self.chunks[chunk] = made
         return made
 
@@ -203,7 +205,7 @@ class ForcedBoundaryBpe:
             return b"".join(map(known.__getitem__, chunks))
         made = {c: array("I", e.ids).tobytes() for c, e in zip(missing, self.library().encode_batch_fast(missing, add_special_tokens=False), strict=True)}
         found = b"".join([known.get(c) or made[c] for c in chunks])
-        if len(known) < 2 * CACHE_ENTRIES:
+        if len(known) < LIBRARY_ENTRIES:
             known.update((c, i) for c, i in made.items() if len(c) <= CACHED_CHARS)
         return found
 

@@ -49,7 +49,7 @@ HUBS = 8
 OUTSIDE_BLOCK = 128
 FAMILY_BLOCK = 2048
 TILE = 256
-_WORDS_HELD = 400_000
+_WORDS_HELD = 200_000
 
 _A, _B, _C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
 
