@@ -17,7 +17,7 @@ _QUERIES = {
     "op10_mix_sources": mixing.op10_mix_sources,
 }
 
-_ORACLE_SQL = {"op7_nearest_neighbours": neighbours.OP7_SQL, "op10_mix_sources": mixing.OP10_SQL}
+_ORACLE_SQL = {"op2_near_duplicates": near_dup.OP2_SQL, "op7_nearest_neighbours": neighbours.OP7_SQL, "op10_mix_sources": mixing.OP10_SQL}
 
 
 def queries() -> dict:
