@@ -50,13 +50,30 @@ def match_spans(pred: DataFrame, ref: DataFrame, theta: float, keys: Sequence[st
     return settle(scored, list(keys), "start_ms", "r_start_ms", "score")
 
 
-def curve(matches: dict[float, DataFrame], n_pred: DataFrame, n_ref: DataFrame) -> DataFrame:
-    """threshold, tp, n_pred, n_ref, precision, recall, f1; ``n_*`` are one-row counts."""
-    found = None
-    for threshold, df in matches.items():
-        row = df.agg(F.count("*").alias("tp")).withColumn("threshold", F.lit(float(threshold)))
-        found = row if found is None else found.unionByName(row)
-    return prf(found.crossJoin(F.broadcast(n_pred)).crossJoin(F.broadcast(n_ref)))
+def _curve(scored: DataFrame, preds: DataFrame, ref: DataFrame, thresholds: Sequence[float], keys: Sequence[str], left: str, right: str) -> DataFrame:
+    """One-to-one matches of all plans and thresholds in one pass: both are part of the group. ``scored`` has plan, threshold, keys, left, right, score."""
+    won = matching.greedy(scored.select("plan", "threshold", *keys, left, right, "score"), ["plan", "threshold", *keys], left, right, "score")
+    hits = won.groupBy("plan", "threshold").agg(F.count("*").alias("tp"))
+    each = preds.groupBy("plan").agg(F.count("*").alias("n_pred")).withColumn("threshold", F.explode(F.array(*[F.lit(float(t)) for t in thresholds])))
+    told = each.join(hits, ["plan", "threshold"], "left").withColumn("tp", F.coalesce("tp", F.lit(0).cast("bigint")))
+    return prf(told.crossJoin(F.broadcast(counted(ref, "n_ref")))).select("plan", "threshold", "tp", "n_pred", "n_ref", "precision", "recall", "f1")
+
+
+def point_curve(preds: DataFrame, ref: DataFrame, tolerances: Sequence[int], keys: Sequence[str] = ("source_id",)) -> DataFrame:
+    """plan, threshold, tp, n_pred, n_ref, precision, recall, f1 of predictions (plan, keys, ts_ms) at every tolerance."""
+    p, r = preds.select("plan", *keys, F.col("ts_ms").alias("pred_ms")), ref.select(*keys, F.col("ts_ms").alias("ref_ms"))
+    pairs = intervals.band_join(p, r, keys, max(tolerances), "pred_ms", "ref_ms").withColumn("score", -F.abs(F.col("pred_ms") - F.col("ref_ms")).cast("double"))
+    scored = pairs.withColumn("threshold", F.explode(F.array(*[F.lit(float(t)) for t in tolerances]))).where(-F.col("score") <= F.col("threshold"))
+    return _curve(scored, preds, ref, tolerances, keys, "pred_ms", "ref_ms")
+
+
+def span_curve(preds: DataFrame, ref: DataFrame, thetas: Sequence[float], keys: Sequence[str] = ("source_id",), bucket_ms: int = 60_000) -> DataFrame:
+    """The same for spans (plan, keys, start_ms, end_ms) at every temporal IoU."""
+    r = ref.select(*keys, F.col("start_ms").alias("r_start_ms"), F.col("end_ms").alias("r_end_ms"))
+    pairs = intervals.overlap_join(preds.select("plan", *keys, "start_ms", "end_ms"), r, keys, bucket_ms)
+    pairs = pairs.withColumn("score", tiou(F.col("start_ms"), F.col("end_ms"), F.col("r_start_ms"), F.col("r_end_ms")))
+    scored = pairs.withColumn("threshold", F.explode(F.array(*[F.lit(float(t)) for t in thetas]))).where(F.col("score") >= F.col("threshold"))
+    return _curve(scored, preds, ref, thetas, keys, "start_ms", "r_start_ms")
 
 
 def counted(df: DataFrame, name: str) -> DataFrame:

@@ -13,6 +13,7 @@ from mediarel import measures
 from mediarel.functions.semantic import SemanticFn
 from mediarel.operators import intervals, reconcile
 from mediarel.plans.frame import MediaFrame
+from mediarel.plans.lower import barrier
 from mediarel.plans.rules import PushdownWindows, SubstituteModality
 from mediarel.schema import CANDIDATE, EVENT, media_ref
 
@@ -159,15 +160,18 @@ def reconcile_points(spark, sf_dir):
     return reconcile.chained_points(shaped, ["source_id"], MERGE).select("source_id", F.col("start_ms").alias("ts_ms"))
 
 
-def m_point_curve(spark, sf_dir):
-    ref = reference(spark, sf_dir)
+def _predictions(spark, sf_dir, plans) -> DataFrame:
+    """Predictions of several plans, evaluated once: models are paid by the call."""
     found = None
-    for name, plan in (("direct", point_direct), ("narration", point_narration), ("narrow", point_narrow)):
-        pred = plan(spark, sf_dir)
-        matches = {t: measures.match_points(pred, ref, t) for t in TOLERANCES}
-        rows = measures.curve(matches, measures.counted(pred, "n_pred"), measures.counted(ref, "n_ref")).withColumn("plan", F.lit(name))
+    for name, plan in plans:
+        rows = plan(spark, sf_dir).withColumn("plan", F.lit(name))
         found = rows if found is None else found.unionByName(rows)
-    return found.select("plan", F.col("threshold").cast("bigint").alias("threshold"), "tp", "n_pred", "n_ref", "precision", "recall", "f1")
+    return barrier(found)
+
+
+def m_point_curve(spark, sf_dir):
+    preds = _predictions(spark, sf_dir, (("direct", point_direct), ("narration", point_narration), ("narrow", point_narrow)))
+    return measures.point_curve(preds, reference(spark, sf_dir), TOLERANCES).withColumn("threshold", F.col("threshold").cast("bigint"))
 
 
 def m_time_error(spark, sf_dir):

@@ -15,7 +15,7 @@ from mediarel.operators import intervals, media, reconcile
 from mediarel.plans.frame import MediaFrame
 from mediarel.plans.rules import PushdownWindows, SubstituteModality
 from mediarel.schema import media_ref
-from mediarel.workloads.points import islands_sql
+from mediarel.workloads.points import _predictions, islands_sql
 
 PAD = 10_000
 THETAS = (0.1, 0.3, 0.5)
@@ -122,14 +122,8 @@ def span_reference(spark, sf_dir):
 
 
 def m_span_curve(spark, sf_dir):
-    ref = reference(spark, sf_dir)
-    found = None
-    for name, plan in (("direct", span_direct), ("narration", span_narration), ("narrow", span_narrow)):
-        pred = plan(spark, sf_dir)
-        matches = {t: measures.match_spans(pred, ref, t, keys=("source_id", "task_id")) for t in THETAS}
-        rows = measures.curve(matches, measures.counted(pred, "n_pred"), measures.counted(ref, "n_ref")).withColumn("plan", F.lit(name))
-        found = rows if found is None else found.unionByName(rows)
-    return found.select("plan", "threshold", "tp", "n_pred", "n_ref", "precision", "recall", "f1")
+    preds = _predictions(spark, sf_dir, (("direct", span_direct), ("narration", span_narration), ("narrow", span_narrow)))
+    return measures.span_curve(preds, reference(spark, sf_dir), THETAS, ("source_id", "task_id"))
 
 
 def m_candidate_recall_span(spark, sf_dir):
