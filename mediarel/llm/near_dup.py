@@ -49,7 +49,7 @@ HUBS = 8
 OUTSIDE_BLOCK = 128
 FAMILY_BLOCK = 2048
 TILE = 256
-_WORDS_HELD = 200_000
+_WORDS_HELD = 400_000
 
 _A, _B, _C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
 
@@ -276,27 +276,37 @@ def _labelled(rows: DataFrame, labels: DataFrame, column: str, into: str) -> Dat
     return rows.join(named, column, "left").withColumn(into, F.coalesce(F.col(into), F.col(column)))
 
 
+def _classes(base: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(copies: doc_id and rep of all but one document of each class of equal sets, the rows of the others)."""
+    filled = base.where("n > 0")
+    classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
+    copies = common.materialise(filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep").select("doc_id", "rep").distinct(), "dup-copies")
+    return copies, filled.join(copies.select("doc_id"), "doc_id", "left_anti")
+
+
 def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
     docs = docs.select("doc_id", "text")
     n_docs = docs.count()
     hot = frequent_values(docs, width, n_docs)
+    base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
+    copies, reps = _classes(base)
     # Counting in blocks misses values that are thinly spread; exact lists show them, and they move to the end too.
-    for last in (False, True):
-        base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
-        filled = base.where("n > 0")
-        classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
-        copies = common.materialise(filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep").select("doc_id", "rep").distinct(), "dup-copies")
-        reps = filled.join(copies.select("doc_id"), "doc_id", "left_anti")
-        rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
-        if last:
-            break
-        listed = rows.where("place < cool").groupBy("v").agg(F.count("*").alias("held")).where(F.col("held") > crowd(n_docs))
-        crowded = listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v").toPandas()["v"].to_numpy(dtype=np.int64)
-        if not len(crowded):
-            break
-        hot = np.union1d(hot, crowded)
-        common.discard(base, copies)
+    # Only documents with such a value in their prefix get another prefix by that.
+    cool = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v")).where("place < cool").select("doc_id", "v")
+    listed = cool.groupBy("v").agg(F.count("*").alias("held")).where(F.col("held") > crowd(n_docs))
+    crowded = common.materialise(listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v"), "dup-crowded")
+    values = crowded.toPandas()["v"].to_numpy(dtype=np.int64)
+    if len(values):
+        touched = base.select("doc_id", F.explode("prefix").alias("v")).join(F.broadcast(crowded), "v", "left_semi").select("doc_id").distinct()
+        touched = common.materialise(touched, "dup-touched")
+        again = sketches(docs.join(touched, "doc_id", "left_semi"), width, per_cent, np.union1d(hot, values))
+        renewed = common.materialise(base.join(touched, "doc_id", "left_anti").unionByName(again), "dup-sketches")
+        common.discard(base, copies, touched)
+        base = renewed
+        copies, reps = _classes(base)
+    common.discard(crowded)
+    rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
     sketched = reps.select("doc_id", "n", "sketch")
 
     # Frequent values may have very long lists: their leaders come from a pre-aggregated minimum.
