@@ -228,6 +228,7 @@ def distribute(spark: SparkSession, path: str) -> str:
 
 
 def encoder(name: str) -> ForcedBoundaryBpe:
+    common.claim("bpe", _loaded.cache_clear)
     return _loaded(name)
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -72,6 +73,17 @@ def _remove_at_exit(spark: SparkSession, path: str) -> None:
     atexit.register(remove)
 
 
+_held: dict[str, Callable[[], object]] = {}
+
+
+def claim(name: str, clear: Callable[[], object] | None = None) -> None:
+    """In a worker process: what other operators have cached goes, so that reused workers hold one operator's cache at a time."""
+    for other in [k for k in _held if k != name]:
+        _held.pop(other)()
+    if clear is not None:
+        _held[name] = clear
+
+
 def empty_if_null(text: Column) -> Column:
     return F.coalesce(text, F.lit(""))
 

@@ -192,6 +192,7 @@ def predict(docs: DataFrame, model: BitmaskFilter, orders: tuple[int, ...] = NGR
 
     @F.pandas_udf(T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
     def classify(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        common.claim("language")
         languages, slices, probes, rates = sent.value
         local = BitmaskFilter(languages, slices, probes)
         for batch in batches:

@@ -107,6 +107,7 @@ def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
     """Values in many documents, most frequent first up to ``HOT_MOST``; only the order of values depends on it."""
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        common.claim("words", _words.clear)
         held: list[np.ndarray] = []
         seen: set[int] = set()
         size = 0
@@ -141,6 +142,7 @@ def sketches(docs: DataFrame, width: int, per_cent: int, hot: np.ndarray) -> Dat
     sent = docs.sparkSession.sparkContext.broadcast(hot)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        common.claim("words", _words.clear)
         frequent = sent.value
         for batch in batches:
             rows = []
@@ -198,6 +200,7 @@ def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
     picked = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
     def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        common.claim("words", _words.clear)
         for batch in batches:
             yield pd.DataFrame({"doc_id": batch["doc_id"], "values": [shingle_set(t, width) for t in batch["text"]]})
 

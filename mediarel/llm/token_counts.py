@@ -142,6 +142,7 @@ def with_token_counts(docs: DataFrame, path: str | None = None, text: Column | N
 
     @F.pandas_udf("n_words long, n_tokens long")
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        common.claim("counts", _loaded.cache_clear)
         counter = _loaded(name)
         for batch in batches:
             texts = [t if isinstance(t, str) else None for t in batch]
