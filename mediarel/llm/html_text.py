@@ -4,7 +4,8 @@ Markup is stripped into lines, one for each block element. A line's weight is it
 and a block is a sliding window of lines. The main text starts where the window sum surges over a threshold
 and ends where it dives; everything between is kept, so short paragraphs inside stay. What surrounds an article by its
 nature (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) is
-taken out with its element first. Where a page marks its article, the surge and the dive
+taken out with its element first. A class or id does so only for an element that holds no main part, not the largest article and little of
+the page's unlinked text (comments may be longer), and never for headings and paragraphs. Where a page marks its article, the surge and the dive
 move out to the marks, so a heading or a last short line is not lost.
 
 Defined cases: null or empty html gives an empty text; a page without a surge keeps the lines of its
@@ -42,27 +43,44 @@ ENDS_PARAGRAPH = frozenset(
     "address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section table ul".split()
 )
 SAME_ENDS = frozenset("li dt dd tr td th option".split())
-#: Words in a class, id or role that mark what surrounds an article.
-MARKED = re.compile(
-    r"(?:^|[\s_-])(?:ad|ads|advert|advertisement|advertising|adverts|banner|sponsor|sponsored|promo|promotion|cookie|cookies|consent|gdpr|notice|notices|alert|popup|modal|overlay|"
-    r"nav|navbar|navigation|menu|breadcrumb|breadcrumbs|sidebar|side|aside|widget|footer|foot|masthead|topbar|toolbar|share|sharing|social|related|recommended|recommendations|"
-    r"newsletter|subscribe|subscription|signup|login|comment|comments|comment-list|disqus|replies|respond|reader-comments|pagination|pager|skip-link|complementary|contentinfo|search)(?=$|[\s_-])",
-    re.I,
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+#: Elements that no class or id takes out.
+KEPT = frozenset(("html", "body", "p", *ARTICLE)) | HEADINGS
+#: Words in a class, id or role that mark what surrounds an article, alone or in any compound.
+STRONG = frozenset(
+    "ads advert advertisement adverts banner sponsored promo gdpr popup modal navbar breadcrumb breadcrumbs sidebar widget footer masthead topbar toolbar "
+    "sharing recommended recommendations newsletter subscribe signup disqus pagination pager complementary contentinfo".split()
 )
-#: The same for a header, which inside an article holds its heading.
-MARKED_HEADER = re.compile(r"(?:^|[\s_-])header(?=$|[\s_-])", re.I)
+#: Words that also name subjects: they mark alone and in compounds of nothing but such words and ``FURNITURE``.
+WEAK = frozenset(
+    "ad advertising sponsor promotion cookie cookies consent notice notices alert overlay nav navigation menu side aside foot share social related "
+    "subscription login comment comments replies respond reader skip search".split()
+)
+#: A header holds a heading inside an article, so this word marks only outside.
+HEADER = "header"
+FURNITURE = frozenset(
+    "area article articles bar block body bottom box btn button buttons col column container content entry fixed form global group holder icon icons inner items item label left "
+    "link links list main mobile module outer page panel pane post posts primary region right row secondary section site slot sticky stories thread title top unit wrap wrapper".split()
+)
+#: Before a word these tell of a page that has such a part, not of the part.
+WRAPPER = frozenset("has have with without no not hide hides show shows is layout page".split())
+#: Comments may be longer than the article itself.
+COMMENTS = frozenset("comment comments replies respond disqus".split())
+#: The largest share of a page's unlinked text that a class or id may take out; what cannot surge is little beside other text.
+LITTLE = 1 / 3
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s>/]*)((?:[^>\"']++|\"[^\"]*\"|'[^']*'|[\"'])*+)(?:>|\Z)", re.S)
-_NAMED = re.compile(r"\b(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-_HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|$)|aria-hidden\s*=\s*[\"']?true|display\s*:\s*none", re.I)
+_ATTRIBUTE = re.compile(r"([^\s=\"'/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"']+)))?")
+_NOT_SHOWN = re.compile(r"(?:^|[;\s])display\s*:\s*none", re.I)
 
 
 @dataclass
 class Line:
-    """A block of text, how much of it stands in links, and the number of the outermost article around it (0: none)."""
+    """A block of text, how much of it stands in links, and the number of the outermost mark of either kind around it (0: none)."""
 
     text: str
     linked: int
     article: int
+    main: int
 
     @property
     def weight(self) -> int:
@@ -74,54 +92,75 @@ class _Open:
     name: str
     dropped: bool
     article: int
+    main: int
+    region: int
+
+
+@dataclass
+class _Region:
+    """An element that may surround an article: it goes unless it holds the article or much of the text."""
+
+    parent: int
+    comments: bool
+    weight: int = 0
+    holds: bool = False
 
 
-def _surrounds(name: str, attributes: str, inside_article: bool) -> bool:
-    if name in SURROUND:
-        return True
-    if name == "header":
-        return not inside_article
-    if not attributes or name in ("html", "body"):
-        return False
-    if _HIDDEN.search(attributes):
-        return True
-    values = [next(v for v in m.groups() if v is not None) for m in _NAMED.finditer(attributes)]
-    return any(MARKED.search(v) or not inside_article and MARKED_HEADER.search(v) for v in values)
+def _attributes(text: str) -> dict[str, str]:
+    found: dict[str, str] = {}
+    for m in _ATTRIBUTE.finditer(text):
+        found.setdefault(m[1].lower(), html.unescape(next((v for v in m.groups()[1:] if v is not None), "")))
+    return found
+
+
+def _hidden(found: dict[str, str]) -> bool:
+    return (
+        found.get("hidden", "until-found").strip().lower() != "until-found"
+        or found.get("aria-hidden", "").strip().lower() == "true"
+        or bool(_NOT_SHOWN.search(found.get("style", "")))
+    )
+
+
+def marks_surroundings(value: str, inside_article: bool = False) -> set[str]:
+    """Words of a class, id or role value by which it marks what surrounds an article."""
+    marking: set[str] = set()
+    for token in value.lower().split():
+        parts = [x for x in re.split(r"[_-]+", token) if x and not x.isdigit()]
+        weak = {x for x in parts if x in WEAK or x == HEADER and not inside_article}
+        strong = {x for k, x in enumerate(parts) if x in STRONG and not (k and parts[k - 1] in WRAPPER)}
+        if weak and all(x in weak or x in STRONG or x in FURNITURE for x in parts):
+            marking |= weak
+        marking |= strong
+    return marking
 
 
 class _Reader:
-    """One pass over the tags of a page."""
+    """One pass over the tags of a page. ``lenient`` trusts nothing but scripts and the like, menus and footers by their name alone."""
 
-    def __init__(self, marks: str, lenient: bool):
-        self.marks, self.lenient = marks, lenient
-        self.found: list[Line] = []
-        self.pieces: list[str] = []
-        self.linked = self.articles = 0
+    def __init__(self, lenient: bool):
+        self.lenient = lenient
+        self.found: list[tuple[list[tuple[str, bool, int]], int, int]] = []
+        self.pieces: list[tuple[str, bool, int]] = []
+        self.count = dict.fromkeys(ARTICLE, 0)
         self.in_link = False
         self.opened: list[_Open] = []
         self.held: Counter[str] = Counter()
+        self.regions: list[_Region] = [_Region(0, False)]
+        self.around: dict[tuple[str, int], int] = {}
 
     @property
-    def dropped(self) -> bool:
-        return bool(self.opened) and self.opened[-1].dropped
-
-    @property
-    def article(self) -> int:
-        return self.opened[-1].article if self.opened else 0
+    def last(self) -> _Open:
+        return self.opened[-1] if self.opened else _Open("", False, 0, 0, 0)
 
     def end_line(self) -> None:
         if self.pieces:
-            text = " ".join(html.unescape("".join(self.pieces)).split())
-            if text:
-                self.found.append(Line(text, min(self.linked, len(text)), self.article))
-            self.pieces.clear()
-        self.linked = 0
+            self.found.append((self.pieces, self.last.article, self.last.main))
+            self.pieces = []
 
     def add(self, text: str) -> None:
-        if not self.dropped:
-            self.pieces.append(text)
-            if self.in_link:
-                self.linked += len(text)
+        last = self.last
+        if not last.dropped:
+            self.pieces.append((text, self.in_link, last.region))
 
     def close(self, name: str) -> None:
         """End the innermost open element of this name and what is open inside it."""
@@ -132,6 +171,15 @@ class _Reader:
                 if last.name == name:
                     break
 
+    def surrounds(self, name: str, attributes: str, inside_article: bool) -> tuple[bool, bool, set[str]]:
+        """(goes in any case, goes if it is small, words that mark it)."""
+        named = name in SURROUND or name == "header" and not inside_article
+        found = _attributes(attributes) if attributes and not attributes.isspace() and name not in ("html", "body") else {}
+        hidden = _hidden(found)
+        words = set().union(*(marks_surroundings(found.get(k, ""), inside_article) for k in ("class", "id", "role")))
+        sure = name in RAW or name in ("nav", "footer", "head")
+        return sure or not self.lenient and (named or hidden), bool(named or hidden or words and name not in KEPT), words
+
     def start(self, name: str, attributes: str) -> None:
         if name in ENDS_PARAGRAPH:
             self.close("p")
@@ -139,20 +187,61 @@ class _Reader:
             self.close(name)
         if name in VOID or attributes.rstrip().endswith("/"):
             return
-        around = self.article
-        gone = self.dropped or (name in RAW or name in ("nav", "footer") if self.lenient else _surrounds(name, attributes, bool(around)))
-        if name in INLINE and not gone:
+        last = self.last
+        article, main, region = last.article, last.main, last.region
+        gone, small, words = (True, False, set()) if last.dropped else self.surrounds(name, attributes, bool(article or main))
+        if not gone and small:
+            self.regions.append(_Region(region, bool(words & COMMENTS)))
+            region = len(self.regions) - 1
+        elif name in INLINE and not gone:
             return
-        if name == self.marks and not around and not gone:
-            self.articles += 1
-            around = self.articles
-        self.opened.append(_Open(name, gone, around))
+        if name in ARTICLE and not gone and not (article if name == "article" else main):
+            self.count[name] += 1
+            article, main = (self.count[name], main) if name == "article" else (article, self.count[name])
+            # A marked article, as a comment or a teaser may be, keeps nothing around it.
+            if not words:
+                self.around[name, self.count[name]] = region
+        self.opened.append(_Open(name, gone, article, main, region))
         self.held[name] += 1
 
+    def gone(self) -> set[int]:
+        """Regions that go: not the one with the largest article, a main part or much of the unlinked text."""
+        total, marked = 0, Counter()
+        for pieces, article, main in self.found:
+            for text, linked, region in pieces:
+                weight = 0 if linked else len("".join(text.split()))
+                total += weight
+                marked["article", article] += weight
+                marked["main", main] += weight
+                while region:
+                    self.regions[region].weight += weight
+                    region = self.regions[region].parent
+        largest = max((k for k in self.around if k[0] == "article"), key=lambda k: marked[k], default=None)
+        for mark, region in self.around.items():
+            while region and (mark == largest or mark[0] == "main"):
+                self.regions[region].holds = True
+                region = self.regions[region].parent
+        out: set[int] = set()
+        for k, r in enumerate(self.regions[1:], 1):
+            outside = total - r.weight
+            small = r.weight <= LITTLE * total or r.weight < SURGE and outside or r.comments and outside >= SURGE
+            if r.parent in out or small and not r.holds:
+                out.add(k)
+        return out
+
+    def lines(self) -> list[Line]:
+        gone, made = self.gone(), []
+        for pieces, article, main in self.found:
+            pieces = [x for x in pieces if x[2] not in gone]
+            text = " ".join(html.unescape("".join(x[0] for x in pieces)).split())
+            if text:
+                made.append(Line(text, min(sum(len(x[0]) for x in pieces if x[1]), len(text)), article, main))
+        return made
+
 
-def lines(page: str, marks: str = "article", lenient: bool = False) -> list[Line]:
-    """Text lines of a page in order, without what surrounds an article. ``lenient`` trusts no class, form or sidebar."""
-    reader, at = _Reader(marks, lenient), 0
+def lines(page: str, lenient: bool = False) -> list[Line]:
+    """Text lines of a page in order, without what surrounds an article. ``lenient`` takes out forms, sidebars and hidden parts only if they are small."""
+    reader, at = _Reader(lenient), 0
     while at < len(page):
         m = _TOKEN.search(page, at)
         if m is None:
@@ -179,7 +268,7 @@ def lines(page: str, marks: str = "article", lenient: bool = False) -> list[Line
                 reader.in_link = True
             reader.start(name, m[3])
     reader.end_line()
-    return reader.found
+    return reader.lines()
 
 
 def main_span(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> tuple[int, int]:
@@ -204,26 +293,40 @@ def main_span(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> t
     return start, end
 
 
+def _marked(found: list[Line]) -> str | None:
+    """Text of the articles, else of the main parts, that the span meets; surge and dive move out to their marks."""
+    start, end = main_span([x.weight for x in found])
+    span = found[start:end]
+    for own in (lambda x: x.article, lambda x: x.main):
+        chosen = {own(x) for x in span if own(x)}
+        if chosen:
+            return " ".join(x.text for x in found if own(x) in chosen)
+    return None
+
+
+def _spanned(found: list[Line]) -> str:
+    start, end = main_span([x.weight for x in found])
+    # Short lines next to the span belong to it unless they are mostly links.
+    while start and 2 * found[start - 1].weight >= len(found[start - 1].text):
+        start -= 1
+    while end < len(found) and 2 * found[end].weight >= len(found[end].text):
+        end += 1
+    return " ".join(x.text for x in found[start:end])
+
+
 def extract(page: str | None) -> str:
     """Main text of a page: its blocks joined by one space."""
     if not page:
         return ""
-    found: list[Line] = []
-    for marks, lenient in (("article", False), ("main", False), ("article", True)):
-        found = lines(page, marks, lenient)
-        start, end = main_span([x.weight for x in found])
-        chosen = {x.article for x in found[start:end] if x.article}
-        if chosen:
-            # Surge and dive move out to the marks of the articles that they meet.
-            return " ".join(x.text for x in found if x.article in chosen)
-        if found and (marks == "main" or lenient):
-            # Short lines next to the span belong to it unless they are mostly links.
-            while start and 2 * found[start - 1].weight >= len(found[start - 1].text):
-                start -= 1
-            while end < len(found) and 2 * found[end].weight >= len(found[end].text):
-                end += 1
-            return " ".join(x.text for x in found[start:end])
-    return ""
+    strict = lines(page)
+    text = _marked(strict)
+    if text is None:
+        # An article may stand in a form or another part that seems to surround one.
+        lenient = lines(page, lenient=True)
+        text = _marked(lenient)
+        if text is None:
+            text = _spanned(strict or lenient)
+    return text
 
 
 def with_main_text(pages: DataFrame, column: str = "html") -> DataFrame:

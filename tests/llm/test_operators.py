@@ -247,6 +247,32 @@ def test_pages(spark):
     assert html_text.main_span([0, 0, 100, 5, 0, 90, 0]) == (2, 6) and html_text.main_span([]) == (0, 0)
 
 
+STORY = "The story goes on with many words that nobody has told before in this way. " * 3
+
+
+@pytest.mark.parametrize("names", ["layout has-sidebar", "page with-sidebar", "search-results", "market-share", "side-by-side", "sidebar", "related"])
+def test_wrappers_named_like_surroundings_keep_their_article(names):
+    stray = "<p>A line that stands outside of the wrapper and is long enough to surge all alone on this page.</p>"
+    page = f"""{stray}<div class="{names}"><div class="sidebar"><p>A box.</p></div><article><h1 class="related">Head</h1><p>{STORY}</p><section id="related-work"><h2>Related work</h2><p>Others.</p></section>
+    <form>Search here</form><div class="ad">Buy</div><div class="comments"><p>{STORY}{STORY}{STORY}</p></div></article></div>{stray}"""
+    assert html_text.extract(page) == f"Head {STORY}Related work Others."
+
+
+def test_surroundings_by_name_and_attributes():
+    for names in ("sidebar", "td-sidebar-left", "comments-area", "cookie-notice", "site-footer", "share_buttons", "ad-slot-3"):
+        assert html_text.extract(f"<div><p>{STORY}</p></div><div class='{names}'><p>Beside it.</p></div><p>{STORY}</p>") == f"{STORY}{STORY}".strip()
+    for shown in ("title='a hidden gem'", "class='not hidden at all'", "data-x='display:none'", "hidden=until-found"):
+        assert "Gem." in html_text.extract(f"<article><p>{STORY}</p><div {shown}>Gem.</div></article>")
+    for not_shown in ("hidden", "HIDDEN=''", "aria-hidden=true", "style='color:red; display : none'"):
+        assert "Gem." not in html_text.extract(f"<article><p>{STORY}</p><div {not_shown}>Gem.</div></article>")
+
+
+def test_article_in_a_form_beside_stray_text():
+    stray = "<p>A line that stands outside of the form and is long enough to surge all alone on this page.</p>"
+    page = f"{stray}<form><article><h1>Head</h1><p>{STORY}{STORY}</p><aside>Box</aside><form>Send</form></article></form>"
+    assert html_text.extract(page) == f"Head {STORY}{STORY}".strip()
+
+
 # 9 licenses ----------------------------------------------------------------------------------------------------------
 
 
