@@ -5,8 +5,9 @@ and a block is a sliding window of lines. The main text starts where the window
 and ends where it dives; everything between is kept, so short paragraphs inside stay. What surrounds an article by its
 nature (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) is
 taken out with its element first. A class or id does so only for an element that holds no main part, not the largest article and little of
-the page's unlinked text (comments may be longer), and never for headings and paragraphs. Where a page marks its article, the surge and the dive
-move out to the marks, so a heading or a last short line is not lost.
+the page's unlinked text (comments may be longer), and never for headings and paragraphs. Where a page marks its article and
+that holds most of the span's weight, the surge and the dive move out to the marks, so a heading or a last short line is not lost;
+marks of lighter parts, such as teasers, decide nothing.
 
 Defined cases: null or empty html gives an empty text; a page without a surge keeps the lines of its
 heaviest window; unclosed elements end where their parent ends, and an unclosed tag or comment ends the
@@ -294,12 +295,12 @@ def main_span(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> t
 
 
 def _marked(found: list[Line]) -> str | None:
-    """Text of the articles, else of the main parts, that the span meets; surge and dive move out to their marks."""
+    """Text of the articles, else of the main parts, that hold most of the span's weight; surge and dive move out to their marks."""
     start, end = main_span([x.weight for x in found])
     span = found[start:end]
     for own in (lambda x: x.article, lambda x: x.main):
         chosen = {own(x) for x in span if own(x)}
-        if chosen:
+        if chosen and 2 * sum(x.weight for x in span if own(x)) > sum(x.weight for x in span):
             return " ".join(x.text for x in found if own(x) in chosen)
     return None
 

@@ -273,6 +273,14 @@ def test_article_in_a_form_beside_stray_text():
     assert html_text.extract(page) == f"Head {STORY}{STORY}".strip()
 
 
+@pytest.mark.parametrize("tag", ["main", "div"])
+def test_article_teasers_beside_a_main_text(tag):
+    teaser = "<article><h2>Teaser</h2><p>It rained again in the town, more than it did in all the weeks before, so read on.</p></article>"
+    got = html_text.extract(f"<body><{tag}><h1>Head</h1><p>{STORY}</p><p>{STORY}</p><p>{STORY}</p></{tag}>{teaser}{teaser}</body>")
+    assert got.startswith(f"Head {STORY}{STORY}{STORY}".strip())
+    assert tag == "div" or got == f"Head {STORY}{STORY}{STORY}".strip()
+
+
 # 9 licenses ----------------------------------------------------------------------------------------------------------
 
 
