@@ -72,6 +72,7 @@ LITTLE = 1 / 3
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s>/]*)((?:[^>\"']++|\"[^\"]*\"|'[^']*'|[\"'])*+)(?:>|\Z)", re.S)
 _ATTRIBUTE = re.compile(r"([^\s=\"'/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"']+)))?")
 _NOT_SHOWN = re.compile(r"(?:^|[;\s])display\s*:\s*none", re.I)
+_UNQUOTED_SLASH = re.compile(r"=\s*[^\s\"'>]*/\Z")
 
 
 @dataclass
@@ -261,6 +262,8 @@ def lines(page: str, lenient: bool = False) -> list[Line]:
                 reader.in_link = False
             reader.close(name)
         elif name in RAW:
+            if name in ("svg", "math") and m[3].endswith("/") and not _UNQUOTED_SLASH.search(m[3]):
+                continue
             # Their content is no markup: it goes on to their own end tag.
             ends = re.compile(rf"</{re.escape(name)}(?=[\s/>]|\Z)[^>]*(?:>|\Z)", re.I).search(page, at)
             at = ends.end() if ends else len(page)

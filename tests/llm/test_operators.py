@@ -281,6 +281,13 @@ def test_article_teasers_beside_a_main_text(tag):
     assert tag == "div" or got == f"Head {STORY}{STORY}{STORY}".strip()
 
 
+def test_self_closed_drawings_end_at_once():
+    for drawing in ("<svg/>", "<svg class='x' />", "<math a=\"b\"/>"):
+        assert html_text.extract(f"<p>{STORY}</p>{drawing}<p>{STORY}</p>") == f"{STORY}{STORY}".strip()
+        assert html_text.extract(f"<p>{STORY}</p>{drawing}<p>Kept.</p><svg>gone</svg><p>{STORY}</p>") == f"{STORY}Kept. {STORY}".strip()
+    assert html_text.extract(f"<p>{STORY}</p><svg href=a/>gone</svg>") == STORY.strip()
+
+
 # 9 licenses ----------------------------------------------------------------------------------------------------------
 
 
