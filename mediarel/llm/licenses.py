@@ -1,22 +1,24 @@
-"""License scan: MinHash bands over overlapping text windows, then exact shingle containment.
+"""License scan: exact shingle containment of full license texts, notices and tags in overlapping text windows.
 
-Every template has a window length (its own, in classes of 20 % for long ones) and a shingle width of five
-words (all its words, if fewer). Windows of that length slide over a text in steps of an eighth;
-their minima under ``BANDS * ROWS`` hash functions come from sliding minima over the shingle hashes. A window
-retrieves the templates that share a band with it. With 2 rows and 12 bands a window of similarity 0.6
-collides with probability 0.995 and an aligned copy always. Retrieved windows are widened by a quarter and verified:
-the share of the template's shingles inside must be 0.8 or more.
+Every template has a shingle width of five words (all its words, if fewer). A text's shingles are looked up among those of all templates,
+so no window of enough containment is missed; hits of one template within its own length widened by half
+are a match if they hold 0.8 or more of its shingles (all, under twelve words). The words that tell a license from its relatives, such as the version,
+must stand inside the match, and it must not hold the name of a relative. A license has several wordings: notices made
+of ``LEADS`` and ``NAMES``, tags, longer notices and full texts (``license_texts``).
 
 Defined cases: null and blank texts match nothing; words are compared without case (A to Z) and punctuation;
-overlapping matches of one template are one span; a template may match several times; without templates the result
-is empty; repeated rows match alike; other columns are left out.
+overlapping matches of one license are one span; a license may match several times; without templates the result
+is empty; a license named without its version is not reported where versions differ; repeated rows match alike; other columns are left out.
 """
 
 from __future__ import annotations
 
-from bisect import bisect_right
-from collections.abc import Iterator, Mapping
+import re
+from collections import Counter
+from collections.abc import Iterator, Mapping, Sequence
 from dataclasses import dataclass
+from importlib import resources
+from math import ceil
 
 import numpy as np
 import pandas as pd
@@ -26,12 +28,17 @@ from pyspark.sql import functions as F
 from mediarel.llm import common, near_dup
 
 WIDTH = 5
-BANDS, ROWS = 12, 2
 CONTAINMENT = 0.8
-#: Words of a text that one numpy block holds; blocks overlap by the longest window.
+#: Words of a text that one numpy block holds; blocks overlap by a shingle.
 BLOCK_WORDS = 1 << 18
-
-#: Well-known short notices of public licenses and reservations.
+#: Slots of the filter before the exact lookup.
+SLOTS = 1 << 20
+#: Templates of up to so many words are notices, whose names and versions must all be in the match.
+NOTICE_WORDS = 120
+#: Shorter templates must be whole: without its lead the name of a license is a mere mention.
+WHOLE_WORDS = 12
+
+#: Well-known short notices of public licenses and reservations, each under its own name.
 TEMPLATES = {
     "apache-2.0": "Licensed under the Apache License, Version 2.0.",
     "mit": "Released under the MIT License.",
@@ -51,6 +58,165 @@ TEMPLATES = {
     "cc-by-4.0": "This work is licensed under a Creative Commons Attribution 4.0 International License.",
     "cc-by-sa-4.0": "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.",
 }
+#: What stands before the name of a license in a notice.
+LEADS = ("under", "under the", "under a", "under the terms of", "under the terms of the", "under the terms and conditions of the", "under terms of the", "subject to the", "subject to the terms of the", "governed by the", "covered by the", "licensed as", "license:")
+
+
+def _gnu(kind: str, short: str, *versions: str) -> tuple[str, ...]:
+    numbers = [w for v in versions for w in (f"version {v}", f"v{v}", v)]
+    long = [f"{g}{kind} General Public License {n}" for g in ("GNU ", "") for n in numbers] + [f"version {v} of the GNU {kind} General Public License" for v in versions]
+    return tuple(long + [f"{g}{short}{x}" for g in ("GNU ", "") for v in versions for x in (f" version {v}", f" v{v}", f"v{v}", f" {v}", f"-{v}")])
+
+
+def _cc(words: str, code: str, *versions: str) -> tuple[str, ...]:
+    kinds = ("International License", "International", "Unported License", "License", "")
+    return tuple(
+        [f"Creative Commons {w} {v} {k}" for w in dict.fromkeys((words, words.replace("-", " "))) for v in versions for k in kinds]
+        + [f"{c}{sep}{code} {v}" for c in ("CC", "Creative Commons") for sep in (" ", "-") for v in versions]
+        + [f"CC {code.replace('-', ' ')} {v}" for v in versions]
+    )
+
+
+#: Names of a license as notices write them.
+NAMES = {
+    "0bsd": ("Zero-Clause BSD License", "BSD Zero Clause License"),
+    "agpl-3.0": _gnu("Affero", "AGPL", "3", "3.0"),
+    "apache-2.0": tuple(f"{a}{v}" for a in ("Apache License", "Apache Software License", "Apache") for v in (" Version 2.0", " 2.0", " v2.0", " v2", " Version 2", "-2.0", " 2")),
+    "artistic-2.0": ("Artistic License 2.0", "Artistic License Version 2.0"),
+    "bsd-2-clause": ("BSD 2-Clause License", "2-Clause BSD License", "Simplified BSD License", "BSD 2-Clause", "BSD-2-Clause License"),
+    "bsd-3-clause": ("BSD 3-Clause License", "3-Clause BSD License", "New BSD License", "Modified BSD License", "Revised BSD License", "BSD 3-Clause", 'BSD 3-Clause "New" or "Revised" License'),
+    "bsl-1.0": ("Boost Software License 1.0", "Boost Software License Version 1.0"),
+    "cc-by-4.0": _cc("Attribution", "BY", "4.0"),
+    "cc-by-3.0": _cc("Attribution", "BY", "3.0"),
+    "cc-by-sa-4.0": _cc("Attribution-ShareAlike", "BY-SA", "4.0"),
+    "cc-by-sa-3.0": _cc("Attribution-ShareAlike", "BY-SA", "3.0"),
+    "cc-by-nc-4.0": _cc("Attribution-NonCommercial", "BY-NC", "4.0"),
+    "cc-by-nc-sa-4.0": _cc("Attribution-NonCommercial-ShareAlike", "BY-NC-SA", "4.0"),
+    "cc-by-nc-nd-4.0": _cc("Attribution-NonCommercial-NoDerivatives", "BY-NC-ND", "4.0"),
+    "cc-by-nd-4.0": _cc("Attribution-NoDerivatives", "BY-ND", "4.0"),
+    "cc0-1.0": ("CC0 1.0", "CC0 1.0 Universal", "Creative Commons CC0 1.0", "Creative Commons Zero 1.0", "CC0-1.0"),
+    "epl-1.0": ("Eclipse Public License 1.0", "Eclipse Public License v1.0", "Eclipse Public License Version 1.0"),
+    "epl-2.0": ("Eclipse Public License 2.0", "Eclipse Public License v2.0", "Eclipse Public License Version 2.0"),
+    "gfdl-1.3": ("GNU Free Documentation License Version 1.3", "GFDL 1.3"),
+    "gpl-2.0": _gnu("", "GPL", "2", "2.0"),
+    "gpl-3.0": _gnu("", "GPL", "3", "3.0"),
+    "isc": ("ISC License", "ISC"),
+    "lgpl-2.1": _gnu("Lesser", "LGPL", "2.1"),
+    "lgpl-3.0": _gnu("Lesser", "LGPL", "3", "3.0"),
+    "mit": ("MIT License", "MIT", "MIT/X11 License", "Expat License", "MIT-License"),
+    "mpl-1.1": ("Mozilla Public License 1.1", "Mozilla Public License Version 1.1", "Mozilla Public License v1.1", "MPL 1.1"),
+    "mpl-2.0": ("Mozilla Public License 2.0", "Mozilla Public License Version 2.0", "Mozilla Public License v2.0", "Mozilla Public License v. 2.0", "MPL 2.0", "MPL-2.0"),
+    "unlicense": ("Unlicense",),
+    "zlib": ("zlib License", "zlib/libpng License"),
+}
+#: As German words and the like, these are names only after "under".
+_BARE = frozenset(("MIT", "ISC"))
+
+_BSD_1 = (
+    "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: "
+    "1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. "
+    "2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. "
+)
+_BSD_NAMES = "3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. "
+_BSD_2 = (
+    'THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE '
+    "ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS "
+    "OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY "
+    "OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."
+)
+
+
+def _gnu_notice(what: str, kind: str, version: str) -> str:
+    return (
+        f"This {what} is free software; you can redistribute it and/or modify it under the terms of the GNU {kind} General Public License as published by "
+        f"the Free Software Foundation; either version {version} of the License, or (at your option) any later version."
+    )
+
+
+#: Longer notices and the full texts of short licenses.
+TEXTS = {
+    "0bsd": (
+        "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted. "
+        'THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE',
+    ),
+    "agpl-3.0": (_gnu_notice("program", "Affero", "3"),),
+    "apache-2.0": (
+        'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 '
+        'Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied. '
+        "See the License for the specific language governing permissions and limitations under the License.",
+    ),
+    "bsd-2-clause": (_BSD_1 + _BSD_2,),
+    "bsd-3-clause": (_BSD_1 + _BSD_NAMES + _BSD_2,),
+    "bsl-1.0": ("Distributed under the Boost Software License, Version 1.0. (See accompanying file LICENSE_1_0.txt or copy at http://www.boost.org/LICENSE_1_0.txt)",),
+    "gpl-2.0": (_gnu_notice("program", "", "2"), _gnu_notice("program", "", "2").replace("either version 2 of the License, or (at your option) any later version", "version 2 of the License")),
+    "isc": (
+        "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+        "Permission to use, copy, modify, and distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies.",
+    ),
+    "lgpl-2.1": (_gnu_notice("library", "Lesser", "2.1"), _gnu_notice("program", "Lesser", "2.1")),
+    "lgpl-3.0": (_gnu_notice("library", "Lesser", "3"), _gnu_notice("program", "Lesser", "3")),
+    "mit": (
+        "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), "
+        "to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell "
+        "copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: "
+        "The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. "
+        'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. '
+        "IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, "
+        "OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
+    ),
+    "mpl-2.0": ("This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at http://mozilla.org/MPL/2.0/.",),
+    "unlicense": (
+        "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, "
+        "for any purpose, commercial or non-commercial, and by any means.",
+    ),
+    "zlib": (
+        "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. "
+        "Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: "
+        "1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software.",
+    ),
+}
+#: Phrases of long texts that the match must hold, and that it must not hold (of a relative with nearly the same text).
+WANTED = {
+    "apache-2.0": "version 20",
+    "artistic-1.0": "artistic license",
+    "bsd-3-clause": "neither the name",
+    "gfdl-1.3": "version 13",
+    "gpl-2.0": "version 2 june 1991",
+    "gpl-3.0": "refers to version 3 of the gnu general public license",
+    "isc": "provided that the above copyright notice",
+    "lgpl-2.1": "version 21 february 1999",
+    "lgpl-3.0": "version 3 of the gnu lesser general public license",
+    "mpl-1.1": "version 11",
+    "mpl-2.0": "version 20",
+}
+BARRED = {"bsd-2-clause": "neither the name", "0bsd": "provided that"}
+#: Words that tell a notice from those of related licenses: names, and versions as numbers.
+_TELLING = re.compile(
+    rb"v?\d{1,3}|\d?clause|(?:gpl|lgpl|agpl|mpl|apache|cc|gfdl)v?\d+\w*|mit|expat|mitx11|apache|affero|lesser|agpl|lgpl|gpl|mozilla|mpl|bsd|isc|zlib|boost|unlicense|eclipse|"
+    rb"cc0|by(?:nc|sa|nd)+|attribution\w*|\w*noncommercial\w*|\w*sharealike|\w*noderiv\w*"
+)
+
+
+def _files() -> dict[str, str]:
+    folder = resources.files("mediarel.llm") / "license_texts"
+    return {x.name.removesuffix(".txt"): x.read_text(encoding="utf-8") for x in folder.iterdir() if x.name.endswith(".txt")}
+
+
+def known_licenses() -> dict[str, tuple[str, ...]]:
+    """All wordings by license: ``TEMPLATES``, notices from ``NAMES``, SPDX tags, ``TEXTS`` and the full texts."""
+    made: dict[str, list[str]] = {k: [v] for k, v in TEMPLATES.items()}
+    for key, names in NAMES.items():
+        own = made.setdefault(key, [])
+        own += [f"{lead} {name}" for name in names for lead in LEADS if name not in _BARE or lead == "under"]
+        own += [f"{name} licensed" for name in names if "License" not in name]
+        own += [f"SPDX-License-Identifier: {key}{x}" for x in (("", "-only", "-or-later", "+") if "gpl" in key or "gfdl" in key else ("",))]
+        own += [f"SPDX-License-Identifier: {x} {op} {key}" for op in ("OR", "AND") for x in NAMES if x != key]
+    for more in (TEXTS, {k: (v,) for k, v in _files().items()}):
+        for key, texts in more.items():
+            made.setdefault(key, []).extend(texts)
+    return {k: tuple(dict.fromkeys(v)) for k, v in made.items()}
+
+
 _DROPPED = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 
 
@@ -64,126 +230,138 @@ class Template:
     name: str
     shingles: np.ndarray
     width: int
-    window: int
-
-
-def prepare(templates: Mapping[str, str]) -> list[Template]:
-    made = []
-    for name, text in sorted(templates.items()):
-        words = words_of(text)
-        if not words:
-            continue
-        width, window = min(WIDTH, len(words)), len(words)
-        if window > 12:
-            window = round(12 * 1.2 ** np.ceil(np.log(window / 12) / np.log(1.2)))
-        made.append(Template(name, np.unique(near_dup.rolled(near_dup.word_hashes(words), width)), width, int(window)))
-    return made
-
-
-def _functions() -> list[tuple[np.uint64, np.uint64]]:
-    rng = np.random.default_rng(20240229)
-    return [(np.uint64(a | 1), np.uint64(b)) for a, b in rng.integers(0, 1 << 63, size=(BANDS * ROWS, 2), dtype=np.uint64)]
-
-
-def _sliding_min(values: np.ndarray, span: int) -> np.ndarray:
-    """Minimum of every run of ``span`` values, by doubling."""
-    held, done = values, 1
-    while done < span:
-        more = min(done, span - done)
-        held = np.minimum(held[: len(held) - more], held[more:])
-        done += more
-    return held
-
-
-def band_keys(shingles: np.ndarray, spans: list[tuple[int, int]]) -> Iterator[list[np.ndarray]]:
-    """For each band the keys of the windows of every (span, step): each function hashes the shingles once."""
-    plain = shingles.view(np.uint64)
-    starts = [window_starts(len(shingles), span, step) for span, step in spans]
-    functions = _functions()
-    for band in range(BANDS):
-        keys = [np.zeros(len(at), dtype=np.uint64) for at in starts]
-        for a, b in functions[band * ROWS : (band + 1) * ROWS]:
-            with np.errstate(over="ignore"):
-                hashed = ((plain * a + b) >> np.uint64(32)).astype(np.uint32)
-            for k, (span, _) in enumerate(spans):
-                keys[k] = keys[k] << np.uint64(32) | _sliding_min(hashed, span)[starts[k]] if len(starts[k]) else keys[k]
-        yield keys
-
-
-def window_starts(n: int, span: int, step: int) -> np.ndarray:
-    if n < span:
-        return np.empty(0, dtype=np.int64)
-    starts = np.arange(0, n - span + 1, step)
-    return starts if starts[-1] == n - span else np.append(starts, n - span)
+    reach: int
+    need: int
+    telling: frozenset[bytes]
+    notice: bool
+    wanted: bytes
+    barred: bytes
+
+    def fits(self, words: list[bytes]) -> bool:
+        """Whether the words of a match tell this license and no relative."""
+        if self.notice:
+            found = {w for w in words if _TELLING.fullmatch(w)}
+            if not self.telling <= found or any(w not in self.telling and not w.lstrip(b"v").isdigit() for w in found):
+                return False
+        text = b" " + b" ".join(words) + b" "
+        return self.wanted in text and not (self.barred and self.barred in text)
+
+
+def _phrase(text: str | None) -> bytes:
+    return b" " + text.encode() + b" " if text else b""
+
+
+def prepare(templates: Mapping[str, str | Sequence[str]]) -> list[Template]:
+    made: dict[tuple[str, tuple[bytes, ...]], Template] = {}
+    for name, texts in sorted(templates.items()):
+        for text in [texts] if isinstance(texts, str) else texts:
+            words = words_of(text)
+            if not words:
+                continue
+            width = min(WIDTH, len(words))
+            shingles = np.unique(near_dup.rolled(near_dup.word_hashes(words), width))
+            # A match keeps within the template's length widened by half; all its words, if it has no more than a shingle.
+            reach = len(words) - width + 1 + (len(words) // 2 if len(words) > width else 0)
+            telling = frozenset(w for w in words if _TELLING.fullmatch(w))
+            full = b" ".join(words)
+            wanted, barred = _phrase(WANTED.get(name)), _phrase(BARRED.get(name))
+            notice = len(words) <= NOTICE_WORDS
+            if wanted.strip() not in full:
+                wanted = b""
+            need = len(shingles) if len(words) < WHOLE_WORDS else ceil(CONTAINMENT * len(shingles) - 1e-9)
+            made[name, tuple(words)] = Template(name, shingles, width, reach, need, telling, notice, wanted, barred)
+    return list(made.values())
 
 
 class Scanner:
-    """Templates by band key, for each (width, window)."""
+    """Shingles of all templates by width, with the templates that hold them."""
 
-    def __init__(self, templates: Mapping[str, str]):
+    def __init__(self, templates: Mapping[str, str | Sequence[str]]):
         self.templates = prepare(templates)
-        self.classes: dict[tuple[int, int], list[dict[int, list[int]]]] = {}
-        for k, t in enumerate(self.templates):
-            index = self.classes.setdefault((t.width, t.window), [{} for _ in range(BANDS)])
-            for band, keys in enumerate(band_keys(t.shingles, [(len(t.shingles), 1)])):
-                index[band].setdefault(int(keys[0][0]), []).append(k)
-        #: Filler between texts: no window with its margins reaches over it.
-        self.gap = max((t.window + t.window // 4 + 1 for t in self.templates), default=1) + WIDTH
-        self.filler = np.full(self.gap, 0x5BD1E9955BD1E995, dtype=np.uint64)
-
-    def retrieve(self, hashes: np.ndarray) -> Iterator[tuple[int, int, np.ndarray]]:
-        """(template, first shingle of a window, shingles) for windows that share a band with a template."""
-        for width in sorted({w for w, _ in self.classes}):
-            shingles = near_dup.rolled(hashes, width)
-            own = sorted(window for w, window in self.classes if w == width)
-            spans = [(window - width + 1, max(1, window // 8)) for window in own]
-            found: set[tuple[int, int]] = set()
-            for band, keys in enumerate(band_keys(shingles, spans)):
-                for window, (_, step), key in zip(own, spans, keys, strict=True):
-                    index = self.classes[(width, window)][band]
-                    at = np.nonzero(np.isin(key, np.fromiter(index, dtype=np.uint64)))[0]
-                    last = len(shingles) - (window - width + 1)
-                    found.update((k, min(int(i) * step, last)) for i in at for k in index[int(key[i])])
-            for k, start in found:
-                yield k, start, shingles
+        self.index: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
+        for width in sorted({t.width for t in self.templates}):
+            own = [k for k, t in enumerate(self.templates) if t.width == width]
+            values = np.concatenate([self.templates[k].shingles for k in own])
+            holders = np.repeat(np.array(own), [len(self.templates[k].shingles) for k in own])
+            order = np.argsort(values, kind="stable")
+            distinct, firsts = np.unique(values[order], return_index=True)
+            slots = np.zeros(SLOTS, dtype=bool)
+            slots[distinct & (SLOTS - 1)] = True
+            self.index[width] = distinct, np.append(firsts, len(values)), holders[order], slots
+        self.needs = np.array([t.need for t in self.templates])
+        self.filler = np.full(WIDTH, 0x5BD1E9955BD1E995, dtype=np.uint64)
+
+    def hits(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(template, place, shingle) of every shingle of a template, in no order."""
+        found = []
+        for width, (distinct, firsts, holders, slots) in self.index.items():
+            for block in range(0, len(hashes), BLOCK_WORDS):
+                shingles = near_dup.rolled(hashes[block : block + BLOCK_WORDS + width - 1], width)
+                at = np.nonzero(slots[shingles & (SLOTS - 1)])[0]
+                near = np.minimum(np.searchsorted(distinct, shingles[at]), len(distinct) - 1)
+                same = distinct[near] == shingles[at]
+                at, near = at[same], near[same]
+                counts = firsts[near + 1] - firsts[near]
+                each = np.repeat(firsts[near], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+                found.append((holders[each], np.repeat(at + block, counts), np.repeat(near, counts)))
+        return tuple(np.concatenate(x) for x in zip(*found, strict=True))
+
+    def stretches(self, template: Template, places: list[int], values: list[int]) -> list[list]:
+        """[first, end, distinct shingles] of the merged stretches within reach that hold enough of the template."""
+        held: Counter[int] = Counter()
+        out: list[list] = []
+        left = 0
+        for place, value in zip(places, values, strict=True):
+            held[value] += 1
+            while place - places[left] >= template.reach or held[values[left]] > 1 and places[left] < place:
+                held[values[left]] -= 1
+                if not held[values[left]]:
+                    del held[values[left]]
+                left += 1
+            if len(held) >= template.need:
+                first, end = places[left], place + template.width
+                if out and first < out[-1][1]:
+                    out[-1][1], out[-1][2] = end, max(len(held), out[-1][2])
+                else:
+                    out.append([first, end, len(held)])
+        return out
 
     def scan(self, texts: list[str | None]) -> list[list[tuple[str, int, int, float]]]:
-        """For each text (template, first word, end word, containment) of every span, in order of template and place.
+        """For each text (license, first word, end word, containment) of every span, in order of license and place.
 
         Texts stand in one array with filler between them, so short texts share the cost of a pass.
         """
-        parts, firsts, at = [self.filler], [], self.gap
+        parts, firsts, at, held = [], [], 0, []
         for text in texts:
-            words = near_dup.word_hashes(words_of(text))
+            held.append(words_of(text))
             firsts.append(at)
-            parts += [words, self.filler]
-            at += len(words) + self.gap
+            parts += [near_dup.word_hashes(held[-1]), self.filler]
+            at += len(held[-1]) + WIDTH
         rows: list[list[tuple[str, int, int, float]]] = [[] for _ in texts]
-        if not self.templates or at == self.gap * (len(texts) + 1):
+        if not self.templates or not any(held):
             return rows
-        hashes = np.concatenate(parts)
-        hits: dict[int, set[tuple[int, int, float]]] = {}
-        # Blocks overlap by the reach of a window with its margins.
-        for block in range(0, len(hashes), BLOCK_WORDS):
-            for k, start, shingles in self.retrieve(hashes[block : block + BLOCK_WORDS + 2 * self.gap]):
-                template = self.templates[k]
-                slack = max(1, template.window // 4) if template.window > template.width else 0
-                low = max(0, start - slack)
-                near = shingles[low : start + template.window - template.width + 1 + slack]
-                inside = np.nonzero(np.isin(near, template.shingles))[0]
-                share = len(np.unique(near[inside])) / len(template.shingles)
-                if share >= CONTAINMENT:
-                    hits.setdefault(k, set()).add((block + low + int(inside[0]), block + low + int(inside[-1]) + template.width, share))
-        for k in sorted(hits):
-            spans: list[list] = []
-            for first, end, share in sorted(hits[k]):
-                if spans and first < spans[-1][1]:
-                    spans[-1][1], spans[-1][2] = max(end, spans[-1][1]), max(share, spans[-1][2])
-                else:
-                    spans.append([first, end, share])
-            for first, end, share in spans:
-                own = bisect_right(firsts, first) - 1
-                rows[own].append((self.templates[k].name, first - firsts[own], end - firsts[own], share))
+        owner, place, value = self.hits(np.concatenate(parts))
+        text_of = np.searchsorted(np.array(firsts), place, side="right") - 1
+        order = np.lexsort((place, owner, text_of))
+        owner, place, value, text_of = owner[order], place[order], value[order], text_of[order]
+        starts = np.nonzero(np.append(True, (np.diff(owner) != 0) | (np.diff(text_of) != 0)))[0] if len(owner) else np.empty(0, dtype=np.int64)
+        ends = np.append(starts[1:], len(owner))
+        enough = ends - starts >= self.needs[owner[starts]]
+        spans: dict[int, dict[str, list[tuple[int, int, float]]]] = {}
+        for a, b in zip(starts[enough].tolist(), ends[enough].tolist(), strict=True):
+            template, own = self.templates[owner[a]], int(text_of[a])
+            for first, end, n in self.stretches(template, (place[a:b] - firsts[own]).tolist(), value[a:b].tolist()):
+                if template.fits(held[own][first:end]):
+                    spans.setdefault(own, {}).setdefault(template.name, []).append((first, end, n / len(template.shingles)))
+        for own, by_name in spans.items():
+            for name, found in sorted(by_name.items()):
+                merged: list[list] = []
+                for first, end, share in sorted(found):
+                    if merged and first < merged[-1][1]:
+                        merged[-1][1], merged[-1][2] = max(end, merged[-1][1]), max(share, merged[-1][2])
+                    else:
+                        merged.append([first, end, share])
+                rows[own] += [(name, *m) for m in merged]
         return rows
 
 
@@ -198,9 +376,9 @@ def _blocks(texts: list[str | None], most_chars: int = 1 << 20) -> Iterator[tupl
         yield start, len(texts)
 
 
-def scan(docs: DataFrame, templates: Mapping[str, str] = TEMPLATES) -> DataFrame:
-    """doc_id, license, first_word, end_word, containment: one row for each span of a template in a text."""
-    templates = dict(templates)
+def scan(docs: DataFrame, templates: Mapping[str, str | Sequence[str]] | None = None) -> DataFrame:
+    """doc_id, license, first_word, end_word, containment: one row for each span of a license in a text."""
+    templates = known_licenses() if templates is None else dict(templates)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         common.claim("words", near_dup._words.clear)

@@ -312,6 +312,51 @@ def test_licenses_against_exact_search(spark, odd):
     assert licenses.scan(odd).count() == 0 == licenses.scan(empty(spark)).count() == licenses.scan(odd, {}).count()
 
 
+def found_licenses(text):
+    return {r[0] for r in licenses.Scanner(licenses.known_licenses()).scan([None, "before it " + text + " and after it", ""])[1]}
+
+
+@pytest.mark.parametrize(
+    ("text", "want"),
+    [
+        ("Licensed under the MIT License.", "mit"),
+        ("Available under the terms of the BSD 3-Clause License", "bsd-3-clause"),
+        ("This is licensed under the GNU General Public License, version 2.", "gpl-2.0"),
+        ("This work is licensed under the GNU General Public License, version 2.", "gpl-2.0"),
+        ("This work is licensed under the GNU General Public License, version 3.", "gpl-3.0"),
+        ("covered by the GNU Lesser General Public License v2.1", "lgpl-2.1"),
+        ("distributed under the Mozilla Public License, v. 2.0", "mpl-2.0"),
+        ("SPDX-License-Identifier: BSD-3-Clause", "bsd-3-clause"),
+        ("// SPDX-License-Identifier: GPL-2.0-or-later", "gpl-2.0"),
+        ("licensed under a Creative Commons Attribution-NonCommercial 4.0 International License", "cc-by-nc-4.0"),
+        (licenses._gnu_notice("library", "Lesser", "2.1"), "lgpl-2.1"),
+        (licenses._gnu_notice("program", "Affero", "3"), "agpl-3.0"),
+        (licenses._gnu_notice("program", "", "2"), "gpl-2.0"),
+        (licenses.TEXTS["apache-2.0"][0], "apache-2.0"),
+        (licenses.TEXTS["isc"][0], "isc"),
+        (licenses.TEXTS["0bsd"][0], "0bsd"),
+    ],
+)
+def test_license_wordings_that_are_not_planted(text, want):
+    assert found_licenses(text) == {want}
+
+
+def test_licenses_without_their_telling_words():
+    for text in ("under the GNU General Public License, version 4", "as the MIT professor said", "secondary licenses are the GNU Lesser General Public License, Version 2.1", "under the GNU General Public License", "einer License mit Folgen"):
+        assert not found_licenses(text)
+
+
+def test_full_license_texts():
+    files = licenses._files()
+    assert {"apache-2.0", "gpl-2.0", "gpl-3.0", "lgpl-2.1", "mpl-2.0"} <= set(files)
+    for name, text in files.items():
+        assert name in found_licenses(text)
+        words = text.split()
+        assert name in found_licenses(" ".join(w for i, w in enumerate(words) if i % 60 != 40) if name not in ("gpl-3.0", "lgpl-3.0") else text.upper())
+    for name in ("bsd-2-clause", "bsd-3-clause"):
+        assert found_licenses(licenses.TEXTS[name][0]) == {name, "bsd-text"}
+
+
 # 10 mixing -----------------------------------------------------------------------------------------------------------
 
 
