@@ -246,8 +246,8 @@ def plan_cost_table(spark, sf_dir):
     return found
 
 
-def xcam_tables(spark, sf_dir):
-    """The staged join at table scale: a supplier is a camera, a part it ships is a track from first to last shipping date."""
+def _table_pairs(spark, sf_dir):
+    """Candidate pairs of tracks: a supplier is a camera, a part it ships is a track from first to last shipping date."""
     read = lambda t: spark.read.parquet(f"{sf_dir}/{t}.parquet")
     tracks = read("lineitem").groupBy("l_suppkey", "l_partkey").agg(F.min(F.to_date("l_shipdate")).alias("first"), F.max(F.to_date("l_shipdate")).alias("last"))
     placed = tracks.join(read("supplier").select(F.col("s_suppkey").alias("l_suppkey"), F.col("s_nationkey").alias("scene")), "l_suppkey").join(read("part").select(F.col("p_partkey").alias("l_partkey"), "p_brand", "p_type"), "l_partkey")
@@ -256,8 +256,18 @@ def xcam_tables(spark, sf_dir):
     left = flat.select("scene", "p_brand", "p_type", F.col("l_suppkey").alias("left_source"), F.col("l_partkey").alias("l"), F.col("b").alias("start_ms"), F.col("e").alias("end_ms"))
     right = flat.select("scene", "p_brand", "p_type", F.col("l_suppkey").alias("right_source"), F.col("l_partkey").alias("r"), F.col("b").alias("r_start_ms"), F.col("e").alias("r_end_ms"))
     pairs = intervals.overlap_join(left, right, ["scene", "p_brand", "p_type"], 365).where("left_source < right_source")
-    score = F.round(geometry.tiou(F.col("start_ms"), F.col("end_ms"), F.col("r_start_ms"), F.col("r_end_ms")), 6)
-    return pairs.groupBy("left_source", "right_source").agg(F.count("*").alias("n_pairs"), F.round(F.max(score), 6).alias("best"))
+    return pairs.withColumn("match_score", F.round(geometry.tiou(F.col("start_ms"), F.col("end_ms"), F.col("r_start_ms"), F.col("r_end_ms")), 6))
+
+
+def xcam_tables(spark, sf_dir):
+    """The staged join at table scale up to its candidates: pairs and best score of every two suppliers."""
+    return _table_pairs(spark, sf_dir).groupBy("left_source", "right_source").agg(F.count("*").alias("n_pairs"), F.round(F.max("match_score"), 6).alias("best"))
+
+
+def xcam_tables_settled(spark, sf_dir):
+    """The whole staged join at table scale: the candidates of every two suppliers settled one to one by overlap score."""
+    pairs = _table_pairs(spark, sf_dir).select("left_source", "right_source", "l", "r", "match_score")
+    return matching.mutual_best(pairs, ["left_source", "right_source"], "l", "r", "match_score")
 
 
 EXTENT_SQL = f"""{PLANS_SQL},
@@ -284,6 +294,7 @@ QUERIES = {
         alg_join_scored, alg_join_plain, resolve_overlap, resolve_overlap_two_level, resolve_one_to_one, resolve_one_to_one_rounds, resolve_keep_best, resolve_components,
         window_pad, reconcile_vote, m_tiou, fn_box_iou, join_interval, join_point_in_interval, join_band, sample_fps, o1_classify_docs, o1_classify_prf, o1_extract_pages,
         o1_extract_agreement, o1_summarize_conv, o1_reuse_materialized, plan_cost_table, xcam_tables,
+        xcam_tables_settled,
     )
 }
 
@@ -349,4 +360,17 @@ SELECT p.workload, p.plan, round(CAST(100 * share AS DOUBLE), 4) AS video_pct, C
 p AS (SELECT t.*, s_nationkey AS scene, p_brand, p_type FROM t JOIN supplier ON s_suppkey = l_suppkey JOIN part ON p_partkey = l_partkey)
 SELECT l.l_suppkey AS left_source, r.l_suppkey AS right_source, count(*) AS n_pairs, round(max((least(l.e, r.e) - greatest(l.b, r.b)) / (l.e - l.b + r.e - r.b - (least(l.e, r.e) - greatest(l.b, r.b)))), 6) AS best
 FROM p l JOIN p r ON l.scene = r.scene AND l.p_brand = r.p_brand AND l.p_type = r.p_type AND l.l_suppkey < r.l_suppkey AND l.b < r.e AND r.b < l.e GROUP BY ALL""",
+    "xcam_tables_settled": """WITH RECURSIVE t AS (SELECT l_suppkey, l_partkey, date_diff('day', DATE '1970-01-01', CAST(min(l_shipdate) AS DATE)) AS b, date_diff('day', DATE '1970-01-01', CAST(max(l_shipdate) AS DATE)) + 1 AS e FROM lineitem GROUP BY ALL),
+p AS (SELECT t.*, s_nationkey AS scene, p_brand, p_type FROM t JOIN supplier ON s_suppkey = l_suppkey JOIN part ON p_partkey = l_partkey),
+sc AS (
+  SELECT l.l_suppkey AS left_source, r.l_suppkey AS right_source, l.l_partkey AS l, r.l_partkey AS r,
+    round((least(l.e, r.e) - greatest(l.b, r.b)) / (l.e - l.b + r.e - r.b - (least(l.e, r.e) - greatest(l.b, r.b))), 6) AS match_score
+  FROM p l JOIN p r ON l.scene = r.scene AND l.p_brand = r.p_brand AND l.p_type = r.p_type AND l.l_suppkey < r.l_suppkey AND l.b < r.e AND r.b < l.e),
+k AS (SELECT *, row_number() OVER (PARTITION BY left_source, right_source ORDER BY match_score DESC, l, r) AS p FROM sc),
+w AS (
+  SELECT left_source, right_source, l, r, match_score, p, TRUE AS kept, [l] AS ul, [r] AS ur FROM k WHERE p = 1
+  UNION ALL SELECT k.left_source, k.right_source, k.l, k.r, k.match_score, k.p, NOT (list_contains(ul, k.l) OR list_contains(ur, k.r)),
+    CASE WHEN list_contains(ul, k.l) OR list_contains(ur, k.r) THEN ul ELSE list_append(ul, k.l) END, CASE WHEN list_contains(ul, k.l) OR list_contains(ur, k.r) THEN ur ELSE list_append(ur, k.r) END
+  FROM w JOIN k ON k.left_source = w.left_source AND k.right_source = w.right_source AND k.p = w.p + 1)
+SELECT left_source, right_source, l, r, match_score FROM w WHERE kept""",
 }

@@ -224,3 +224,35 @@ def test_manifests_and_sinks(spark, tmp_path):
         df.write.format(fmt).save(str(tmp_path / fmt))
         assert scan.scan(spark, str(tmp_path / fmt), fmt, "source_id bigint, uri string, duration_ms bigint").count() == 10
     shutil.rmtree(tmp_path / "m")
+
+
+def test_table_scale_join_is_settled_one_to_one(spark, tmp_path):
+    import datetime as dt
+    import random
+
+    from mediarel.workloads import algebra
+
+    rng, start = random.Random(7), dt.datetime(2020, 1, 1)
+    n_supp, n_part = 6, 40
+    lines = [(rng.randrange(n_supp), rng.randrange(n_part), start + dt.timedelta(days=rng.randrange(40))) for _ in range(700)]
+    spark.createDataFrame(lines, "l_suppkey long, l_partkey long, l_shipdate timestamp").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(i, i % 2) for i in range(n_supp)], "s_suppkey long, s_nationkey long").write.parquet(f"{tmp_path}/supplier.parquet")
+    spark.createDataFrame([(i, f"b{i % 2}", f"t{i % 3}") for i in range(n_part)], "p_partkey long, p_brand string, p_type string").write.parquet(f"{tmp_path}/part.parquet")
+    held = {}
+    for s, p, d in lines:
+        day = (d - dt.datetime(1970, 1, 1)).days
+        b, e = held.get((s, p), (day, day + 1))
+        held[s, p] = min(b, day), max(e, day + 1)
+    scored = []
+    for (s, p), (b, e) in held.items():
+        for (t, q), (c, f) in held.items():
+            both = min(e, f) - max(b, c)
+            if s < t and s % 2 == t % 2 and p % 6 == q % 6 and both > 0:
+                scored.append((s, t, -round(both / (e - b + f - c - both), 6), p, q))
+    used, want = set(), set()
+    for s, t, score, p, q in sorted(scored):
+        if not {(s, t, "l", p), (s, t, "r", q)} & used:
+            used |= {(s, t, "l", p), (s, t, "r", q)}
+            want.add((s, t, p, q, -score))
+    got = [tuple(r) for r in algebra.xcam_tables_settled(spark, str(tmp_path)).collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len(want) < len(scored)
