@@ -247,7 +247,7 @@ def with_tokens(docs: DataFrame, path: str | None = None, text: Column | None =
 
 
 def encoded(docs: DataFrame, path: str | None = None, columns: tuple[str, ...] = ("doc_id", "lang", "source"), rows: int = 512) -> DataFrame:
-    """``columns`` with ``n_tokens`` and ``token_ids`` (binary), handed on in small blocks of rows."""
+    """``columns`` with ``n_tokens``, ``token_ids`` (binary) and ``decoded``, handed on in small blocks of rows."""
     name = distribute(docs.sparkSession, path or vocabulary_path())
     kept = docs.select(*columns, "text")
     fields = [f for f in kept.schema.fields if f.name in columns]
@@ -257,11 +257,11 @@ def encoded(docs: DataFrame, path: str | None = None, columns: tuple[str, ...] =
         for batch in batches:
             for at in range(0, batch.num_rows, rows):
                 part = batch.slice(at, rows)
-                ids = [bpe.encode(t)[0] for t in part.column(part.num_columns - 1).to_pylist()]
-                made = [pa.array([len(i) // 4 for i in ids], pa.int64()), pa.array(ids, pa.binary())]
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=[*columns, "n_tokens", "token_ids"])
+                coded = [bpe.encode(t) for t in part.column(part.num_columns - 1).to_pylist()]
+                made = [pa.array([len(i) // 4 for i, _ in coded], pa.int64()), pa.array([i for i, _ in coded], pa.binary()), pa.array([d for _, d in coded], pa.string())]
+                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=[*columns, "n_tokens", "token_ids", "decoded"])
 
-    schema = T.StructType([*fields, T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.BinaryType())])
+    schema = T.StructType([*fields, T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.BinaryType()), T.StructField("decoded", T.StringType())])
     return kept.mapInArrow(run, schema)
 
 

@@ -410,6 +410,45 @@ def test_pipeline_stages(spark, tmp_path):
     assert all(bytes(r.token_ids) == coder.library_ids(texts[r.doc_id]) for r in tokens.collect())
 
 
+def test_rows_of_every_stage(spark, coder):
+    import corpus_pipeline
+
+    sf = "/root/testdata/sf0.001"
+    docs = common.materialise(common.table(spark, sf, "documents").withColumn("extra", F.col("doc_id") * 2), "test-docs")
+    stage = dict(corpus_pipeline.STAGES)
+    ids = lambda df: sorted(r.doc_id for r in df.select("doc_id").collect())
+    model = language.fit(docs.where(~language.held_out(F.col("doc_id"))).select("doc_id", "text", "lang"))
+    told = language.predict(docs, model).collect()
+    kept = common.materialise(stage["language"](spark, docs, sf), "test-language")
+    assert ids(kept) == sorted(r.doc_id for r in told if r.lang_pred != "und" and r.score >= 0.25) and ids(kept)
+
+    rules = quality.fit(kept, common.table(spark, sf, "labels"))
+    want = []
+    for r in quality.with_statistics(kept).collect():
+        n_words, _, _, _, n_repeat = brute_statistics(r.text)
+        values = {k: float(v or 0) for k, v in r.asDict().items() if k in quality.STATS}
+        if n_words >= 10 and 100 * n_repeat <= 20 * n_words and not any(all(t.holds(values) for t in rule) for rule in rules):
+            want.append(r.doc_id)
+    good = common.materialise(stage["quality"](spark, kept, sf), "test-quality")
+    assert ids(good) == sorted(want) and want
+
+    rows = [(r.doc_id, r.text) for r in good.collect()]
+    found = brute_components(rows, 5, 80)
+    alone = common.materialise(stage["near_duplicates"](spark, good, sf), "test-alone")
+    assert ids(alone) == sorted(i for i, (_, component) in found.items() if i == component)
+
+    copies = {r.doc_id: r.copies if r.size else 1 for r in mixing.mix(alone).collect()}
+    mixed = common.materialise(stage["mixing"](spark, alone, sf), "test-mixed")
+    assert Counter(ids(mixed)) == Counter({i: n for i, n in copies.items() if n})
+
+    texts = {r.doc_id: r.text for r in mixed.collect()}
+    out = stage["tokens"](spark, mixed, sf)
+    assert out.columns == [*(c for c in docs.columns if c != "text"), "n_tokens", "token_ids", "decoded"]
+    for r in out.collect():
+        want_ids = coder.library_ids(texts[r.doc_id])
+        assert bytes(r.token_ids) == want_ids and r.decoded == coder.decode(want_ids) and r.n_tokens == len(want_ids) // 4 and r.extra == 2 * r.doc_id
+
+
 def test_crc_marks_held_out(spark):
     rows = spark.range(100).select("id", language.held_out(F.col("id")).alias("h")).collect()
     assert all(r.h == (zlib.crc32(str(r.id).encode()) % 4 == 2) for r in rows)
