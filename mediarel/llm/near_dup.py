@@ -10,8 +10,8 @@ the family's common part); what ends in one component needs no more comparison.
 are compared with a few hubs of the family; those still outside its main component meet the whole family in blocks, where exact
 intersections are matrix products and only one link a document and component leaves a block.
 
-Candidates pass an estimate from the union sketch of their smallest hashes. It drops a pair
-only 0.45 under the threshold, eight standard errors with 32 values (a chance below 1e-9 for a true link).
+Candidates pass an estimate from the union sketch of their smallest hashes. It drops a pair only where so few
+values of the sketch are shared that a true link has a chance below ``DROP_CHANCE`` of showing no more.
 Surviving pairs are confirmed on full sets.
 
 Defined cases: without words or text a document has no shingles and links with nothing; equal sets
@@ -22,6 +22,7 @@ a null doc_id links with nothing and is kept; other columns are left out.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import comb
 
 import numpy as np
 import pandas as pd
@@ -32,9 +33,9 @@ from pyspark.sql.window import Window
 
 from mediarel.llm import common
 
-#: Values of the fixed-size sketch behind the union estimate, and how far under the threshold it drops a pair.
+#: Values of the fixed-size sketch behind the union estimate, and the chance that it drops a pair just at the threshold.
 SKETCH = 32
-MARGIN = 0.45
+DROP_CHANCE = 1e-9
 #: A value in more documents than this, and than this share of them, goes to the end of the order.
 HOT_LEAST = 24
 HOT_SHARE = 1 / 20_000
@@ -170,6 +171,17 @@ def _sizes_fit(na: Column, nb: Column, per_cent: int) -> Column:
     return 100 * F.least(na, nb).cast("long") >= per_cent * F.greatest(na, nb).cast("long")
 
 
+def least_shared(per_cent: int) -> int:
+    """Largest number of shared sketch values that a pair at the threshold stays below with a chance of at most ``DROP_CHANCE``."""
+    t, below, least = per_cent / 100, 0.0, 0
+    while least < SKETCH:
+        below += comb(SKETCH, least) * t**least * (1 - t) ** (SKETCH - least)
+        if below > DROP_CHANCE:
+            break
+        least += 1
+    return least
+
+
 def _estimated(pairs: DataFrame, sketched: DataFrame, per_cent: int) -> DataFrame:
     """Pairs (a, b) whose union sketch leaves a link possible."""
     side = lambda s: sketched.select(F.col("doc_id").alias(s), F.col("n").alias(f"n_{s}"), F.col("sketch").alias(f"s_{s}"))
@@ -178,7 +190,7 @@ def _estimated(pairs: DataFrame, sketched: DataFrame, per_cent: int) -> DataFram
     union = F.when((F.col("n_a") > SKETCH) | (F.col("n_b") > SKETCH), F.slice(union, 1, SKETCH)).otherwise(union)
     both = both.withColumn("u", union)
     share = F.size(F.array_intersect(F.array_intersect("u", "s_a"), F.col("s_b"))) / F.size("u")
-    return both.where(share >= per_cent / 100 - MARGIN).select("a", "b", "n_a", "n_b")
+    return both.where(share >= least_shared(per_cent) / SKETCH).select("a", "b", "n_a", "n_b")
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, width: int, per_cent: int) -> DataFrame:

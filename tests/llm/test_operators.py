@@ -1,5 +1,6 @@
 """Operators against brute force, with nulls, empty and long texts, ties, repeated rows, empty tables and extra columns."""
 
+import math
 import random
 import re
 import zlib
@@ -116,6 +117,13 @@ def test_near_duplicates_of_odd_tables(spark, odd):
     assert near_dup.link(empty(spark)).count() == 0
 
 
+@pytest.mark.parametrize("per_cent", [50, 80, 85, 95])
+def test_sketches_drop_links_with_less_than_the_stated_chance(per_cent):
+    t, least = per_cent / 100, near_dup.least_shared(per_cent)
+    chance = lambda m: sum(math.comb(near_dup.SKETCH, k) * t**k * (1 - t) ** (near_dup.SKETCH - k) for k in range(m))
+    assert chance(least) <= 1e-9 < chance(least + 1)
+
+
 # 3 language ----------------------------------------------------------------------------------------------------------
 
 
