@@ -6,7 +6,8 @@ its predecessor kept:
 
 * ``language``: texts whose language cannot be told go (no letters, or a corrected share below ``LEAST_SCORE``);
 * ``quality``: texts that the base rule or the learned decision list rejects go;
-* ``near_duplicates``: of each group linked by five-word shingles at 0.8 the smallest doc_id stays;
+* ``near_duplicates``: of each group linked by five-word shingles at 0.8 the smallest doc_id stays; where rows repeat a doc_id,
+  each text counts alone, and of rows with the same doc_id and text one stays;
 * ``mixing``: documents leave as often as the mix takes them (0, 1 or 2 times; those without words stay once);
 * ``tokens``: ids of every text by forced-boundary BPE and the text decoded from them, in the place of ``text``.
 
@@ -36,6 +37,16 @@ def by_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    known = docs.where("doc_id IS NOT NULL")
+    if known.groupBy("doc_id").count().where("count > 1").limit(1).count():
+        # Every distinct (doc_id, text) gets a number in that order, which stands for it as an id.
+        texts = known.select("doc_id", "text").distinct().orderBy("doc_id", "text").withColumn("_row", F.monotonically_increasing_id())
+        texts = common.materialise(texts, "pipeline-texts")
+        linked = near_dup.link(texts.select(F.col("_row").alias("doc_id"), "text"))
+        alone = texts.join(linked.where("kept").select(F.col("doc_id").alias("_row")), "_row", "left_semi").select(F.col("doc_id").alias("_id"), F.col("text").alias("_text"))
+        one = known.dropDuplicates(["doc_id", "text"])
+        one = one.join(alone, (F.col("doc_id") == F.col("_id")) & F.col("text").eqNullSafe(F.col("_text")), "left_semi")
+        return one.unionByName(docs.where("doc_id IS NULL")).select(*docs.columns)
     linked = near_dup.link(docs)
     return docs.join(linked.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
 

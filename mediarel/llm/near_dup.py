@@ -291,12 +291,26 @@ def _labelled(rows: DataFrame, labels: DataFrame, column: str, into: str) -> Dat
     return rows.join(named, column, "left").withColumn(into, F.coalesce(F.col(into), F.col(column)))
 
 
-def _classes(base: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(copies: doc_id and rep of all but one document of each class of equal sets, the rows of the others)."""
+def _classes(base: DataFrame) -> tuple[DataFrame, DataFrame | None, DataFrame]:
+    """(copies: doc_id and rep of all but one document of each class of equal sets, links of copies whose doc_id has another text too or None, the rows of the others).
+
+    Only the text that is a copy leaves the search, not another text of its doc_id.
+    """
     filled = base.where("n > 0")
     classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
-    copies = common.materialise(filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep").select("doc_id", "rep").distinct(), "dup-copies")
-    return copies, filled.join(copies.select("doc_id"), "doc_id", "left_anti")
+    held = filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep")
+    several = common.materialise(filled.groupBy("doc_id").agg((F.min("sig") != F.max("sig")).alias("several")).where("several"), "dup-several")
+    if not several.limit(1).count():
+        common.discard(several)
+        copies = common.materialise(held.select("doc_id", "rep").distinct(), "dup-copies")
+        return copies, None, filled.join(copies.select("doc_id"), "doc_id", "left_anti")
+    held = held.distinct().join(several, "doc_id", "left").withColumn("several", F.col("several").isNotNull())
+    held = common.materialise(held, "dup-copies")
+    copies = held.where("NOT several").select("doc_id", "rep")
+    bridges = held.where("several").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
+    copies._stored_at = held._stored_at
+    common.discard(several)
+    return copies, bridges, filled.join(held.select("doc_id", "sig"), ["doc_id", "sig"], "left_anti")
 
 
 def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
@@ -305,7 +319,7 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     n_docs = docs.count()
     hot = frequent_values(docs, width, n_docs)
     base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
-    copies, reps = _classes(base)
+    copies, bridges, reps = _classes(base)
     # Counting in blocks misses values that are thinly spread; exact lists show them, and they move to the end too.
     # Only documents with such a value in their prefix get another prefix by that.
     cool = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v")).where("place < cool").select("doc_id", "v")
@@ -319,7 +333,7 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
         renewed = common.materialise(base.join(touched, "doc_id", "left_anti").unionByName(again), "dup-sketches")
         common.discard(base, copies, touched)
         base = renewed
-        copies, reps = _classes(base)
+        copies, bridges, reps = _classes(base)
     common.discard(crowded)
     rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
     sketched = reps.select("doc_id", "n", "sketch")
@@ -371,7 +385,8 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     done = first.select("a", "b").unionByName(second.select("a", "b"))
     rest = cool_rest.distinct().join(done, ["a", "b"], "left_anti")
     third = _verified(common.materialise(_estimated(rest, sketched, per_cent), "dup-pairs"), docs, width, per_cent)
-    labels = components(linked.unionByName(third.where("linked").select("a", "b")).unionByName(met))
+    linked = linked.unionByName(third.where("linked").select("a", "b")).unionByName(met)
+    labels = components(linked if bridges is None else linked.unionByName(bridges))
 
     classed = docs.select("doc_id").join(copies, "doc_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
     placed = _labelled(classed, labels, "rep", "component_id")

@@ -117,6 +117,23 @@ def test_near_duplicates_of_odd_tables(spark, odd):
     assert near_dup.link(empty(spark)).count() == 0
 
 
+def test_doc_ids_with_two_texts(spark):
+    import corpus_pipeline
+
+    rng = random.Random(11)
+    text = lambda: [rng.choice("abcdefghijklmnopqrstuvwxyz") * rng.randrange(1, 9) for _ in range(150)]
+    copied, other, lone = text(), text(), text()
+    near = [*other[:-1], "changed"]
+    rows = [(1, copied), (5, copied), (5, other), (7, near), (8, lone), (8, lone), (9, copied), (9, near)]
+    docs = docs_of(spark, [*((i, " ".join(w), "en", "s") for i, w in rows), (None, "x y", "en", "s"), (None, "x y", "en", "s")])
+    out = near_dup.link(docs).collect()
+    assert len(out) == len(rows) + 2
+    assert {r.doc_id: r.component_id for r in out if r.doc_id} == {1: 1, 5: 1, 7: 1, 8: 8, 9: 1}
+    kept = corpus_pipeline.without_near_duplicates(spark, docs, "")
+    assert kept.columns == docs.columns
+    assert Counter((r.doc_id, r.text) for r in kept.collect()) == Counter([(1, " ".join(copied)), (5, " ".join(other)), (8, " ".join(lone)), (None, "x y"), (None, "x y")])
+
+
 @pytest.mark.parametrize("per_cent", [50, 80, 85, 95])
 def test_sketches_drop_links_with_less_than_the_stated_chance(per_cent):
     t, least = per_cent / 100, near_dup.least_shared(per_cent)
