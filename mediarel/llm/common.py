@@ -5,8 +5,9 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -97,3 +98,22 @@ def n_words(text: Column) -> Column:
 def ascii_lower(text: Column) -> Column:
     """A to Z only; every other character stays."""
     return F.translate(text, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+
+
+def slices(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """Record batches in parts of at most ``rows`` rows, so that few texts are Python objects at a time."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+
+
+def each_text(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[str | None]:
+    """Texts of the last column, one at a time."""
+    for part in slices(batches, rows):
+        yield from part.column(part.num_columns - 1).to_pylist()
+
+
+def each_text_of(batch: pa.Array, rows: int = 64) -> Iterator[str | None]:
+    """Texts of an array, few of them as Python strings at a time."""
+    for at in range(0, len(batch), rows):
+        yield from batch.slice(at, rows).to_pylist()

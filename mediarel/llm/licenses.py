@@ -21,7 +21,7 @@ from importlib import resources
 from math import ceil
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -259,7 +259,7 @@ def prepare(templates: Mapping[str, str | Sequence[str]]) -> list[Template]:
             if not words:
                 continue
             width = min(WIDTH, len(words))
-            shingles = np.unique(near_dup.rolled(near_dup.word_hashes(words), width))
+            shingles = np.unique(near_dup.rolled(near_dup.word_hashes(b" ".join(words)), width))
             # A match keeps within the template's length widened by half; all its words, if it has no more than a shingle.
             reach = len(words) - width + 1 + (len(words) // 2 if len(words) > width else 0)
             telling = frozenset(w for w in words if _TELLING.fullmatch(w))
@@ -335,7 +335,7 @@ class Scanner:
         for text in texts:
             held.append(words_of(text))
             firsts.append(at)
-            parts += [near_dup.word_hashes(held[-1]), self.filler]
+            parts += [near_dup.word_hashes(b" ".join(held[-1])), self.filler]
             at += len(held[-1]) + WIDTH
         rows: list[list[tuple[str, int, int, float]]] = [[] for _ in texts]
         if not self.templates or not any(held):
@@ -380,15 +380,16 @@ def scan(docs: DataFrame, templates: Mapping[str, str | Sequence[str]] | None =
     """doc_id, license, first_word, end_word, containment: one row for each span of a license in a text."""
     templates = known_licenses() if templates is None else dict(templates)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        common.claim("words", near_dup._words.clear)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.claim("words")
         scanner = Scanner(templates)
-        for batch in batches:
-            ids, texts = batch["doc_id"].tolist(), [t if isinstance(t, str) else None for t in batch["text"]]
-            rows = [(ids[a + i], *m) for a, b in _blocks(texts) for i, found in enumerate(scanner.scan(texts[a:b])) for m in found]
-            yield pd.DataFrame(rows, columns=["doc_id", "license", "first_word", "end_word", "containment"])
+        for part in common.slices(batches, 128):
+            ids, texts = part.column(0), part.column(1).to_pylist()
+            rows = [(a + i, *m) for a, b in _blocks(texts) for i, found in enumerate(scanner.scan(texts[a:b])) for m in found]
+            fields = [pa.array([r[k] for r in rows], kind) for k, kind in enumerate((pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.float64()))]
+            yield pa.RecordBatch.from_arrays([ids.take(fields[0]), *fields[1:]], names=["doc_id", "license", "first_word", "end_word", "containment"])
 
-    return docs.select("doc_id", "text").mapInPandas(run, "doc_id long, license string, first_word long, end_word long, containment double")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, license string, first_word long, end_word long, containment double")
 
 
 def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -21,11 +21,14 @@ a null doc_id links with nothing and is kept; other columns are left out.
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
+from functools import lru_cache
 from math import comb
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -34,42 +37,92 @@ from pyspark.sql.window import Window
 from mediarel.llm import common
 
 #: Values of the fixed-size sketch behind the union estimate, and the chance that it drops a pair just at the threshold.
-SKETCH = 32
-DROP_CHANCE = 1e-9
+SKETCH = 48
+DROP_CHANCE = 1e-15
 #: A value in more documents than this, and than this share of them, goes to the end of the order.
 HOT_LEAST = 24
 HOT_SHARE = 1 / 20_000
 #: Values moved to the end at most (the most frequent): bounds what is broadcast, not what is found.
 HOT_MOST = 1_000_000
 #: Values that are counted at once while looking for frequent ones.
-COUNT_BLOCK = 4_000_000
+COUNT_BLOCK = 2_000_000
 #: Ids that may be broadcast to pick texts for exact comparison; beyond it they are joined by shuffle.
 BROADCAST_IDS = 500_000
 HUBS = 8
+#: Nodes whose labels are broadcast at most while components are found; keys of large groups elsewhere.
+LARGE_NODES = 20_000
 #: Sides of the grid in which members outside their family's main component meet the family, and columns of one matrix product.
 OUTSIDE_BLOCK = 128
-FAMILY_BLOCK = 2048
+FAMILY_BLOCK = 512
 TILE = 256
-_WORDS_HELD = 400_000
+#: Bytes of text that one numpy pass over words covers, unless a single word is longer.
+WORD_BLOCK = 1 << 18
+#: Documents whose values are held at a time between Arrow and numpy.
+ROWS = 256
 
 _A, _B, _C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
+#: An odd base of the word polynomial, so that it has an inverse modulo 2**64.
+_BASE = 0x9E3779B97F4A7C15
+_SEPARATOR = np.isin(np.arange(256), np.frombuffer(common.WORD_SEPARATORS.encode(), np.uint8))
 
 
-class _WordHashes(dict):
-    """Hash of a word, remembered up to a bound."""
+def _byte_values() -> np.ndarray:
+    """A 64-bit value for each byte: 0 for separators, and A to Z have those of a to z."""
+    low = np.arange(256, dtype=np.uint64)
+    low[65:91] += np.uint64(32)
+    with np.errstate(over="ignore"):
+        value = (low + np.uint64(1)) * _B
+        value = (value ^ (value >> np.uint64(31))) * _C
+    value[_SEPARATOR] = 0
+    return value
+
 
-    def __missing__(self, word: bytes) -> int:
-        value = xxhash.xxh3_64_intdigest(word)
-        if len(self) < _WORDS_HELD:
-            self[word] = value
-        return value
+_VALUE = _byte_values()
 
 
-_words = _WordHashes()
+@lru_cache(maxsize=2)
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the base and of its inverse, from 0 to ``n``."""
+    with np.errstate(over="ignore"):
+        up, down = (np.concatenate(([np.uint64(1)], np.cumprod(np.full(n, base, np.uint64)))) for base in (_BASE, pow(_BASE, -1, 1 << 64)))
+    return up, down
+
+
+def _block_hashes(data: bytes) -> np.ndarray:
+    at = np.frombuffer(data, np.uint8)
+    gap = _SEPARATOR[at]
+    edge = np.flatnonzero(gap[1:] != gap[:-1]) + 1
+    if len(at) and not gap[0]:
+        edge = np.concatenate(([0], edge))
+    if len(edge) % 2:
+        edge = np.append(edge, len(at))
+    start, end = edge[::2], edge[1::2]
+    if not len(start):
+        return np.empty(0, dtype=np.uint64)
+    up, down = _powers(max(WORD_BLOCK, 1 << len(at).bit_length()))
+    with np.errstate(over="ignore"):
+        sums = np.cumsum(_VALUE[at] * up[: len(at)])
+        # The byte before a later word is a separator of value 0, so the sum there is the sum before the word.
+        total = (sums[end - 1] - np.where(start > 0, sums[start - 1], np.uint64(0))) * down[start]
+        return (total ^ (total >> np.uint64(32))) * _A + (end - start).astype(np.uint64)
 
 
-def word_hashes(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(_words.__getitem__, words), dtype=np.uint64, count=len(words))
+def word_hashes(data: bytes) -> np.ndarray:
+    """Hash of every word of a UTF-8 text, in order, A to Z as a to z: differences of one running polynomial sum."""
+    found, at = [], 0
+    while at < len(data):
+        cut = len(data)
+        if cut - at > WORD_BLOCK:
+            # A block ends at a separator.
+            near = _LAST_GAP.match(data, at, at + WORD_BLOCK) or _NEXT_GAP.search(data, at + WORD_BLOCK)
+            cut = near.end() if near else cut
+        found.append(_block_hashes(data[at:cut]))
+        at = cut
+    return found[0] if len(found) == 1 else np.concatenate(found) if found else np.empty(0, dtype=np.uint64)
+
+
+_LAST_GAP = re.compile(rb".*[ \t\n\x0b\x0c\r]", re.S)
+_NEXT_GAP = re.compile(rb"[ \t\n\x0b\x0c\r]")
 
 
 def rolled(hashes: np.ndarray, width: int) -> np.ndarray:
@@ -86,13 +139,17 @@ def rolled(hashes: np.ndarray, width: int) -> np.ndarray:
 
 def shingle_set(text: str | None, width: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the word shingles of a text; fewer words than ``width`` make one."""
-    # bytes.lower and bytes.split know A to Z and the separators 9 to 13 and 32 only.
-    words = text.encode("utf-8", "surrogatepass").lower().split() if text else []
-    if not words:
+    hashes = word_hashes(text.encode("utf-8", "surrogatepass")) if text else ()
+    if not len(hashes):
         return np.empty(0, dtype=np.int64)
-    if len(words) < width:
-        return np.array([xxhash.xxh3_64_intdigest(b" ".join(words), seed=len(words))], dtype=np.uint64).view(np.int64)
-    return np.unique(rolled(word_hashes(words), width))
+    values = np.sort(rolled(hashes, min(width, len(hashes))))
+    return values[np.concatenate(([True], values[1:] != values[:-1]))]
+
+
+def _lists(rows: list[np.ndarray]) -> pa.Array:
+    """Arrow lists of 64-bit values."""
+    ends = np.cumsum([0, *map(len, rows)])
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate([np.empty(0, np.int64), *rows])))
 
 
 def prefix_length(n: int, per_cent: int) -> int:
@@ -107,33 +164,34 @@ def crowd(n_docs: int) -> int:
 def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
     """Values in many documents, most frequent first up to ``HOT_MOST``; only the order of values depends on it."""
 
-    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        common.claim("words", _words.clear)
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.claim("words")
         held: list[np.ndarray] = []
         seen: set[int] = set()
         size = 0
 
-        def flush() -> pd.DataFrame:
-            values, times = np.unique(np.concatenate(held), return_counts=True)
-            return pd.DataFrame({"v": values[times > 1], "times": times[times > 1]})
-
-        for batch in batches:
-            for text in batch["text"]:
-                values = shingle_set(text, width)
-                mark = xxhash.xxh3_64_intdigest(values.tobytes())
-                if not len(values) or mark in seen:
-                    continue
-                seen.add(mark)
-                held.append(values)
-                size += len(values)
-                if size >= COUNT_BLOCK:
-                    yield flush()
-                    held, seen, size = [], set(), 0
+        def flush() -> pa.RecordBatch:
+            values = np.sort(np.concatenate(held))
+            first = np.flatnonzero(np.concatenate(([True], values[1:] != values[:-1])))
+            times = np.diff(np.append(first, len(values)))
+            return pa.RecordBatch.from_arrays([pa.array(values[first][times > 1]), pa.array(times[times > 1], pa.int64())], names=["v", "times"])
+
+        for text in common.each_text(batches, ROWS):
+            values = shingle_set(text, width)
+            mark = xxhash.xxh3_64_intdigest(values)
+            if not len(values) or mark in seen:
+                continue
+            seen.add(mark)
+            held.append(values)
+            size += len(values)
+            if size >= COUNT_BLOCK:
+                yield flush()
+                held, seen, size = [], set(), 0
         if held:
             yield flush()
 
     least = crowd(n_docs)
-    found = docs.select("text").mapInPandas(count, "v long, times long").groupBy("v").agg(F.sum("times").alias("times"))
+    found = docs.select("text").mapInArrow(count, "v long, times long").groupBy("v").agg(F.sum("times").alias("times"))
     rows = found.where(F.col("times") > least).orderBy(F.desc("times"), "v").limit(HOT_MOST).select("v").toPandas()
     return np.sort(rows["v"].to_numpy(dtype=np.int64))
 
@@ -142,29 +200,45 @@ def sketches(docs: DataFrame, width: int, per_cent: int, hot: np.ndarray) -> Dat
     """doc_id, n, sig (of the whole set), cool (values of the prefix that are not frequent), prefix, sketch."""
     sent = docs.sparkSession.sparkContext.broadcast(hot)
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        common.claim("words", _words.clear)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.claim("words")
         frequent = sent.value
-        for batch in batches:
-            rows = []
-            for text in batch["text"]:
-                values = shingle_set(text, width)
+        for part in common.slices(batches, ROWS):
+            sets = [shingle_set(text, width) for text in part.column(1).to_pylist()]
+            cool, prefixes = [], []
+            for values in sets:
                 n = len(values)
-                if not n:
-                    rows.append((0, b"", 0, [], []))
-                    continue
                 at = np.searchsorted(frequent, values)
                 is_hot = frequent[np.minimum(at, len(frequent) - 1)] == values if len(frequent) else np.zeros(n, dtype=bool)
-                keep = prefix_length(n, per_cent)
-                cool = values[~is_hot][:keep]
-                prefix = np.concatenate((cool, values[is_hot][: keep - len(cool)]))
-                rows.append((n, xxhash.xxh3_128_digest(values.tobytes()), int((~is_hot).sum()), prefix, values[:SKETCH]))
-            made = pd.DataFrame(rows, columns=["n", "sig", "cool", "prefix", "sketch"])
-            made.insert(0, "doc_id", batch["doc_id"].to_numpy())
-            yield made
+                keep = prefix_length(n, per_cent) if n else 0
+                first = values[~is_hot][:keep]
+                prefixes.append(np.concatenate((first, values[is_hot][: keep - len(first)])) if len(first) < keep else first)
+                cool.append(n - int(is_hot.sum()))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    part.column(0),
+                    pa.array(list(map(len, sets)), pa.int32()),
+                    pa.array([xxhash.xxh3_128_digest(v) if len(v) else b"" for v in sets], pa.binary()),
+                    pa.array(cool, pa.int32()),
+                    _lists(prefixes),
+                    _lists([v[:SKETCH] for v in sets]),
+                ],
+                names=["doc_id", "n", "sig", "cool", "prefix", "sketch"],
+            )
+
+    known = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long"), "text")
+    return known.mapInArrow(run, "doc_id long, n int, sig binary, cool int, prefix array<long>, sketch array<long>")
+
+
+def set_sizes(docs: DataFrame, width: int) -> DataFrame:
+    """doc_id, n_shingles of each row of ``docs`` (doc_id, text)."""
 
-    known = docs.where(F.col("doc_id").isNotNull()).select("doc_id", "text")
-    return known.mapInPandas(run, "doc_id long, n int, sig binary, cool int, prefix array<long>, sketch array<long>")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in common.slices(batches, ROWS):
+            sizes = [len(shingle_set(text, width)) for text in part.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64())], names=["doc_id", "n_shingles"])
+
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, n_shingles long")
 
 
 def _sizes_fit(na: Column, nb: Column, per_cent: int) -> Column:
@@ -211,12 +285,12 @@ def _sets_of(ids: DataFrame, docs: DataFrame, width: int) -> DataFrame:
     """(doc_id, values): full shingle sets of the documents in question, from their texts."""
     picked = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
 
-    def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        common.claim("words", _words.clear)
-        for batch in batches:
-            yield pd.DataFrame({"doc_id": batch["doc_id"], "values": [shingle_set(t, width) for t in batch["text"]]})
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.claim("words")
+        for part in common.slices(batches, ROWS):
+            yield pa.RecordBatch.from_arrays([part.column(0), _lists([shingle_set(t, width) for t in part.column(1).to_pylist()])], names=["doc_id", "values"])
 
-    known = docs.select("doc_id", "text").join(picked, "doc_id", "left_semi").mapInPandas(sets, "doc_id long, values array<long>")
+    known = docs.select(F.col("doc_id").cast("long"), "text").join(picked, "doc_id", "left_semi").mapInArrow(sets, "doc_id long, values array<long>")
     return common.materialise(known, "dup-sets")
 
 
@@ -269,11 +343,22 @@ def _met_in_blocks(outside: DataFrame, anyone: DataFrame, docs: DataFrame, width
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """node, component (its smallest node) for every node of ``edges`` (a, b): least labels with pointer jumps."""
+    """node, component (its smallest node) for every node of ``edges`` (a, b): least labels with pointer jumps.
+
+    Nodes with a large share of the edges, as leaders of families have, are at most ``LARGE_NODES``: their labels are broadcast.
+    """
     both = common.materialise(edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "cc-edges")
+    large = common.materialise(both.groupBy("b").agg(F.count("*").alias("held")).where(F.col("held") > max(HOT_LEAST, both.count() // LARGE_NODES)).select("b"), "cc-large")
+    some = large.limit(1).count() > 0
     labels = common.materialise(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("a"), F.min("b")).alias("component")), "cc")
     while True:
-        near = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("component").alias("least"))
+        named = labels.withColumnRenamed("node", "b")
+        if some:
+            told = F.broadcast(named.join(F.broadcast(large), "b", "left_semi"))
+            met = both.join(told, "b").select("a", "component").unionByName(both.join(F.broadcast(large), "b", "left_anti").join(named, "b").select("a", "component"))
+        else:
+            met = both.join(named, "b").select("a", "component")
+        near = met.groupBy(F.col("a").alias("node")).agg(F.min("component").alias("least"))
         hooked = labels.join(near, "node").select("node", "component", F.least("component", "least").alias("next"))
         roots = labels.select(F.col("node").alias("next"), F.col("component").alias("root"))
         jumped = common.materialise(hooked.join(roots, "next", "left").select("node", F.least("next", F.coalesce("root", "next")).alias("component"), (F.col("component") != F.least("next", F.coalesce("root", "next"))).alias("moved")), "cc")
@@ -282,7 +367,7 @@ def components(edges: DataFrame) -> DataFrame:
         labels = jumped.drop("moved")
         labels._stored_at = jumped._stored_at
         if not moved:
-            common.discard(both)
+            common.discard(both, large)
             return labels
 
 
@@ -291,25 +376,30 @@ def _labelled(rows: DataFrame, labels: DataFrame, column: str, into: str) -> Dat
     return rows.join(named, column, "left").withColumn(into, F.coalesce(F.col(into), F.col(column)))
 
 
-def _classes(base: DataFrame) -> tuple[DataFrame, DataFrame | None, DataFrame]:
+def _classes(base: DataFrame, n_docs: int) -> tuple[DataFrame, DataFrame | None, DataFrame]:
     """(copies: doc_id and rep of all but one document of each class of equal sets, links of copies whose doc_id has another text too or None, the rows of the others).
 
     Only the text that is a copy leaves the search, not another text of its doc_id.
     """
     filled = base.where("n > 0")
-    classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1").select("sig", "rep")
-    held = filled.select("doc_id", "sig").join(classes, "sig").where("doc_id != rep")
+    classes = filled.groupBy("sig").agg(F.min("doc_id").alias("rep"), F.count("*").alias("rows")).where("rows > 1")
+    classes = common.materialise(classes, "dup-classes")
+    # A large class would meet its representative in one task; there are at most ``n_docs / crowd`` of them, so those are broadcast.
+    large = F.broadcast(classes.where(F.col("rows") > crowd(n_docs)).select("sig", "rep"))
+    small = classes.where(F.col("rows") <= crowd(n_docs)).select("sig", "rep")
+    ids = filled.select("doc_id", "sig")
+    held = ids.join(large, "sig").unionByName(ids.join(large.select("sig"), "sig", "left_anti").join(small, "sig")).where("doc_id != rep")
     several = common.materialise(filled.groupBy("doc_id").agg((F.min("sig") != F.max("sig")).alias("several")).where("several"), "dup-several")
     if not several.limit(1).count():
-        common.discard(several)
         copies = common.materialise(held.select("doc_id", "rep").distinct(), "dup-copies")
+        common.discard(several, classes)
         return copies, None, filled.join(copies.select("doc_id"), "doc_id", "left_anti")
     held = held.distinct().join(several, "doc_id", "left").withColumn("several", F.col("several").isNotNull())
     held = common.materialise(held, "dup-copies")
     copies = held.where("NOT several").select("doc_id", "rep")
     bridges = held.where("several").select(F.col("rep").alias("a"), F.col("doc_id").alias("b"))
     copies._stored_at = held._stored_at
-    common.discard(several)
+    common.discard(several, classes)
     return copies, bridges, filled.join(held.select("doc_id", "sig"), ["doc_id", "sig"], "left_anti")
 
 
@@ -319,29 +409,25 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     n_docs = docs.count()
     hot = frequent_values(docs, width, n_docs)
     base = common.materialise(sketches(docs, width, per_cent, hot), "dup-sketches")
-    copies, bridges, reps = _classes(base)
+    copies, bridges, reps = _classes(base, n_docs)
     # Counting in blocks misses values that are thinly spread; exact lists show them, and they move to the end too.
-    # Only documents with such a value in their prefix get another prefix by that.
     cool = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v")).where("place < cool").select("doc_id", "v")
     listed = cool.groupBy("v").agg(F.count("*").alias("held")).where(F.col("held") > crowd(n_docs))
-    crowded = common.materialise(listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v"), "dup-crowded")
-    values = crowded.toPandas()["v"].to_numpy(dtype=np.int64)
+    values = listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v").toPandas()["v"].to_numpy(dtype=np.int64)
     if len(values):
-        touched = base.select("doc_id", F.explode("prefix").alias("v")).join(F.broadcast(crowded), "v", "left_semi").select("doc_id").distinct()
-        touched = common.materialise(touched, "dup-touched")
-        again = sketches(docs.join(touched, "doc_id", "left_semi"), width, per_cent, np.union1d(hot, values))
-        renewed = common.materialise(base.join(touched, "doc_id", "left_anti").unionByName(again), "dup-sketches")
-        common.discard(base, copies, touched)
-        base = renewed
-        copies, bridges, reps = _classes(base)
-    common.discard(crowded)
+        # Prefixes are cut again where the texts are read: no text is shuffled for it.
+        common.discard(base, copies)
+        base = common.materialise(sketches(docs, width, per_cent, np.union1d(hot, values)), "dup-sketches")
+        copies, bridges, reps = _classes(base, n_docs)
     rows = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v"))
     sketched = reps.select("doc_id", "n", "sketch")
 
     # Frequent values may have very long lists: their leaders come from a pre-aggregated minimum.
     hot_rows = rows.where("place >= cool").select("v", "doc_id", "n", (F.col("cool") / F.col("n")).alias("own"))
     leaders = hot_rows.groupBy("v").agg(F.min(F.struct("own", "doc_id", "n")).alias("lead"), F.count("*").alias("held")).where("held > 1")
-    hot_star = hot_rows.join(leaders, "v").where("doc_id != lead.doc_id").select(F.col("lead.doc_id").alias("a"), F.col("lead.n").alias("n_a"), F.col("doc_id").alias("b"), F.col("n").alias("n_b"), "own").distinct()
+    leaders = common.materialise(leaders, "dup-leaders")
+    hot_rows = _met_by_key(hot_rows, leaders, "v", F.col("held") > max(1000, n_docs // 1000))
+    hot_star = hot_rows.where("doc_id != lead.doc_id").select(F.col("lead.doc_id").alias("a"), F.col("lead.n").alias("n_a"), F.col("doc_id").alias("b"), F.col("n").alias("n_b"), "own").distinct()
     hot_star = common.materialise(hot_star, "dup-hot")
     # Lists of the other values are short, so one window gives each its leader.
     whole = Window.partitionBy("v")
@@ -388,15 +474,29 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     linked = linked.unionByName(third.where("linked").select("a", "b")).unionByName(met)
     labels = components(linked if bridges is None else linked.unionByName(bridges))
 
-    classed = docs.select("doc_id").join(copies, "doc_id", "left").withColumn("rep", F.coalesce("rep", "doc_id"))
-    placed = _labelled(classed, labels, "rep", "component_id")
-    sizes = base.groupBy("doc_id").agg(F.max("n").cast("long").alias("n_shingles"))
-    return placed.join(sizes, "doc_id", "left").select(
-        "doc_id",
-        F.coalesce("n_shingles", F.lit(0).cast("long")).alias("n_shingles"),
-        "component_id",
-        F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)).alias("kept"),
-    )
+    # Copies take the component of their representative, which a large class shares: pre-joined on the side of the classes.
+    placed = base.groupBy("doc_id").agg(F.max("n").cast("long").alias("n_shingles"), F.count("*").cast("int").alias("times"))
+    placed = placed.join(_of_copies(copies, labels), "doc_id", "left").join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left")
+    placed = placed.withColumn("component_id", F.coalesce("of_rep", "component", "doc_id")).withColumn("_row", F.explode(F.array_repeat(F.lit(0), F.col("times"))))
+    out = placed.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    # A null doc_id links with nothing, but its set has a size too.
+    unknown = set_sizes(docs.where(F.col("doc_id").isNull()), width)
+    return out.unionByName(unknown.select("doc_id", "n_shingles", F.lit(None).cast("long").alias("component_id"), F.lit(True).alias("kept")))
+
+
+def _met_by_key(rows: DataFrame, unique: DataFrame, key: str, large: Column) -> DataFrame:
+    """Inner join with a table of unique keys; the rows of its ``large`` keys, few by that condition, never meet in one task."""
+    top, few = F.broadcast(unique.where(large)), unique.where(~large)
+    return rows.join(top, key).unionByName(rows.join(top.select(key), key, "left_anti").join(few, key))
+
+
+def _of_copies(copies: DataFrame, labels: DataFrame) -> DataFrame:
+    """doc_id, of_rep: the component of the representative of every copy."""
+    sizes = common.materialise(copies.groupBy("rep").agg(F.count("*").alias("held")), "dup-reps")
+    named = sizes.join(labels.withColumnRenamed("node", "rep"), "rep", "left").select("rep", "held", F.coalesce("component", "rep").alias("of_rep"))
+    named = common.materialise(named, "dup-reps")
+    common.discard(sizes)
+    return _met_by_key(copies, named, "rep", F.col("held") > max(HOT_LEAST, copies.count() // LARGE_NODES)).select("doc_id", "of_rep")
 
 
 def op2_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
