@@ -3,12 +3,14 @@
 A merge can only join two symbols if their concatenation is a vocabulary token, so two neighbouring
 bytes that no token holds inside it always stay apart. Those byte pairs cut a pre-token into
 fragments that are encoded independently; their ids are concatenated. Fragments, pre-tokens and
-space-separated chunks repeat a lot, so each level has a bounded cache in the worker process.
+space-separated chunks repeat a lot, so each level has a bounded cache in the worker process. Decoding
+starts from the ids.
 
 Covers vocabulary files of the ``tokenizers`` format with an NFC, white-space and lower-case normaliser, a
 removing split and byte-level symbols with an end-of-word suffix.
 
-Defined cases: null text is encoded as empty (no ids, empty decoded text); special tokens in a text
+Defined cases: null text is encoded as empty (no ids, empty decoded text); repeated rows are encoded alike, an empty table
+gives an empty result; columns of the names of the result are replaced; special tokens in a text
 become their ids, as the library does; texts with characters whose class may differ between Unicode
 versions are split by the library's own pre-tokeniser; other columns pass through.
 """
@@ -22,24 +24,28 @@ import os
 import re
 import unicodedata
 from array import array
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import lru_cache
 
-import pandas as pd
 import pyarrow as pa
 from pyspark import SparkFiles
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from mediarel.llm import common
 
-#: Entries that the caches of a worker process hold at most: fragments and words, chunks, chunks of the library.
-CACHE_ENTRIES = 100_000
-CHUNK_ENTRIES = 200_000
-LIBRARY_ENTRIES = 600_000
-#: A chunk longer than this is not cached.
-CACHED_CHARS = 64
+#: Entries of one generation of the caches: fragments and words, chunks, chunks of the library. A full generation becomes
+#: the old one, whose entries come back when they are met again. An entry has at most ``CACHED_CHARS`` characters and
+#: takes about 200 bytes, so the caches of a worker stay below 120 MB.
+CACHE_ENTRIES = 20_000
+CHUNK_ENTRIES = 250_000
+LIBRARY_ENTRIES = 300_000
+CACHED_CHARS = 48
+#: Symbols up to which a fragment is merged by looking at every pair again; a longer one uses a heap.
+SHORT = 24
+#: Texts that are Python strings at a time.
+ROWS = 64
 
 #: Fixed values of the vocabulary file's format: bytes that stand for themselves as symbols.
 _PLAIN_BYTES = (*range(33, 127), *range(161, 173), *range(174, 256))
@@ -58,6 +64,25 @@ def vocabulary_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+class Generations:
+    """A bounded cache of two generations."""
+
+    def __init__(self, entries: int):
+        self.entries = entries
+        self.new: dict = {}
+        self.old: dict = {}
+
+    def get(self, key):
+        if (found := self.new.get(key)) is None and (found := self.old.get(key)) is not None:
+            self.put(key, found)
+        return found
+
+    def put(self, key, value) -> None:
+        if len(self.new) >= self.entries:
+            self.old, self.new = self.new, {}
+        self.new[key] = value
+
+
 class ForcedBoundaryBpe:
     """Encoder and decoder over one vocabulary file."""
 
@@ -76,18 +101,20 @@ class ForcedBoundaryBpe:
         inner = set()
         for token in self.vocab:
             body = token.removesuffix(self.suffix) if self.suffix else token
-            inner.update(zip(body, body[1:], strict=False))
+            inner.update(body[i : i + 2] for i in range(len(body) - 1))
         #: Pairs of symbols that some token holds; any other pair is a forced boundary.
         self.inner = inner
-        self.fragments: dict[tuple[str, bool], tuple[int, ...]] = {}
-        self.words: dict[str, tuple[int, ...]] = {}
-        self.chunks: dict[str, tuple[bytes, str]] = {}
-        self.library_chunks: dict[str, bytes] = {}
+        self.forget()
         # Latin letters, digits and marks whose class no Unicode version moves; others go to the library.
         self.plain = re.compile(r"[\x00-\x1b\x20-ɏ‐-‧€]*\Z")
         self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_²³¹¼½¾]+|[\d²³¹¼½¾]|(?:[^\w\s]|_)+")
         self._library = None
 
+    def forget(self) -> None:
+        """Empty the caches."""
+        self.fragments, self.words = Generations(CACHE_ENTRIES), Generations(CACHE_ENTRIES)
+        self.chunks, self.library_chunks = Generations(CHUNK_ENTRIES), Generations(LIBRARY_ENTRIES)
+
     def library(self):
         if self._library is None:
             os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -98,14 +125,31 @@ class ForcedBoundaryBpe:
 
     def cut(self, word: str) -> list[str]:
         """Fragments of a word between its forced boundaries."""
-        at = [0, *(i for i in range(1, len(word)) if (word[i - 1], word[i]) not in self.inner), len(word)]
+        inner = self.inner
+        at = [i for i in range(1, len(word)) if word[i - 1 : i + 1] not in inner]
+        if not at:
+            return [word]
+        at = [0, *at, len(word)]
         return [word[a:b] for a, b in zip(at, at[1:], strict=False)]
 
-    def merge(self, fragment: str, last: bool) -> tuple[int, ...]:
-        """Ids of one fragment: lowest rank first, leftmost first among equals; n log n in its length."""
+    def merge(self, fragment: str, last: bool) -> bytes:
+        """Ids of one fragment: lowest rank first, leftmost first among equals; n log n in its length if that is large."""
         parts: list[str | None] = list(fragment)
         if last:
             parts[-1] += self.suffix
+        if len(parts) <= SHORT:
+            rank, none = self.ranks.get, len(self.ranks)
+            found = [rank(p, none) for p in zip(parts, parts[1:])]  # noqa: B905
+            while found and (least := min(found)) < none:
+                i = found.index(least)
+                parts[i] += parts.pop(i + 1)
+                del found[i]
+                # Only the pairs on either side are new.
+                if i:
+                    found[i - 1] = rank((parts[i - 1], parts[i]), none)
+                if i < len(found):
+                    found[i] = rank((parts[i], parts[i + 1]), none)
+            return array("I", map(self.vocab.__getitem__, parts)).tobytes()
         n = len(parts)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         heap = [(self.ranks[p], i, p) for i in range(n - 1) if (p := (parts[i], parts[i + 1])) in self.ranks]
@@ -124,25 +168,26 @@ class ForcedBoundaryBpe:
                     heapq.heappush(heap, (self.ranks[p], i, p))
             if before[i] >= 0 and (p := (parts[before[i]], parts[i])) in self.ranks:
                 heapq.heappush(heap, (self.ranks[p], before[i], p))
-        return tuple(self.vocab[p] for p in parts if p is not None)
+        return array("I", [self.vocab[p] for p in parts if p is not None]).tobytes()
 
-    def word_ids(self, word: str) -> tuple[int, ...]:
+    def word_ids(self, word: str) -> bytes:
         """Ids of a pre-token, given as text."""
         if (found := self.words.get(word)) is not None:
             return found
         symbols = "".join(map(self.symbols.__getitem__, word.encode("utf-8", "surrogatepass")))
-        ids: list[int] = []
+        ids: list[bytes] = []
         pieces = self.cut(symbols)
         for k, piece in enumerate(pieces):
             key = (piece, k == len(pieces) - 1)
             if (part := self.fragments.get(key)) is None:
                 part = self.merge(*key)
-                if len(piece) <= CACHED_CHARS and len(self.fragments) < CACHE_ENTRIES:
-                    self.fragments[key] = part
-            ids += part
-        if len(word) <= CACHED_CHARS and len(self.words) < CACHE_ENTRIES:
-            self.words[word] = tuple(ids)
-        return tuple(ids)
+                if len(piece) <= CACHED_CHARS:
+                    self.fragments.put(key, part)
+            ids.append(part)
+        made = ids[0] if len(ids) == 1 else b"".join(ids)
+        if len(word) <= CACHED_CHARS:
+            self.words.put(word, made)
+        return made
 
     def pretokens(self, text: str, plain: bool) -> list[str]:
         """Pre-tokens of a normalised text."""
@@ -151,44 +196,43 @@ class ForcedBoundaryBpe:
         found = self.library().pre_tokenizer.pre_tokenize_str(text)
         return [text[a:b] for _, (a, b) in found]
 
-    def _chunk(self, chunk: str, plain: bool) -> tuple[bytes, str]:
-        ids = [i for w in self.pretokens(chunk, plain) for i in self.word_ids(w)]
-        made = (array("I", ids).tobytes(), " ".join([self.tokens[i] for i in ids]))
-        if plain and len(chunk) <= CACHED_CHARS and len(self.chunks) < CHUNK_ENTRIES:
-            self.chunks[chunk] = made
+    def _chunk(self, chunk: str, plain: bool) -> bytes:
+        if plain and (found := self.chunks.get(chunk)) is not None:
+            return found
+        # A chunk of plain letters is one pre-token.
+        made = self.word_ids(chunk) if plain and chunk.isalpha() else b"".join(map(self.word_ids, self.pretokens(chunk, plain)))
+        if plain and len(chunk) <= CACHED_CHARS:
+            self.chunks.put(chunk, made)
         return made
 
-    def _segment(self, text: str) -> tuple[list[bytes], list[str]]:
-        """Ids and decoded tokens of a text without special tokens."""
+    def _segment(self, text: str) -> bytes:
+        """Ids of a text without special tokens."""
         if self.plain.match(text):
             if not text.isascii():
                 text = unicodedata.normalize("NFC", text)
-            plain, text = True, text.lower() if "İ" not in text else self.library().normalizer.normalize_str(text)
+            text = text.lower() if "İ" not in text else self.library().normalizer.normalize_str(text)
             plain = text.isascii() or self.plain.match(text) is not None
         else:
             plain, text = False, self.library().normalizer.normalize_str(text)
         if not plain:
-            made = [self._chunk(text, False)]
-            return [made[0][0]], [made[0][1]] if made[0][1] else []
-        get, chunks = self.chunks.get, text.split()
-        found = [get(c) or self._chunk(c, True) for c in chunks]
-        return [f[0] for f in found], [f[1] for f in found]
-
-    def encode(self, text: str | None) -> tuple[bytes, str]:
-        """Ids as little-endian unsigned 32-bit integers, and the decoded text: the tokens joined by spaces."""
+            return self._chunk(text, False)
+        chunks = text.split()
+        found = list(map(self.chunks.new.get, chunks))
+        if None in found:
+            found = [self._chunk(c, True) if ids is None else ids for c, ids in zip(chunks, found, strict=True)]
+        return b"".join(found)
+
+    def encode(self, text: str | None) -> bytes:
+        """Ids as little-endian unsigned 32-bit integers."""
         if not text:
-            return b"", ""
+            return b""
         if self.special_pattern is None or "<|" not in text and not self.special_pattern.search(text):
-            ids, words = self._segment(text)
-            return b"".join(ids), " ".join(words)
-        ids, words, at = [], [], 0
+            return self._segment(text)
+        ids, at = [], 0
         for m in self.special_pattern.finditer(text):
-            some, more = self._segment(text[at : m.start()])
-            ids += [*some, array("I", [self.special[m[0]]]).tobytes()]
-            words += [*more, m[0]]
+            ids += [self._segment(text[at : m.start()]), array("I", [self.special[m[0]]]).tobytes()]
             at = m.end()
-        some, more = self._segment(text[at:])
-        return b"".join([*ids, *some]), " ".join([*words, *more])
+        return b"".join([*ids, self._segment(text[at:])])
 
     def library_ids(self, text: str) -> bytes:
         """Ids by the library: it encodes every chunk between white space that the cache lacks, all of a text in one call."""
@@ -200,18 +244,23 @@ class ForcedBoundaryBpe:
             text = unicodedata.normalize("NFC", text)
         chunks = text.lower().split()
         known = self.library_chunks
-        missing = [c for c in dict.fromkeys(chunks) if c not in known]
-        if not missing:
-            return b"".join(map(known.__getitem__, chunks))
-        made = {c: array("I", e.ids).tobytes() for c, e in zip(missing, self.library().encode_batch_fast(missing, add_special_tokens=False), strict=True)}
-        found = b"".join([known.get(c) or made[c] for c in chunks])
-        if len(known) < LIBRARY_ENTRIES:
-            known.update((c, i) for c, i in made.items() if len(c) <= CACHED_CHARS)
-        return found
+        found = list(map(known.new.get, chunks))
+        if None not in found:
+            return b"".join(found)
+        missing = dict.fromkeys([c for c, ids in zip(chunks, found, strict=True) if ids is None])
+        made = {c: ids for c in missing if (ids := known.old.get(c)) is not None}
+        unknown = [c for c in missing if c not in made]
+        if unknown:
+            made.update((c, array("I", e.ids).tobytes()) for c, e in zip(unknown, self.library().encode_batch_fast(unknown, add_special_tokens=False), strict=True))
+        whole = b"".join([made[c] if ids is None else ids for c, ids in zip(chunks, found, strict=True)])
+        for c, ids in made.items():
+            if len(c) <= CACHED_CHARS:
+                known.put(c, ids)
+        return whole
 
     def decode(self, ids: bytes) -> str:
-        """Text of ids, special tokens included."""
-        return " ".join([self.tokens[i] for i in array("I", ids)])
+        """Text of ids, special tokens included: their tokens joined by spaces."""
+        return " ".join(map(self.tokens.__getitem__, array("I", ids)))
 
 
 @lru_cache(maxsize=2)
@@ -228,58 +277,46 @@ def distribute(spark: SparkSession, path: str) -> str:
 
 
 def encoder(name: str) -> ForcedBoundaryBpe:
+    """The worker's encoder."""
     common.claim("bpe", _loaded.cache_clear)
     return _loaded(name)
 
 
-def with_tokens(docs: DataFrame, path: str | None = None, text: Column | None = None) -> DataFrame:
-    """``docs`` with ``token_ids`` (binary, little-endian unsigned 32-bit) and ``decoded``."""
-    name = distribute(docs.sparkSession, path or vocabulary_path())
+def _coded(batches: Iterator[pa.RecordBatch], name: str, of: Callable[[ForcedBoundaryBpe, str | None], tuple], kinds: dict[str, pa.DataType]) -> Iterator[pa.RecordBatch]:
+    """Batches with the fields of ``of`` in the place of their last column, the text; small blocks are handed on."""
+    coder = encoder(name)
+    for part in common.slices(batches, ROWS):
+        rows = [of(coder, text) for text in part.column(part.num_columns - 1).to_pylist()]
+        made = [pa.array([r[k] for r in rows], kind) for k, kind in enumerate(kinds.values())]
+        yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=[*part.schema.names[:-1], *kinds])
 
-    @F.pandas_udf("token_ids binary, decoded string")
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        bpe = encoder(name)
-        for batch in batches:
-            yield pd.DataFrame([bpe.encode(t) for t in batch], columns=["token_ids", "decoded"])
 
-    kept = docs.drop("token_ids", "decoded")
-    return kept.withColumn("_bpe", run(F.col("text") if text is None else text)).select(*kept.columns, "_bpe.token_ids", "_bpe.decoded")
+def _ids_and_text(coder: ForcedBoundaryBpe, text: str | None) -> tuple[int, bytes, str]:
+    ids = coder.encode(text)
+    return len(ids) // 4, ids, coder.decode(ids)
 
 
-def encoded(docs: DataFrame, path: str | None = None, columns: tuple[str, ...] = ("doc_id", "lang", "source"), rows: int = 512) -> DataFrame:
-    """``columns`` with ``n_tokens``, ``token_ids`` (binary) and ``decoded``, handed on in small blocks of rows."""
-    name = distribute(docs.sparkSession, path or vocabulary_path())
-    kept = docs.select(*columns, "text")
-    fields = [f for f in kept.schema.fields if f.name in columns]
+def _digests(coder: ForcedBoundaryBpe, text: str | None) -> tuple[int, str, str]:
+    n, ids, decoded = _ids_and_text(coder, text)
+    return n, hashlib.sha256(ids).hexdigest(), hashlib.sha256(decoded.encode("utf-8", "surrogatepass")).hexdigest()
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bpe = encoder(name)
-        for batch in batches:
-            for at in range(0, batch.num_rows, rows):
-                part = batch.slice(at, rows)
-                coded = [bpe.encode(t) for t in part.column(part.num_columns - 1).to_pylist()]
-                made = [pa.array([len(i) // 4 for i, _ in coded], pa.int64()), pa.array([i for i, _ in coded], pa.binary()), pa.array([d for _, d in coded], pa.string())]
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *made], names=[*columns, "n_tokens", "token_ids", "decoded"])
 
-    schema = T.StructType([*fields, T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.BinaryType()), T.StructField("decoded", T.StringType())])
-    return kept.mapInArrow(run, schema)
+def encoded(docs: DataFrame, path: str | None = None, text: str = "text") -> DataFrame:
+    """All columns but ``text``, with ``n_tokens``, ``token_ids`` (binary, little-endian unsigned 32-bit) and ``decoded``, replacing columns of these names."""
+    name = distribute(docs.sparkSession, path or vocabulary_path())
+    kept = docs.select(*[F.col(f"`{c}`") for c in docs.columns if c not in (text, "n_tokens", "token_ids", "decoded")])
+    schema = T.StructType([*kept.schema.fields, T.StructField("n_tokens", T.LongType()), T.StructField("token_ids", T.BinaryType()), T.StructField("decoded", T.StringType())])
+    kinds = {"n_tokens": pa.int64(), "token_ids": pa.binary(), "decoded": pa.string()}
+    return docs.select(*[F.col(f"`{c}`") for c in kept.columns], text).mapInArrow(lambda batches: _coded(batches, name, _ids_and_text, kinds), schema)
 
 
 def digests(docs: DataFrame, path: str | None = None) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256: digests are taken where the ids are made, so no ids travel."""
     name = distribute(docs.sparkSession, path or vocabulary_path())
-
-    @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        bpe = encoder(name)
-        for batch in batches:
-            rows = []
-            for text in batch:
-                ids, decoded = bpe.encode(text)
-                rows.append((len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(decoded.encode("utf-8", "surrogatepass")).hexdigest()))
-            yield pd.DataFrame(rows, columns=["n_tokens", "ids_sha256", "decoded_sha256"])
-
-    return docs.select("doc_id", run(F.col("text")).alias("d")).select("doc_id", "d.*")
+    kept = docs.select("doc_id", "text")
+    schema = T.StructType([kept.schema["doc_id"], T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())])
+    kinds = {"n_tokens": pa.int64(), "ids_sha256": pa.string(), "decoded_sha256": pa.string()}
+    return kept.mapInArrow(lambda batches: _coded(batches, name, _digests, kinds), schema)
 
 
 def op4_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,7 @@ table are the chunks, so Spark's committer makes writing safe against lost tasks
 Spark reaches will do; the index table beside it has a row for each chunk: its place, documents and ids.
 
 Defined cases: null text is encoded as empty, so the document has the end id alone; repeated doc_ids
-keep their rows, in order of their ids' bytes; an empty table makes an empty file that reads back empty; other columns are left out.
+keep their rows, in order of their texts; null doc_ids come first; a very long text stays in one chunk; an empty table makes an empty file that reads back empty; other columns are left out.
 """
 
 from __future__ import annotations
@@ -17,6 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -36,6 +37,15 @@ CHUNK_SCHEMA = (
 )
 
 
+_CHUNK_ARROW = pa.schema(
+    {
+        **{"part": pa.int32(), "chunk": pa.int32(), "first_doc": pa.int64(), "n_docs": pa.int32(), "start_in_part": pa.int64(), "n_ids": pa.int64(), "crc": pa.int64()},
+        **dict.fromkeys(("doc_ids", "doc_nulls", "lengths"), pa.binary()),
+        "blocks": pa.list_(pa.struct({"n": pa.int32(), "planes": pa.list_(pa.binary())})),
+    }
+)
+
+
 def to_planes(ids: np.ndarray, bits: bool = False) -> list[bytes]:
     """Planes of a block of 32-bit ids: 4 byte planes, or 32 bit planes from the lowest bit."""
     if not bits:
@@ -100,6 +110,9 @@ class _Writer:
         self.clear()
         return made
 
+    def batch(self) -> pa.RecordBatch:
+        return pa.RecordBatch.from_pylist([self.take()], schema=_CHUNK_ARROW)
+
 
 def write(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int | None = END_ID, bits: bool = False, parts: int | None = None, chunk_ids: int = CHUNK_IDS, block_ids: int = BLOCK_IDS) -> None:
     """Encode ``docs`` (doc_id, text) in ascending doc_id order into ``path/chunks`` and ``path/index``.
@@ -112,19 +125,19 @@ def write(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int
     ordered = docs.select("doc_id", "text").repartitionByRange(n, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
     tail = np.array([] if end_id is None else [end_id], "<u4").tobytes()
 
-    def encode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = bpe.encoder(name)
         writer = None
-        for batch in batches:
-            for part, doc, text in zip(batch["part"], batch["doc_id"], batch["text"], strict=True):
-                writer = writer or _Writer(int(part), bits, chunk_ids, block_ids)
-                if writer.add(None if doc is None or doc != doc else int(doc), coder.library_ids(text if isinstance(text, str) else "") + tail):
-                    yield pd.DataFrame([writer.take()])
+        for rows in common.slices(batches, bpe.ROWS):
+            for part, doc, text in zip(*(c.to_pylist() for c in rows.columns), strict=True):
+                writer = writer or _Writer(part, bits, chunk_ids, block_ids)
+                if writer.add(doc, coder.library_ids(text or "") + tail):
+                    yield writer.batch()
         if writer and writer.docs:
-            yield pd.DataFrame([writer.take()])
+            yield writer.batch()
 
-    keyed = ordered.select(F.spark_partition_id().alias("part"), F.col("doc_id").cast("decimal(20,0)").alias("doc_id"), "text")
-    keyed.mapInPandas(encode, CHUNK_SCHEMA).write.parquet(f"{path}/chunks")
+    keyed = ordered.select(F.spark_partition_id().alias("part"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    keyed.mapInArrow(encode, CHUNK_SCHEMA).write.parquet(f"{path}/chunks")
     spark.read.schema(CHUNK_SCHEMA).parquet(f"{path}/chunks").select("part", "chunk", "first_doc", "n_docs", "start_in_part", "n_ids", "crc").coalesce(1).write.parquet(f"{path}/index")
 
 
