@@ -12,7 +12,8 @@ those contain it. Prediction covers every whole text in numpy blocks of bounded
 
 Defined cases: a null text or one without letters is ``und`` with score 0; ties go to the
 smaller language name; no labelled text at all makes every text ``und``; up to 64 languages share
-a slice, more take further slices; other columns pass through.
+a slice, more take further slices; repeated rows are judged alike; an empty table gives an empty result;
+other columns pass through, and columns named ``lang_pred`` or ``score`` are replaced.
 """
 
 from __future__ import annotations
@@ -22,8 +23,8 @@ from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import Column, DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -32,6 +33,8 @@ from mediarel.llm import common
 UNDETERMINED = "und"
 #: Labelled documents of a language that a filter is fitted on at most.
 FIT_DOCS = 1500
+#: Languages that a filter tells apart at most, those with the most labelled texts: a bound on its size and on what reaches the driver.
+MOST_LANGUAGES = 1024
 NGRAM = (2, 3, 4)
 SLOTS = 1 << 20
 PROBES = 3
@@ -154,26 +157,29 @@ def held_out(doc_id: Column) -> Column:
 def fit(docs: DataFrame, fit_docs: int = FIT_DOCS, orders: tuple[int, ...] = NGRAM, least_share: float = 0.02, slots: int = SLOTS) -> BitmaskFilter:
     """Filter of the languages in ``docs`` (doc_id, text, lang): rows that may be learned from."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
-    names = [r[0] for r in known.select("lang").distinct().orderBy("lang").collect()]
+    # Values of ``lang`` that fewer labelled texts hold are no language to learn once there are more than ``MOST_LANGUAGES``.
+    names = sorted(r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect())
     if not names:
         return BitmaskFilter.build([], [], slots=8)
-    picked = None
-    for place, name in enumerate(names):
-        some = known.where(F.col("lang") == name).select("doc_id", F.lit(place).alias("place")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_docs)
-        picked = some if picked is None else picked.unionByName(some)
+    places = docs.sparkSession.createDataFrame([(name, place) for place, name in enumerate(names)], "lang string, place int")
+    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
+    # Ranks are limited before the shuffle too, so a language with most of the rows sends few.
+    picked = known.select("doc_id", "lang").withColumn("turn", F.row_number().over(by_hash)).where(F.col("turn") <= fit_docs)
+    picked = picked.join(F.broadcast(places), "lang").select("doc_id", "lang", "place").distinct()
     # At most fit_docs ids a language, so the join may broadcast them.
-    texts = known.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("place", "text")
+    texts = known.select("doc_id", "lang", "text").join(F.broadcast(picked), ["doc_id", "lang"]).select("place", "text")
 
-    def grams(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for place, text in zip(batch["place"], batch["text"], strict=True):
+    def grams(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.claim("language")
+        for part in common.slices(batches, 64):
+            for place, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
                 letters = np.concatenate((np.zeros(1, np.uint32), _letters(text), np.zeros(1, np.uint32)))
                 found = np.unique(np.concatenate([ngram_hashes(letters, n) for n in orders]))
-                yield pd.DataFrame({"gram": found.view(np.int64), "place": np.full(len(found), place, dtype=np.int32)})
+                yield pa.RecordBatch.from_arrays([pa.array(found.view(np.int64)), pa.array(np.full(len(found), place, dtype=np.int32))], names=["gram", "place"])
 
     sizes = texts.groupBy("place").agg(F.count("*").alias("docs"))
     kept = (
-        texts.mapInPandas(grams, "gram long, place int")
+        texts.mapInArrow(grams, "gram long, place int")
         .groupBy("gram", "place")
         .agg(F.count("*").alias("seen"))
         .join(F.broadcast(sizes), "place")
@@ -190,13 +196,15 @@ def predict(docs: DataFrame, model: BitmaskFilter, orders: tuple[int, ...] = NGR
     narrow, rates = model.compact(), model.false_rates()
     sent = docs.sparkSession.sparkContext.broadcast((narrow.languages, narrow.slices, narrow.probes, rates))
 
-    @F.pandas_udf(T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
-    def classify(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    def classify(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         common.claim("language")
         languages, slices, probes, rates = sent.value
         local = BitmaskFilter(languages, slices, probes)
         for batch in batches:
-            yield pd.DataFrame([local.classify(t if isinstance(t, str) else None, rates, orders) for t in batch], columns=["lang_pred", "score"])
+            told = [local.classify(t, rates, orders) for t in common.each_text_of(batch)]
+            yield pa.StructArray.from_arrays([pa.array([x[0] for x in told], pa.string()), pa.array([x[1] for x in told], pa.float64())], names=["lang_pred", "score"])
+
+    classify = F.arrow_udf(classify, T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
 
     return kept.withColumn("_lang", classify(F.col(text))).select(*kept.columns, "_lang.lang_pred", "_lang.score")
 

@@ -11,8 +11,9 @@ Recall is 1 by construction: bounds only drop pairs that cannot be among the k n
 
 Defined cases: vectors that are null, empty, all zero, or hold null or non-finite components take no
 part; vectors of different length are never compared; a query is not its own neighbour (by id);
-equal distances go to the smaller id; rows that repeat an id count as separate candidates; fewer candidates
-than k give them all; an empty table gives an empty result; other columns are left out.
+equal distances go to the smaller id; rows that repeat an id are one vector or, if they differ, several of one
+query or candidate: between two ids the smallest distance counts, so a query gets each neighbour once; fewer candidates
+than k give them all; an empty table gives an empty result; other columns are left out, whatever their names.
 """
 
 from __future__ import annotations
@@ -70,6 +71,7 @@ class _Block:
         self.wide = self.codes.astype(self.kind)
         squares = (self.wide.astype(np.float64) ** 2).sum(axis=1)
         self.norm = squares * self.scale**2
+        self.repeats = len(np.unique(ids)) < len(ids)
 
 
 def search_cell(queries: _Block, candidates: _Block, k: int) -> list[list[tuple[float, int]]]:
@@ -91,7 +93,8 @@ def search_cell(queries: _Block, candidates: _Block, k: int) -> list[list[tuple[
             own = queries.ids[q, None] == candidates.ids[None, c]
             upper[own] = np.inf
             n = upper.shape[1]
-            limit = np.partition(upper, k - 1, axis=1)[:, k - 1] if n > k else np.full(len(heaps), np.inf)
+            # Where ids repeat, the k smallest bounds may be of fewer ids; the heaps hold each id once.
+            limit = np.partition(upper, k - 1, axis=1)[:, k - 1] if n > k and not candidates.repeats else np.full(len(heaps), np.inf)
             rows, cols = np.nonzero((lower <= np.minimum(limit, worst)[:, None]) & ~own)
             for s in range(0, len(rows), 1 << 17):
                 r, o = rows[s : s + (1 << 17)], cols[s : s + (1 << 17)]
@@ -99,11 +102,19 @@ def search_cell(queries: _Block, candidates: _Block, k: int) -> list[list[tuple[
                 ids = candidates.ids[c][o]
                 order = np.lexsort((ids, exact, r))
                 r, exact, ids = r[order], exact[order], ids[order]
+                if candidates.repeats:
+                    first = np.sort(np.unique(np.stack((r, ids)), axis=1, return_index=True)[1])
+                    r, exact, ids = r[first], exact[first], ids[first]
                 # Of each query's survivors only the first k can enter its heap.
                 rank = np.arange(len(r)) - np.searchsorted(r, r)
                 for i in np.nonzero(rank < k)[0]:
                     heap, item = heaps[r[i]], (-exact[i], -int(ids[i]))
-                    if len(heap) < k:
+                    held = next((j for j, x in enumerate(heap) if x[1] == item[1]), None) if candidates.repeats else None
+                    if held is not None:
+                        if item > heap[held]:
+                            heap[held] = item
+                            heapq.heapify(heap)
+                    elif len(heap) < k:
                         heapq.heappush(heap, item)
                     elif item > heap[0]:
                         heapq.heapreplace(heap, item)
@@ -114,12 +125,12 @@ def search_cell(queries: _Block, candidates: _Block, k: int) -> list[list[tuple[
 
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, query_block: int = QUERY_BLOCK, candidate_block: int = CANDIDATE_BLOCK) -> DataFrame:
     """query_id, rank, vec_id, score for ``queries`` against ``vectors`` (both vec_id, embedding)."""
-    clean = lambda df: df.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).where(F.col("vec_id").isNotNull() & usable(F.col("embedding"))).withColumn("dim", F.size("embedding"))
+    clean = lambda df: df.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding")).where(F.col("vec_id").isNotNull() & usable(F.col("embedding"))).distinct().withColumn("dim", F.size("embedding"))
     asked, offered = clean(queries), clean(vectors)
     n_queries, n_candidates = asked.count(), offered.count()
     rows, columns = max(1, -(-n_queries // query_block)), max(1, -(-n_candidates // candidate_block))
     # Queries go to every column of the grid and candidates to every row of it.
-    spread = lambda df, own, n, other, m: df.withColumn(own, F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int")).withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
+    spread = lambda df, own, n, other, m: df.withColumn(own, F.pmod(F.xxhash64("vec_id", "embedding"), F.lit(n)).cast("int")).withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
     left = spread(asked, "row", rows, "column", columns).groupBy("dim", "row", "column")
     right = spread(offered, "column", columns, "row", rows).groupBy("dim", "row", "column")
 
@@ -133,8 +144,9 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 10, query_block: in
         return pd.DataFrame(pairs, columns=["query_id", "vec_id", "score"])
 
     heaps = left.cogroup(right).applyInPandas(cell, "query_id long, vec_id long, score double")
-    # At most k rows a query and column of the grid reach this; ranks are limited before the shuffle too.
-    ranked = heaps.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id")))
+    # At most k rows a query vector and column of the grid reach this; one shuffle serves both steps.
+    nearer = heaps.repartition("query_id").groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
+    ranked = nearer.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id")))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
@@ -145,14 +157,14 @@ def op7_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP7_SQL = """
 WITH v AS (
-  SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
+  SELECT DISTINCT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
   WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
     AND len(list_filter(embedding, lambda x: x IS NULL OR isnan(x) OR isinf(x))) = 0
     AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
 d AS (
-  SELECT q.vec_id AS query_id, c.vec_id AS vec_id, sqrt(list_reduce(list_transform(list_zip(q.e, c.e), lambda z: (z[1] - z[2]) * (z[1] - z[2])), lambda a, b: a + b)) AS score
+  SELECT q.vec_id AS query_id, c.vec_id AS vec_id, min(sqrt(list_reduce(list_transform(list_zip(q.e, c.e), lambda z: (z[1] - z[2]) * (z[1] - z[2])), lambda a, b: a + b))) AS score
   FROM v q JOIN v c ON q.vec_id <> c.vec_id AND len(q.e) = len(c.e)
-  WHERE q.vec_id % 100 = 0),
+  WHERE q.vec_id % 100 = 0 GROUP BY q.vec_id, c.vec_id),
 r AS (SELECT query_id, vec_id, score, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score, vec_id) AS INTEGER) AS rank FROM d)
 SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10
 """

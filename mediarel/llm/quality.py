@@ -6,10 +6,11 @@ labelled rows from good ones on a growing part, prunes it on a held-out part, ke
 precise enough there, removes what it covers and goes on. The list becomes one ordered ``CASE`` expression.
 
 Fitting uses at most ``FIT_ROWS`` labelled rows of either class, those with the smallest hash of
-their id: a documented bound. Statistics, rules and verdicts cover every row.
+their id: a documented bound; a document that is labelled both ways counts as bad. Statistics, rules and verdicts cover every row.
 
 Defined cases: null and blank texts have zero words and fail the base rule; repeated rows are judged
 alike; without labelled rows of both classes the list is empty and the base rule alone decides;
+an empty table gives an empty result; equal gains of two tests (ties) go to the first in order of statistic and threshold;
 other columns pass through, and columns of the result's names are replaced.
 """
 
@@ -220,9 +221,14 @@ def fit(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> list[Ru
     for quality in (0, 1):
         some = labels.where((F.col("quality") == quality) & F.col("doc_id").isNotNull()).select("doc_id", (F.col("quality") == 0).alias("bad")).orderBy(spread, "doc_id").limit(fit_rows)
         picked = some if picked is None else picked.unionByName(some)
-    # At most 2 * fit_rows ids: bounded, so it may be broadcast.
-    known = with_statistics(docs.select("doc_id", "text").join(F.broadcast(picked.dropDuplicates(["doc_id"])), "doc_id"))
-    rows = [r.asDict() for r in known.where(~F.col("base_failed")).select("doc_id", "bad", *STATS).collect()]
+    # A document that is labelled both ways counts as bad.
+    picked = picked.groupBy("doc_id").agg(F.max("bad").alias("bad"))
+    # At most 2 * fit_rows ids: bounded, so it may be broadcast. The rows are written first, so that statistics are taken of them alone.
+    sample = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").distinct()
+    sample = common.materialise(sample.orderBy(spread, "doc_id", "text").limit(2 * fit_rows), "quality-sample")
+    rows = [r.asDict() for r in with_statistics(sample).select("doc_id", "bad", "base_failed", *STATS).collect()]
+    rows = [r for r in rows if not r.pop("base_failed")]
+    common.discard(sample)
     rows.sort(key=lambda r: (zlib.crc32(str(r["doc_id"]).encode()), r["doc_id"], r["n_words"]))
     return learn_rules(rows)
 

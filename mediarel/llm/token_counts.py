@@ -8,8 +8,9 @@ Scores of pieces follow their rank in the public vocabulary, ``-ln(rank + shift)
 Pre-tokens are words with the vocabulary's word mark in front. Characters that no piece covers
 cost one byte token for each of their bytes. Among equal scores the segmentation with fewer tokens counts.
 
-Defined cases: null, empty and blank texts have no tokens; repeated rows count alike; very long words cost
-time in proportion to their length; other columns pass through, ``n_words`` and ``n_tokens`` are replaced.
+Defined cases: null, empty and blank texts have no tokens; an empty table gives an empty result; repeated rows count alike; a very long word
+shares the nodes of its first ``SHARED`` characters and costs time in proportion to its length; other columns pass through, and columns
+named ``n_words`` or ``n_tokens`` are replaced.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ import os
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
-import pandas as pd
+import pyarrow as pa
 from pyspark import SparkFiles
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -30,9 +31,10 @@ MARK = "▁"
 #: Rank shift of the score: flattens the head as word frequencies do.
 SHIFT = 2.7
 #: Distinct pre-tokens whose stored counts a worker keeps, and how many share one trie.
-KEPT_COUNTS = 400_000
+KEPT_COUNTS = 250_000
 TRIE_WORDS = 40_000
-_LONG = 64
+#: Depth of the trie, and bytes of a word whose count is kept.
+SHARED = 64
 
 
 def vocabulary_path() -> str:
@@ -76,13 +78,16 @@ class UnigramCounter:
         return best, least
 
     def count_trie(self, words: Iterable[str]) -> dict[str, int]:
-        """Tokens of each distinct word. A node of the trie is [children, forward score, tokens]."""
+        """Tokens of each distinct word. A node of the trie is [children, forward score, tokens].
+
+        Prefixes up to ``SHARED`` characters are nodes; what a longer word has beyond them goes on from its node's scores.
+        """
         root: list = [{}, 0.0, 0]
         ends: dict[str, int] = {}
         for word in words:
             marked = MARK + word
             node, scores, counts = root, [0.0], [0]
-            for d, c in enumerate(marked, 1):
+            for d, c in enumerate(marked[:SHARED], 1):
                 following = node[0].get(c)
                 if following is None:
                     following = [{}, *self._step(marked, d, scores, counts)]
@@ -90,19 +95,13 @@ class UnigramCounter:
                 node = following
                 scores.append(node[1])
                 counts.append(node[2])
-            ends[word] = node[2]
+            for d in range(SHARED + 1, len(marked) + 1):
+                score, tokens = self._step(marked, d, scores, counts)
+                scores.append(score)
+                counts.append(tokens)
+            ends[word] = counts[-1]
         return ends
 
-    def count_long(self, word: str) -> int:
-        """A very long word on its own: its forward scores need only the last few prefixes."""
-        marked = MARK + word
-        scores, counts = [0.0], [0]
-        for d in range(1, len(marked) + 1):
-            score, tokens = self._step(marked, d, scores, counts)
-            scores.append(score)
-            counts.append(tokens)
-        return counts[-1]
-
     def count(self, texts: list[str | None]) -> list[tuple[int, int]]:
         """(words, tokens) of each text; the words that no earlier text had share a trie."""
         # bytes.split knows the separators 9 to 13 and 32 only.
@@ -113,15 +112,15 @@ class UnigramCounter:
         if not missing:
             return [(len(counts), sum(counts)) for counts in found]
         text_of = {w: w.decode("utf-8", "surrogatepass") for w in missing}
-        fresh = {w: self.count_long(t) for w, t in text_of.items() if len(t) > _LONG}
-        todo = sorted(w for w in missing if w not in fresh)
+        fresh: dict[bytes, int] = {}
+        todo = sorted(missing)
         for at in range(0, len(todo), TRIE_WORDS):
             part = todo[at : at + TRIE_WORDS]
             made = self.count_trie(map(text_of.__getitem__, part))
             fresh.update((w, made[text_of[w]]) for w in part)
         out = [(len(words), sum([fresh[w] if n is None else n for w, n in zip(words, counts, strict=True)])) for words, counts in zip(split, found, strict=True)]
         if len(known) < KEPT_COUNTS:
-            known.update((w, n) for w, n in fresh.items() if len(w) <= _LONG)
+            known.update((w, n) for w, n in fresh.items() if len(w) <= SHARED)
         return out
 
 
@@ -140,15 +139,15 @@ def with_token_counts(docs: DataFrame, path: str | None = None, text: Column | N
     docs.sparkSession.sparkContext.addFile(path)
     name = os.path.basename(path)
 
-    @F.pandas_udf("n_words long, n_tokens long")
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         common.claim("counts", _loaded.cache_clear)
         counter = _loaded(name)
         for batch in batches:
-            texts = [t if isinstance(t, str) else None for t in batch]
             # Small blocks: split words of few documents are held at a time.
-            rows = [r for at in range(0, len(texts), 64) for r in counter.count(texts[at : at + 64])]
-            yield pd.DataFrame(rows, columns=["n_words", "n_tokens"])
+            rows = [r for at in range(0, len(batch), 64) for r in counter.count(batch.slice(at, 64).to_pylist())]
+            yield pa.StructArray.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in (0, 1)], names=["n_words", "n_tokens"])
+
+    run = F.arrow_udf(run, "n_words long, n_tokens long")
 
     kept = docs.drop("n_words", "n_tokens")
     return kept.withColumn("_n", run(F.col("text") if text is None else text)).select(*kept.columns, "_n.n_words", "_n.n_tokens")
