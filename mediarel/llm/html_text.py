@@ -1,17 +1,19 @@
 """Main text of a web page by line-block distribution.
 
-Markup is stripped into lines, one for each block element. A line's weight is its text outside links,
-and a block is a sliding window of lines. The main text starts where the window sum surges over a threshold
-and ends where it dives; everything between is kept, so short paragraphs inside stay. What surrounds an article by its
-nature (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) is
-taken out with its element first. A class or id does so only for an element that holds no main part, not the largest article and little of
-the page's unlinked text (comments may be longer), and never for headings and paragraphs. Where a page marks its article and
-that holds most of the span's weight, the surge and the dive move out to the marks, so a heading or a last short line is not lost;
-marks of lighter parts, such as teasers, decide nothing.
-
-Defined cases: null or empty html gives an empty text; a page without a surge keeps the lines of its
-heaviest window; unclosed elements end where their parent ends, and an unclosed tag or comment ends the
-page; repeated rows are extracted alike; other columns are left out.
+Markup is stripped into lines, one for each block element. A line's weight is its text outside links; lines of what surrounds an
+article by its nature (menus, headers, footers, sidebars, notices, adverts, forms, comments) stay as lines without
+text and weight. A block is a sliding window of lines. Text surges where a window's sum reaches a threshold, from the line
+on after which no window was empty, and dives where a whole window is empty again. The main text lies between the first surge and
+the last dive of any weight beside the heaviest; everything between is kept, so short paragraphs and headings stay.
+
+What surrounds is told by element, or by class and id for an element that holds no main part, not the largest article and little of
+the page's unlinked text (comments may be longer), and never for headings and paragraphs. Where the marks of an article hold most of the
+text between surge and dive, lines outside of them lose their weight, and surge and dive are located once more; marks of
+lighter parts, such as teasers, change nothing, and a page without marks is read by its line blocks alone.
+
+Defined cases: null or empty html gives an empty text, an empty table an empty result; on a page without a surge the heaviest
+window is one, the first of equal ones; unclosed elements end where their parent ends, and an unclosed tag or comment ends the
+page; a very long page is read whole in one pass; repeated rows are extracted alike; other columns pass through, and columns named ``text`` or ``n_chars`` are replaced.
 """
 
 from __future__ import annotations
@@ -22,7 +24,7 @@ from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,6 +33,8 @@ from mediarel.llm import common
 #: Lines of a window, and the window sum (characters) at which text surges.
 WINDOW = 3
 SURGE = 80
+#: Text between a surge and a dive counts beside the heaviest from this share of its weight on.
+BESIDE = 1 / 4
 
 #: Element names of HTML by their role here.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -145,6 +149,7 @@ class _Reader:
         self.pieces: list[tuple[str, bool, int]] = []
         self.count = dict.fromkeys(ARTICLE, 0)
         self.in_link = False
+        self.taken = 0
         self.opened: list[_Open] = []
         self.held: Counter[str] = Counter()
         self.regions: list[_Region] = [_Region(0, False)]
@@ -163,6 +168,10 @@ class _Reader:
         last = self.last
         if not last.dropped:
             self.pieces.append((text, self.in_link, last.region))
+        elif not text.isspace():
+            # What is taken out leaves an empty line.
+            self.taken += 0 if self.in_link else len(text)
+            self.pieces.append(("", True, last.region))
 
     def close(self, name: str) -> None:
         """End the innermost open element of this name and what is open inside it."""
@@ -234,15 +243,20 @@ class _Reader:
     def lines(self) -> list[Line]:
         gone, made = self.gone(), []
         for pieces, article, main in self.found:
-            pieces = [x for x in pieces if x[2] not in gone]
-            text = " ".join(html.unescape("".join(x[0] for x in pieces)).split())
-            if text:
-                made.append(Line(text, min(sum(len(x[0]) for x in pieces if x[1]), len(text)), article, main))
+            left = [x for x in pieces if x[2] not in gone]
+            text = " ".join(html.unescape("".join(x[0] for x in left)).split())
+            if text or any(x[0] == "" or not x[0].isspace() for x in pieces):
+                made.append(Line(text, min(sum(len(x[0]) for x in left if x[1]), len(text)), article, main))
         return made
 
 
-def lines(page: str, lenient: bool = False) -> list[Line]:
-    """Text lines of a page in order, without what surrounds an article. ``lenient`` takes out forms, sidebars and hidden parts only if they are small."""
+def lines(page: str) -> list[Line]:
+    """Text lines of a page in order; what surrounds an article leaves empty ones."""
+    return read_page(page).lines()
+
+
+def read_page(page: str, lenient: bool = False) -> _Reader:
+    """One pass over a page. ``lenient`` takes out forms, sidebars and hidden parts only if they are small."""
     reader, at = _Reader(lenient), 0
     while at < len(page):
         m = _TOKEN.search(page, at)
@@ -272,64 +286,67 @@ def lines(page: str, lenient: bool = False) -> list[Line]:
                 reader.in_link = True
             reader.start(name, m[3])
     reader.end_line()
-    return reader.lines()
+    return reader
+
+
+def surges(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int, int]]:
+    """(start, end, weight) of the lines [start, end) between a surge and its dive, in order."""
+    found: list[tuple[int, int, int]] = []
+    total, first, last, weight, heavy = sum(weights[:window]), -1, -1, 0, False
+    for i, w in enumerate(weights):
+        if w:
+            first, last, weight = i if first < 0 else first, i, weight + w
+        heavy = heavy or total >= surge
+        total += (weights[i + window] if i + window < len(weights) else 0) - w
+        if not total and first >= 0:
+            # The window that starts at the next line is empty.
+            if heavy:
+                found.append((first, last + 1, weight))
+            first, weight, heavy = -1, 0, False
+    return found
 
 
-def main_span(weights: list[int], window: int = WINDOW, surge: int = SURGE) -> tuple[int, int]:
-    """Lines [start, end) between the first surge and the last dive; the heaviest window if nothing surges."""
-    n = len(weights)
-    if not n:
+def main_span(weights: list[int], window: int = WINDOW, surge: int = SURGE, beside: float = BESIDE) -> tuple[int, int]:
+    """Lines [start, end) between the first surge and the last dive of weight; the heaviest window surges if no other does."""
+    found = surges(weights, window, surge)
+    if not found and any(weights):
+        found = surges(weights, window, max(sum(weights[i : i + window]) for i in range(len(weights))))[:1]
+    if not found:
         return 0, 0
-    sums, total = [], sum(weights[:window])
-    for i in range(n):
-        sums.append(total)
-        total += (weights[i + window] if i + window < n else 0) - weights[i]
-    heavy = [i for i, s in enumerate(sums) if s >= surge]
-    if not heavy:
-        best = max(range(n), key=lambda i: (sums[i], -i))
-        return best, min(n, best + window)
-    # A surge window starts at its first line with text; a dive ends after the last heavy window's last such line.
-    start, end = heavy[0], min(n, heavy[-1] + window)
-    while start < end and not weights[start]:
-        start += 1
-    while end > start and not weights[end - 1]:
-        end -= 1
-    return start, end
-
-
-def _marked(found: list[Line]) -> str | None:
-    """Text of the articles, else of the main parts, that hold most of the span's weight; surge and dive move out to their marks."""
-    start, end = main_span([x.weight for x in found])
-    span = found[start:end]
-    for own in (lambda x: x.article, lambda x: x.main):
-        chosen = {own(x) for x in span if own(x)}
-        if chosen and 2 * sum(x.weight for x in span if own(x)) > sum(x.weight for x in span):
-            return " ".join(x.text for x in found if own(x) in chosen)
-    return None
+    most = max(weight for _, _, weight in found)
+    kept = [x for x in found if x[2] >= beside * most]
+    return kept[0][0], kept[-1][1]
 
 
-def _spanned(found: list[Line]) -> str:
+def _read(found: list[Line]) -> tuple[str, bool]:
+    """Text between surge and dive, located again within the articles, else the main parts, that hold most of it, and whether one does."""
     start, end = main_span([x.weight for x in found])
-    # Short lines next to the span belong to it unless they are mostly links.
-    while start and 2 * found[start - 1].weight >= len(found[start - 1].text):
-        start -= 1
-    while end < len(found) and 2 * found[end].weight >= len(found[end].text):
-        end += 1
-    return " ".join(x.text for x in found[start:end])
+    span, marked = found[start:end], False
+    for own in (lambda x: x.article, lambda x: x.main):
+        chosen = {own(x) for x in span if own(x)}
+        if 2 * sum(x.weight for x in span if own(x)) > sum(x.weight for x in span):
+            found = [x if own(x) in chosen else Line("", 0, 0, 0) for x in found]
+            start, end = main_span([x.weight for x in found], beside=0)
+            marked = True
+            break
+    return " ".join(x.text for x in found[start:end] if x.text), marked
 
 
 def extract(page: str | None) -> str:
     """Main text of a page: its blocks joined by one space."""
     if not page:
         return ""
-    strict = lines(page)
-    text = _marked(strict)
-    if text is None:
-        # An article may stand in a form or another part that seems to surround one.
-        lenient = lines(page, lenient=True)
-        text = _marked(lenient)
-        if text is None:
-            text = _spanned(strict or lenient)
+    reader = read_page(page)
+    strict = reader.lines()
+    text, marked = _read(strict)
+    surged = bool(surges([x.weight for x in strict]))
+    if surged and (marked or reader.taken <= len(text)):
+        return text
+    # An article may stand in a form or another part that seems to surround one.
+    lenient = read_page(page, lenient=True).lines()
+    other, marked = _read(lenient)
+    if marked if surged else surges([x.weight for x in lenient]) or not text:
+        return other
     return text
 
 
@@ -337,11 +354,11 @@ def with_main_text(pages: DataFrame, column: str = "html") -> DataFrame:
     """``pages`` with ``text`` and ``n_chars``, replacing columns of these names."""
     kept = pages.drop("text", "n_chars")
 
-    @F.pandas_udf("string")
-    def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for batch in batches:
-            yield pd.Series([extract(p if isinstance(p, str) else None) for p in batch], dtype=object)
+            yield pa.array([extract(p) for p in common.each_text_of(batch)], pa.string())
 
+    run = F.arrow_udf(run, "string")
     return kept.withColumn("text", run(F.col(column))).withColumn("n_chars", F.length("text").cast("long"))
 
 
