@@ -1,22 +1,27 @@
 """Mixing sources to target weights by entropy balancing.
 
-Rates minimise the relative entropy, measured in words, to taking every document once, under one
-word-total constraint a source. The dual separates by source: the rate of a document is
-``exp(lambda * tilt)`` and Newton steps on ``lambda`` need two sums over the documents. Those sums
-are taken over cells (source, tilt) that one aggregation of the documents leaves, so an iteration
-never reads documents. Rates become copies by systematic rounding in order of size, so a source
-misses its target by about one document.
+Rates of documents stay as near as they can, in relative entropy per document, to taking every document once, while the words
+of every source meet a target and no rate exceeds ``most``. The dual has one multiplier a source, and a
+document's rate is tilted exponentially by its words: ``min(most, exp(lambda * size))``. So a source that is short of words
+repeats its long documents first, and one that has too many leaves them out first.
+
+The dual needs only how many documents of each size a source has. One aggregation of the documents leaves those cells; Newton steps
+run on them for all sources at once, one task a source, and never see documents. Rates become copies cell by cell: systematic
+rounding in order of size, then a repair with smaller and smaller documents, so a source misses its target by less than its
+smallest document that still has room.
 
 Defined cases: null text has size 0; null source is a source of its own, last in order; documents
-of size 0 take 0 words; an empty table gives an empty result; repeated rows are separate rows.
+of size 0 take 0 words; a very long text is one document like others, left out where it alone exceeds the target;
+documents of equal source and size (ties) get copies in order of doc_id modulo ``DEALS`` and doc_id, null first; an empty table gives an
+empty result; repeated rows are separate rows; other columns pass through, and columns named as in ``ADDED`` are replaced.
 """
 
 from __future__ import annotations
 
 from collections.abc import Sequence
-from functools import reduce
-from operator import and_
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -29,110 +34,146 @@ ADDED = ("size", "source_size", "target", "rate", "copies", "taken")
 DEALS = 64
 
 
+def _numbered(sizes: DataFrame) -> DataFrame:
+    """``sizes`` with ``place``: the number of each source in code-point order, null last, by a distributed sort."""
+    ordered = sizes.orderBy("missing", "name").withColumns({"part": F.spark_partition_id(), "row": F.monotonically_increasing_id()})
+    ordered = common.materialise(ordered, "mix-sources")
+    # One row for each partition of the sort.
+    held = ordered.groupBy("part").agg(F.count("*").alias("held"), F.min("row").alias("first"))
+    before = F.coalesce(F.sum("held").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return ordered.join(F.broadcast(held.select("part", "first", before.alias("before"))), "part").withColumn("place", F.col("before") + F.col("row") - F.col("first")).drop("part", "row", "first", "before")
+
+
 def source_targets(sizes: DataFrame, weights: Sequence[float], share: float, most: float) -> DataFrame:
-    """Targets from (source, source_size): a share of all words, split by weights that repeat over the
+    """Targets from (missing, name, source_size): a share of all words, split by weights that repeat over the
     sources in code-point order (null last), none above ``most`` times its source.
 
-    The excess reshared by weight ends at a water level t with sum(min(cap, weight * t)) = budget;
-    sources fill up in order of cap / weight, so running sums give t in one pass.
+    The excess is reshared by weight until none is above: sources that are full leave, and the others share the rest.
     """
-    by_name = Window.orderBy(F.col("source").asc_nulls_last())
-    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), ((F.col("place") - 1) % len(weights) + 1).cast("int"))
-    caps = (
-        sizes.withColumn("place", F.row_number().over(by_name))
-        .withColumn("weight", weight)
-        .withColumn("cap", F.lit(float(most)) * F.col("source_size"))
-        .withColumn("fills_at", F.col("cap") / F.col("weight"))
-    )
-    before = Window.orderBy("fills_at", "place").rowsBetween(Window.unboundedPreceding, -1)
-    rest = Window.orderBy("fills_at", "place").rowsBetween(Window.currentRow, Window.unboundedFollowing)
-    whole = Window.partitionBy()
-    level = (F.lit(float(share)) * F.sum("source_size").over(whole) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))) / F.sum("weight").over(rest)
-    levels = caps.withColumn("level", level).withColumn("turn", F.row_number().over(Window.orderBy("fills_at", "place")))
-    first = F.min(F.when(F.col("level") <= F.col("fills_at"), F.struct("turn", "level"))).over(whole)
-    levels = levels.withColumn("at", first["level"])
-    reached = F.least(F.col("cap"), F.col("weight") * F.coalesce(F.col("at"), F.lit(float("inf"))))
-    return levels.select("source", "source_size", F.round(reached, 6).alias("target"))
-
-
-def balance(cells: DataFrame, steps: int = 60, tolerance: float = 1e-13) -> DataFrame:
-    """Newton on the dual for every source at once: (source, lambda).
-
-    ``cells`` has one row for each (source, lean) with ``mass`` and ``target``; slope and curvature
-    are sums over them. Steps are cut to one either way. Nothing is collected but whether any source still moves.
+    weight = F.element_at(F.array(*[F.lit(float(w)) for w in weights]), (F.col("place") % len(weights) + 1).cast("int"))
+    placed = common.materialise(_numbered(sizes).withColumn("weight", weight).withColumn("cap", F.lit(float(most)) * F.col("source_size")), "mix-weights")
+    level, full = 0.0, -1
+    while True:
+        over = F.col("cap") <= F.col("weight") * F.lit(level) if full >= 0 else F.lit(False)
+        row = placed.agg(F.sum("source_size").alias("all"), F.count_if(over).alias("full"), F.sum(F.when(over, F.col("cap"))).alias("held"), F.sum(F.when(~over, F.col("weight"))).alias("open")).first()
+        if row["full"] == full:
+            break
+        full = row["full"]
+        level = (share * (row["all"] or 0) - (row["held"] or 0.0)) / row["open"] if row["open"] else float("inf")
+    return placed.select("missing", "name", "source_size", F.round(F.least(F.col("cap"), F.col("weight") * F.lit(level)), 6).alias("target"))
+
+
+def balance(size: np.ndarray, n: np.ndarray, target: float, most: float, tolerance: float = 1e-13, steps: int = 200) -> float:
+    """The multiplier of a source: Newton steps on its dual, held in a bracket.
+
+    ``n`` documents have ``size`` words each. Words taken, ``sum(n * size * min(most, exp(lambda * size)))``, rise with the multiplier.
     """
-    state = cells.where((F.col("mass") > 0) & (F.col("target") > 0) & (F.col("lean") != 0)).withColumn("lambda", F.lit(0.0))
-    state = common.materialise(state, "mix-dual")
+    words = (n * size).astype(float)
+    if target >= most * words.sum():
+        return float(np.log(most) / size.min())
+
+    def taken(at: float) -> tuple[float, float]:
+        rate = np.exp(np.minimum(at * size, np.log(most)))
+        return float((words * rate).sum()) - target, float((words * size * rate)[at * size < np.log(most)].sum())
+
+    low, high = (0.0, float(np.log(most) / size.min())) if target > words.sum() else (-1.0 / float(size.max()), 0.0)
+    while low < 0 and taken(low)[0] > 0:
+        low, high = 2 * low, low
+    at = high if low < 0 else low
     for _ in range(steps):
-        tilted = F.col("mass") * F.exp(F.col("lambda") * F.col("lean"))
-        sums = state.groupBy("source", "lambda", "target").agg(F.sum(tilted).alias("reached"), F.sum(tilted * F.col("lean")).alias("curve"))
-        slope = F.col("reached") - F.col("target")
-        step = F.greatest(F.lit(-1.0), F.least(F.lit(1.0), slope / F.col("curve")))
-        moves = sums.select("source", (F.col("lambda") - step).alias("moved"), (F.abs(slope) > tolerance * F.col("target")).alias("open"))
-        following = common.materialise(
-            state.select("source", "lean", "mass", "target").alias("c").join(moves.alias("m"), _same("c", "m", "source")).select("c.source", "lean", "mass", "target", F.col("moved").alias("lambda"), "open"), "mix-dual"
-        )
-        common.discard(state)
-        state = following
-        if not state.where("open").limit(1).count():
+        miss, slope = taken(at)
+        if abs(miss) <= tolerance * target:
+            break
+        low, high = (at, high) if miss < 0 else (low, at)
+        step = at - miss / slope if slope > 0 else low
+        at = step if low < step < high else (low + high) / 2
+        if not low < at < high:
             break
-    return state.select("source", "lambda").distinct()
+    return at
 
 
-def _same(left: str, right: str, *columns: str):
-    both = [F.col(f"{left}.{c}").eqNullSafe(F.col(f"{right}.{c}")) for c in columns]
-    return reduce(and_, both)
+def settle(size: np.ndarray, n: np.ndarray, parts: np.ndarray, target: float, most: int) -> np.ndarray:
+    """Copies of all documents of each size, sizes descending: systematic rounding, then what is missing or too much, largest first."""
+    ends = np.cumsum(n * parts)
+    steps = (ends + RATE_PARTS // 2) // RATE_PARTS
+    copies = np.diff(steps, prepend=0)
+    miss = int(np.floor(target + 0.5)) - int((copies * size).sum())
+    for k in range(len(size)):
+        if not miss:
+            break
+        d = abs(miss) // int(size[k]) * (1 if miss > 0 else -1)
+        d = min(max(d, -int(copies[k])), most * int(n[k]) - int(copies[k]))
+        copies[k] += d
+        miss -= d * int(size[k])
+    return copies
+
+
+def _settled(cells: DataFrame, most: int) -> DataFrame:
+    """missing, name, size, parts, held (copies of all its documents) for cells (missing, name, size, n, target) of sizes above 0."""
+
+    def one(cell: pd.DataFrame) -> pd.DataFrame:
+        cell = cell.sort_values("size", ascending=False)
+        size, n, target = cell["size"].to_numpy(np.int64), cell["n"].to_numpy(np.int64), float(cell["target"].iloc[0])
+        parts = np.zeros(len(size), np.int64)
+        if target > 0:
+            rate = np.exp(np.minimum(balance(size, n, target, most) * size, np.log(most)))
+            parts = np.minimum(most * RATE_PARTS, np.floor(rate * RATE_PARTS + 0.5).astype(np.int64))
+        return pd.DataFrame({"missing": cell["missing"], "name": cell["name"], "size": size, "parts": parts, "held": settle(size, n, parts, target, most)})
+
+    # A group has a row for each distinct size of a source, however many documents it has.
+    return cells.groupBy("missing", "name").applyInPandas(one, "missing boolean, name string, size long, parts long, held long")
 
 
-def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.5, most: float = 2.0, size: Column | None = None, tilt: Column | None = None) -> DataFrame:
-    """Adds ``size, source_size, target, rate, copies, taken`` to documents, replacing columns of these names.
+def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.5, most: int = 2, size: Column | None = None) -> DataFrame:
+    """Adds ``size, source_size, target, rate, copies, taken`` to documents (doc_id, source, and text or ``size``).
 
-    ``size`` defaults to the words of ``text``. ``tilt`` is a positive bounded column that the rates lean on;
-    without one all documents of a source share a rate. Rates end at ``most``.
+    ``size`` defaults to the words of ``text``. No document is taken more than ``most`` times, a whole number.
     """
     kept = [c for c in docs.columns if c not in ADDED]
-    sized = docs.withColumn("size", F.coalesce(common.n_words(F.col("text")) if size is None else size.cast("long"), F.lit(0).cast("long")))
-    sized = sized.withColumn("lean", F.lit(1.0) if tilt is None else F.coalesce(tilt.cast("double"), F.lit(0.0))).withColumn("deal", F.pmod("doc_id", F.lit(DEALS)))
-    sized = sized.select(*kept, "size", "lean", "deal")
-    deals = common.materialise(sized.groupBy("source", "lean", "size", "deal").agg(F.count("*").alias("n")), "mix-counts")
-    sizes = deals.groupBy("source").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"))
+    own = "_mix"
+    while any(c.lower().startswith(own) for c in docs.columns):
+        own += "_"
+    words = F.coalesce(common.n_words(F.col("text")) if size is None else size.cast("long"), F.lit(0).cast("long"))
+    cell = F.struct(F.col("source").isNull().alias("missing"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("name"), words.alias("size"), F.coalesce(F.pmod("doc_id", F.lit(DEALS)), F.lit(-1)).cast("int").alias("deal"))
+    sized = docs.withColumn(own, cell)
+    deals = common.materialise(sized.select(f"{own}.*").groupBy("missing", "name", "size", "deal").agg(F.count("*").alias("n")), "mix-counts")
+    sizes = deals.groupBy("missing", "name").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"))
     targets = common.materialise(source_targets(sizes, weights, share, most), "mix-targets")
-    cells = deals.groupBy("source", "lean").agg(F.sum(F.col("size") * F.col("n")).cast("double").alias("mass"))
-    duals = balance(cells.alias("c").join(targets.alias("t"), _same("c", "t", "source")).select("c.source", "lean", "mass", "target"))
-    rates = targets.alias("t").join(duals.alias("l"), _same("t", "l", "source"), "left").select("t.source", "source_size", "target", "lambda")
-
-    parts = F.least(F.lit(int(most * RATE_PARTS)).cast("long"), F.round(F.exp(F.col("lambda") * F.col("lean")) * RATE_PARTS).cast("long"))
-    # Parts of a document that earlier rows leave: over the sizes of a source, then over the deals of a size.
-    runs = (
-        deals.groupBy("source", "lean", "size").agg(F.sum("n").alias("n")).alias("c")
-        .join(rates.alias("r"), _same("c", "r", "source"), "left")
-        .select("c.source", "lean", "size", "n", "source_size", "target", F.coalesce(parts, F.lit(0)).cast("long").alias("parts"))
-        .withColumn("smaller", F.coalesce(F.sum(F.col("n") * F.col("parts")).over(Window.partitionBy("source").orderBy("size", "lean").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long"))
-        .drop("n")
-    )
+    cells = deals.where("size > 0").groupBy("missing", "name", "size").agg(F.sum("n").alias("n")).join(targets.select("missing", "name", "target"), ["missing", "name"])
+    settled = common.materialise(_settled(cells, most), "mix-copies")
+
+    # Copies that a deal gets: the whole ones of its documents, and those of the rest that earlier deals leave.
+    by_deal = Window.partitionBy("missing", "name", "size").orderBy("deal")
+    whole = Window.partitionBy("missing", "name", "size")
     dealt = (
-        deals.withColumn("earlier", F.coalesce(F.sum("n").over(Window.partitionBy("source", "lean", "size").orderBy("deal").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).cast("long"))
-        .drop("n").alias("d")
-        .join(runs.alias("r"), _same("d", "r", "source", "lean", "size"))
-        .select("d.source", "d.lean", "d.size", "d.deal", "earlier", "smaller", "parts", "source_size", "target")
-    )
-    placed = sized.withColumn("place", F.row_number().over(Window.partitionBy("source", "lean", "size", "deal").orderBy("doc_id")))
-    upto = lambda rows: F.expr(f"div(smaller + (earlier + {rows}) * parts + {RATE_PARTS // 2}, {RATE_PARTS})")
-    return (
-        placed.alias("p")
-        .join(dealt.alias("d"), _same("p", "d", "source", "lean", "size", "deal"))
-        .select(*[F.col(f"p.`{c}`") for c in kept], "p.size", "source_size", "target", "parts", "earlier", "smaller", "place")
-        .withColumn("rate", F.col("parts") / RATE_PARTS)
-        .withColumn("copies", F.when(F.col("size") > 0, upto("place") - upto("(place - 1)")).otherwise(0).cast("long"))
-        .withColumn("taken", (F.col("copies") * F.col("size")).cast("long"))
-        .select(*kept, *ADDED)
+        deals.withColumns({"earlier": F.sum("n").over(by_deal) - F.col("n"), "all": F.sum("n").over(whole)})
+        .join(settled, ["missing", "name", "size"], "left")
+        .join(targets, ["missing", "name"])
+        .select(
+            F.struct("missing", "name", "size", "deal").alias(own),
+            F.struct(
+                "source_size",
+                "target",
+                F.coalesce(F.col("parts") / RATE_PARTS, F.lit(0.0)).alias("rate"),
+                F.coalesce(F.expr("held div all"), F.lit(0)).cast("long").alias("each"),
+                (F.coalesce(F.expr("held % all"), F.lit(0)) - F.col("earlier")).alias("more"),
+            ).alias(f"{own}_dealt"),
+        )
     )
+    # Rows that share a doc_id are ordered by their text, so that reruns agree.
+    order = ["doc_id", *([F.xxhash64("text")] if "text" in docs.columns else [])]
+    place = F.row_number().over(Window.partitionBy(own).orderBy(*order))
+    met = sized.withColumn(f"{own}_place", place).join(dealt, own)
+    n_copies = (F.col(f"{own}_dealt.each") + F.when(F.col(f"{own}_place") <= F.col(f"{own}_dealt.more"), 1).otherwise(0)).cast("long")
+    made = [F.col(f"{own}.size").alias("size"), *[F.col(f"{own}_dealt.{c}").alias(c) for c in ("source_size", "target", "rate")], n_copies.alias("copies"), (n_copies * F.col(f"{own}.size")).cast("long").alias("taken")]
+    return met.select(*[F.col(f"`{c}`") for c in kept], *made)
 
 
 def repeat_copies(mixed: DataFrame, columns: Sequence[str]) -> DataFrame:
     """One row for each copy taken; documents without words are kept once, they cost nothing."""
     times = F.when(F.col("size") > 0, F.col("copies")).otherwise(1).cast("int")
-    return mixed.where(times > 0).select(*columns, F.explode(F.array_repeat(F.lit(0), times)).alias("_copy")).drop("_copy")
+    kept = mixed.select(*[F.col(f"`{c}`") for c in columns], times.alias("_times_"))
+    return kept.where("_times_ > 0").withColumn("_times_", F.explode(F.array_repeat(F.lit(0), F.col("_times_")))).select(*[F.col(f"`{c}`") for c in columns])
 
 
 def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -141,10 +182,11 @@ def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(sized, size=F.col("words")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+#: The same dual by bisection, and the repair as a walk over sizes.
 OP10_SQL = """
-WITH d AS (
+WITH RECURSIVE d AS (
   SELECT doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS BIGINT) AS size,
-         ((doc_id % 64) + 64) % 64 AS deal
+         coalesce(((doc_id % 64) + 64) % 64, -1) AS deal
   FROM documents),
 s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source),
 w AS (
@@ -158,13 +200,35 @@ f AS (
          / sum(weight) OVER (ORDER BY cap / weight, place ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level
   FROM w),
 t AS (
-  SELECT source, source_size, round(CAST(least(cap, weight * (SELECT level FROM f WHERE level <= fills_at ORDER BY fills_at, place LIMIT 1)) AS DOUBLE), 6) AS target FROM f),
+  SELECT place, source, source_size, round(CAST(least(cap, weight * (SELECT level FROM f WHERE level <= fills_at ORDER BY fills_at, place LIMIT 1)) AS DOUBLE), 6) AS target FROM f),
+c AS (
+  SELECT t.place, t.target, t.source_size, d.size, count(*) AS n, row_number() OVER (PARTITION BY t.place ORDER BY d.size DESC) AS k
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source WHERE d.size > 0 AND t.target > 0 GROUP BY t.place, t.target, t.source_size, d.size),
+b AS (
+  SELECT place, 0 AS step, CAST(-50 AS DOUBLE) AS lo, ln(2) / min(size) AS hi FROM c GROUP BY place
+  UNION ALL
+  SELECT b.place, any_value(b.step) + 1,
+         CASE WHEN sum(n * size * exp(least((lo + hi) / 2 * size, ln(2)))) < any_value(target) THEN any_value((lo + hi) / 2) ELSE any_value(lo) END,
+         CASE WHEN sum(n * size * exp(least((lo + hi) / 2 * size, ln(2)))) < any_value(target) THEN any_value(hi) ELSE any_value((lo + hi) / 2) END
+  FROM b JOIN c ON c.place = b.place WHERE b.step < 110 GROUP BY b.place),
 p AS (
-  SELECT doc_id, size, source_size, target,
-         CASE WHEN source_size > 0 AND target > 0 THEN least(2000000, CAST(round(target / source_size * 1000000) AS BIGINT)) ELSE 0 END AS parts,
-         row_number() OVER (PARTITION BY d.source ORDER BY size, deal, doc_id) AS place
+  SELECT c.place, c.k, c.size, c.n, CAST(floor(c.target + 0.5) AS BIGINT) AS goal,
+         CASE WHEN c.target >= 2 * c.source_size THEN 2000000 ELSE least(2000000, CAST(floor(exp(least(b.hi * c.size, ln(2))) * 1000000 + 0.5) AS BIGINT)) END AS parts
+  FROM c JOIN b ON b.place = c.place AND b.step = 110),
+e AS (SELECT *, CAST(sum(n * parts) OVER (PARTITION BY place ORDER BY k) AS BIGINT) AS upto FROM p),
+r AS (SELECT place, k, size, n, goal, (upto + 500000) // 1000000 - (upto - n * parts + 500000) // 1000000 AS held FROM e),
+m AS (SELECT place, any_value(goal) - CAST(sum(held * size) AS BIGINT) AS miss FROM r GROUP BY place),
+walk AS (
+  SELECT place, CAST(0 AS BIGINT) AS k, CAST(0 AS BIGINT) AS size, CAST(0 AS BIGINT) AS n, CAST(0 AS BIGINT) AS copies, CAST(miss AS BIGINT) AS miss FROM m
+  UNION ALL
+  SELECT place, k, size, n, held + d, miss - d * size FROM (
+    SELECT r.place, CAST(r.k AS BIGINT) AS k, r.size, CAST(r.n AS BIGINT) AS n, CAST(r.held AS BIGINT) AS held, walk.miss,
+           CAST(least(greatest(CASE WHEN walk.miss > 0 THEN walk.miss // r.size ELSE -((-walk.miss) // r.size) END, -r.held), 2 * r.n - r.held) AS BIGINT) AS d
+    FROM walk JOIN r ON r.place = walk.place AND r.k = walk.k + 1)),
+o AS (
+  SELECT d.doc_id, d.size, t.source_size, t.target, t.place AS at, row_number() OVER (PARTITION BY d.source, d.size ORDER BY d.deal, d.doc_id NULLS FIRST) AS place
   FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source)
-SELECT doc_id, size, source_size, target,
-       CAST(CASE WHEN size > 0 THEN size * ((place * parts + 500000) // 1000000 - ((place - 1) * parts + 500000) // 1000000) ELSE 0 END AS BIGINT) AS taken
-FROM p
+SELECT o.doc_id, o.size, CAST(o.source_size AS BIGINT) AS source_size, o.target,
+       CAST(CASE WHEN o.size > 0 THEN o.size * coalesce(walk.copies // walk.n + CASE WHEN o.place <= walk.copies % walk.n THEN 1 ELSE 0 END, 0) ELSE 0 END AS BIGINT) AS taken
+FROM o LEFT JOIN walk ON walk.place = o.at AND walk.size = o.size AND walk.k > 0
 """
