@@ -2,15 +2,14 @@
 
 from __future__ import annotations
 
-import atexit
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from mediarel.sources import stored
+
 #: A word is a run of anything but space and the control characters 9 to 13.
 WORD_SEPARATORS = " \t\n\x0b\x0c\r"
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
@@ -21,33 +20,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see; only a session without one gets a folder of its own."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if found:
-        return found.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("spark.checkpoint.dir is not set; it must name a folder that all executors share")
-    made = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if made.isEmpty():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
-        made = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return made.get().rstrip("/")
-
-
 def new_path(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder; it is removed when the driver ends."""
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    _remove_at_exit(spark, path)
-    return path
+    """A fresh path in the cluster's shared folder; it is removed when the driver ends."""
+    return stored.new_path(spark, name)
 
 
 def materialise(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.parquet(path)
-    back = spark.read.schema(df.schema).parquet(path)
+    path = new_path(df.sparkSession, name)
+    back = stored.write(df, path)
     back._stored_at = path
     return back
 
@@ -57,21 +38,7 @@ def discard(*frames: DataFrame) -> None:
     for df in frames:
         path = getattr(df, "_stored_at", None)
         if path:
-            _delete(df.sparkSession, path)
-
-
-def _delete(spark: SparkSession, path: str) -> None:
-    jvm = spark.sparkContext._jvm
-    at = jvm.org.apache.hadoop.fs.Path(path)
-    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
-
-
-def _remove_at_exit(spark: SparkSession, path: str) -> None:
-    def remove() -> None:
-        if spark.sparkContext._jsc is not None:
-            _delete(spark, path)
-
-    atexit.register(remove)
+            stored.remove(df.sparkSession, path)
 
 
 _held: dict[str, Callable[[], object]] = {}

@@ -158,14 +158,16 @@ def fit(docs: DataFrame, fit_docs: int = FIT_DOCS, orders: tuple[int, ...] = NGR
     """Filter of the languages in ``docs`` (doc_id, text, lang): rows that may be learned from."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
     # Values of ``lang`` that fewer labelled texts hold are no language to learn once there are more than ``MOST_LANGUAGES``.
-    names = sorted(r[0] for r in known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect())
+    counts = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MOST_LANGUAGES).collect()
+    names = sorted(r["lang"] for r in counts)
     if not names:
         return BitmaskFilter.build([], [], slots=8)
-    places = docs.sparkSession.createDataFrame([(name, place) for place, name in enumerate(names)], "lang string, place int")
+    # Hashes below a cut that leaves about four times the documents wanted: of a language with most of the rows few are ranked.
+    cut = {r["lang"]: min((1 << 63) - 1, (1 << 66) * fit_docs // r["count"] - (1 << 63)) for r in counts}
+    places = docs.sparkSession.createDataFrame([(name, place, cut[name]) for place, name in enumerate(names)], "lang string, place int, cut bigint")
     by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    # Ranks are limited before the shuffle too, so a language with most of the rows sends few.
-    picked = known.select("doc_id", "lang").withColumn("turn", F.row_number().over(by_hash)).where(F.col("turn") <= fit_docs)
-    picked = picked.join(F.broadcast(places), "lang").select("doc_id", "lang", "place").distinct()
+    few = known.select("doc_id", "lang").join(F.broadcast(places), "lang").where(F.xxhash64("doc_id") <= F.col("cut")).select("doc_id", "lang", "place").distinct()
+    picked = few.withColumn("turn", F.row_number().over(by_hash)).where(F.col("turn") <= fit_docs).select("doc_id", "lang", "place")
     # At most fit_docs ids a language, so the join may broadcast them.
     texts = known.select("doc_id", "lang", "text").join(F.broadcast(picked), ["doc_id", "lang"]).select("place", "text")
 

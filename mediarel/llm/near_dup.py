@@ -39,9 +39,10 @@ from mediarel.llm import common
 #: Values of the fixed-size sketch behind the union estimate, and the chance that it drops a pair just at the threshold.
 SKETCH = 48
 DROP_CHANCE = 1e-15
-#: A value in more documents than this, and than this share of them, goes to the end of the order.
-HOT_LEAST = 24
-HOT_SHARE = 1 / 20_000
+#: A value in more documents than this, and than this share of them, goes to the end of the order. Other lists are shorter, so their
+#: pairs stay in proportion to their members.
+HOT_LEAST = 8
+HOT_SHARE = 1 / 200_000
 #: Values moved to the end at most (the most frequent): bounds what is broadcast, not what is found.
 HOT_MOST = 1_000_000
 #: Values that are counted at once while looking for frequent ones.
@@ -325,10 +326,12 @@ def _met_in_blocks(outside: DataFrame, anyone: DataFrame, docs: DataFrame, width
     ids = common.materialise(anyone.select(F.col("y").alias("doc_id")).distinct(), "dup-ids")
     known = _sets_of(ids, docs, width)
     grid = outside.groupBy("a").agg(F.ceil(F.count("*") / OUTSIDE_BLOCK).cast("int").alias("rows")).join(anyone.groupBy("a").agg(F.ceil(F.count("*") / FAMILY_BLOCK).cast("int").alias("columns")), "a")
+    grid = common.materialise(grid, "dup-grid")
+    large = (F.col("rows") > 1) | (F.col("columns") > 1)
     place = lambda c, n: F.pmod(F.xxhash64(c), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    left = outside.join(grid, "a").select("a", place("x", "rows").alias("row"), every("columns").alias("column"), F.col("x").alias("id"), F.col("c_x").alias("c"))
-    right = anyone.join(grid, "a").select("a", place("y", "columns").alias("column"), every("rows").alias("row"), F.col("y").alias("id"), F.col("c_y").alias("c"))
+    left = _met_by_key(outside, grid, "a", large).select("a", place("x", "rows").alias("row"), every("columns").alias("column"), F.col("x").alias("id"), F.col("c_x").alias("c"))
+    right = _met_by_key(anyone, grid, "a", large).select("a", place("y", "columns").alias("column"), every("rows").alias("row"), F.col("y").alias("id"), F.col("c_y").alias("c"))
     # Fresh names on either side: both come from the same tables, which a cogroup could not tell apart.
     fields = ("a", "row", "column", "id", "c", "values")
     with_sets = lambda df: df.join(known.withColumnRenamed("doc_id", "id"), "id").select(*[F.col(f).alias(f) for f in fields]).groupBy("a", "row", "column")
@@ -338,7 +341,7 @@ def _met_in_blocks(outside: DataFrame, anyone: DataFrame, docs: DataFrame, width
         return pd.DataFrame([(min(p), max(p)) for p in links], columns=["a", "b"])
 
     found = common.materialise(with_sets(left).cogroup(with_sets(right)).applyInPandas(meet, "a long, b long").distinct(), "dup-met")
-    common.discard(ids, known)
+    common.discard(ids, known, grid)
     return found
 
 
@@ -455,11 +458,11 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     # What is left: pairs of one list in different components.
     known = family.select("a", "b")
     known = common.materialise(_labelled(known, labels, "b", "c"), "dup-family")
-    mixed = known.groupBy("a").agg(F.min("c").alias("c1"), F.max("c").alias("c2")).where("c1 != c2").select("a", F.col("c1"))
-    open_families = known.join(mixed, "a")
+    mixed = known.groupBy("a").agg(F.min("c").alias("c1"), F.max("c").alias("c2"), F.count("*").alias("members")).where("c1 != c2").select("a", "members")
     # The component with the leader is the large one; pairs need one member outside it.
     main = labels.select(F.col("node").alias("a"), F.col("component").alias("main"))
-    open_families = open_families.join(main, "a", "left").withColumn("main", F.coalesce("main", "a"))
+    mixed = common.materialise(mixed.join(main, "a", "left").withColumn("main", F.coalesce("main", "a")), "dup-mixed")
+    open_families = _met_by_key(known, mixed, "a", F.col("members") > FAMILY_BLOCK)
     outside = open_families.where("c != main").select("a", F.col("b").alias("x"), F.col("c").alias("c_x"))
     anyone = open_families.select("a", F.col("b").alias("y"), F.col("c").alias("c_y"))
     met = _met_in_blocks(outside, anyone, docs, width, per_cent)
