@@ -80,18 +80,20 @@ def counted(df: DataFrame, name: str) -> DataFrame:
     return df.agg(F.count("*").alias(name))
 
 
-def candidate_recall(refs: DataFrame, windows: DataFrame, keys: Sequence[str], full_cover: bool = True) -> DataFrame:
-    """Share of references (keys, start_ms, end_ms) inside (or, without ``full_cover``, touched by) a window; a point has end = start."""
+def candidate_recall(refs: DataFrame, windows: DataFrame, keys: Sequence[str], full_cover: bool = True, bucket_ms: int = 600_000) -> DataFrame:
+    """Share of references (keys, start_ms, end_ms) inside (or, without ``full_cover``, touched by) a window; a point has end = start.
+
+    References meet windows on time buckets, so a long source with many windows is no single key.
+    """
     w = windows.select(*keys, F.col("start_ms").alias("w_start"), F.col("end_ms").alias("w_end"))
-    r = refs.select(*keys, "start_ms", "end_ms").withColumn("_ref", F.monotonically_increasing_id())
-    on = [r[k].eqNullSafe(w[k]) for k in keys]
     last = F.greatest(F.col("end_ms"), F.col("start_ms") + 1)
-    fits = (F.col("w_start") <= F.col("start_ms")) & (F.col("w_end") >= last) if full_cover else (F.col("w_start") < last) & (F.col("w_end") > F.col("start_ms"))
-    condition = fits
-    for c in on:
-        condition = condition & c
-    marked = r.join(w.withColumn("_hit", F.lit(1)), condition, "left").groupBy("_ref").agg(F.max("_hit").alias("_hit"))
-    sums = marked.agg(F.count("*").alias("n_ref"), F.count("_hit").alias("n_covered"))
+    r = refs.groupBy(*keys, "start_ms", last.alias("end_ms")).agg(F.count("*").alias("_times"))
+    met = intervals.overlap_join(r, w, keys, bucket_ms, right_span=("w_start", "w_end"))
+    if full_cover:
+        met = met.where((F.col("w_start") <= F.col("start_ms")) & (F.col("w_end") >= F.col("end_ms")))
+    own = [*keys, "start_ms", "end_ms"]
+    marked = r.join(met.select(*own).distinct().withColumn("_hit", F.lit(True)), own, "left")
+    sums = marked.agg(F.coalesce(F.sum("_times"), F.lit(0)).alias("n_ref"), F.coalesce(F.sum(F.when(F.col("_hit"), F.col("_times"))), F.lit(0)).alias("n_covered"))
     return sums.withColumn("recall", F.when(F.col("n_ref") > 0, F.round(F.col("n_covered") / F.col("n_ref"), 6)))
 
 

@@ -40,17 +40,27 @@ def _boxes(rows: Sequence[dict]) -> np.ndarray:
 
 
 @dataclass
-class _Trail:
-    dets: list[dict] = field(default_factory=list)
+class Trail:
+    """Detections linked so far: the first and the last of them, how many, and all of them where ``dets`` is a list."""
+
+    first: dict
+    last: dict
+    n: int = 1
+    dets: list[dict] | None = None
 
     def at(self, frame: int) -> list[float]:
         """Box expected in a frame: constant velocity over the trail so far."""
-        last, first = self.dets[-1], self.dets[0]
+        last, first = self.last, self.first
         steps = last["frame_no"] - first["frame_no"]
         vx, vy = ((last["x"] - first["x"]) / steps, (last["y"] - first["y"]) / steps) if steps else (0.0, 0.0)
         ahead = frame - last["frame_no"]
         return [last["x"] + vx * ahead, last["y"] + vy * ahead, last["w"], last["h"]]
 
+    def add(self, det: dict) -> None:
+        self.last, self.n = det, self.n + 1
+        if self.dets is not None:
+            self.dets.append(det)
+
 
 @dataclass(frozen=True)
 class MotionTracker:
@@ -61,26 +71,31 @@ class MotionTracker:
     min_length: int = 3
     frame_ms: int = 100
 
+    def step(self, live: list[Trail], frame: int, found: Sequence[dict], keep: bool = True) -> tuple[list[Trail], list[Trail]]:
+        """(trails still open, trails that ended) after the detections of one more frame; it needs nothing but the open trails."""
+        ended = [t for t in live if frame - t.last["frame_no"] > self.max_gap + 1]
+        live = [t for t in live if frame - t.last["frame_no"] <= self.max_gap + 1]
+        found = sorted(found, key=lambda d: d["det_id"])
+        taken_t: set[int] = set()
+        taken_d: set[int] = set()
+        if live:
+            scores = iou_matrix(np.array([t.at(frame) for t in live]), _boxes(found))
+            for i, j in sorted(zip(*np.nonzero(scores >= self.iou), strict=True), key=lambda p: (-scores[p], p)):
+                if i not in taken_t and j not in taken_d and live[i].last["cls"] == found[j]["cls"]:
+                    live[i].add(found[j])
+                    taken_t.add(i)
+                    taken_d.add(j)
+        return live + [Trail(d, d, 1, [d] if keep else None) for j, d in enumerate(found) if j not in taken_d], ended
+
     def trails(self, dets: Sequence[dict]) -> list[list[dict]]:
-        live: list[_Trail] = []
-        done: list[_Trail] = []
+        live: list[Trail] = []
+        done: list[Trail] = []
         by_frame: dict[int, list[dict]] = {}
         for d in dets:
             by_frame.setdefault(d["frame_no"], []).append(d)
         for frame in sorted(by_frame):
-            done += [t for t in live if frame - t.dets[-1]["frame_no"] > self.max_gap + 1]
-            live = [t for t in live if frame - t.dets[-1]["frame_no"] <= self.max_gap + 1]
-            found = sorted(by_frame[frame], key=lambda d: d["det_id"])
-            taken_t: set[int] = set()
-            taken_d: set[int] = set()
-            if live:
-                scores = iou_matrix(np.array([t.at(frame) for t in live]), _boxes(found))
-                for i, j in sorted(zip(*np.nonzero(scores >= self.iou), strict=True), key=lambda p: (-scores[p], p)):
-                    if i not in taken_t and j not in taken_d and live[i].dets[-1]["cls"] == found[j]["cls"]:
-                        live[i].dets.append(found[j])
-                        taken_t.add(i)
-                        taken_d.add(j)
-            live += [_Trail([d]) for j, d in enumerate(found) if j not in taken_d]
+            live, ended = self.step(live, frame, by_frame[frame])
+            done += ended
         return [t.dets for t in done + live]
 
     def tracks(self, dets: Sequence[dict], min_length: int | None = None) -> list[dict]:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Sequence
+from functools import reduce
 from typing import Any
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -76,6 +77,20 @@ class MediaFrame:
     def to_df(self) -> DataFrame:
         return lower.lower(self.node)
 
+    def metered(self) -> tuple[DataFrame, DataFrame]:
+        """(result, ledger): the plan is run, each metered function once; the ledger has fn, modality, calls, tokens, watched_ms."""
+        account = lower.Account()
+        done = lower.lower(self.node, account)
+        if not account.ledger:
+            return done, done.sparkSession.createDataFrame([], "fn string, modality string, calls bigint, tokens bigint, watched_ms bigint")
+        return done, reduce(DataFrame.unionByName, account.ledger)
+
+    def timed(self) -> tuple[DataFrame, list[tuple[str, float, int]]]:
+        """(result, seconds and rows of each stage from a cold start): every stage is written before the next one reads it."""
+        account = lower.Account(timed=True)
+        done = lower.lower(ir.Stage(self.node, "result"), account)
+        return done, account.seconds
+
     def explain(self) -> str:
         return ir.pretty(self.node)
 

@@ -107,7 +107,10 @@ class PushdownWindows:
         clips = ir.Stage(ir.View(ir.Join(windows, media, keys), n.on, "start_ms", "end_ms", "_clip"), "clips")
         watched = ir.Stage(ir.Map(clips, n.fn, n.into, "_clip"), "watched")
         settled = ir.Reduce(watched, (*self.keys, *self.lift), lambda df, by: self.reconcile(df, by, n.into))
-        if self.lift or not self.restore_sources:
+        if self.lift:
+            # Results of all instructions on a source are one collection again.
+            settled = ir.Reduce(settled, self.keys, lambda df, by: df.groupBy(*by).agg(F.array_sort(F.flatten(F.collect_list(n.into))).alias(n.into)))
+        if not self.restore_sources:
             return settled
         joined = ir.Join(source, settled, keys, how="left")
         empty = F.coalesce(F.col(n.into), F.array().cast(n.fn.output)) if n.fn.output.startswith("array") else F.col(n.into)

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from mediarel.operators.vision import MotionTracker
+from mediarel.operators.vision import MotionTracker, Trail
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
@@ -62,52 +62,76 @@ def narrated_footage(said: DataFrame, footage: DataFrame, reach: str = "10 minut
 
 
 TRACK_OUT = "source_id bigint, start_ms bigint, end_ms bigint, first_x double, first_y double, n_det int"
-TRACK_STATE = "trails string"
+TRACK_STATE = "trails string, waiting string, next_frame int"
+_SEEN = ("frame_no", "det_id", "cls", "x", "y", "w", "h")
 
 
 def track_detections(detections: DataFrame, tracker: MotionTracker | None = None, idle: str = "1 minute", lateness: str = "10 seconds") -> DataFrame:
-    """Incremental tracking: open trails stay in state; a trail leaves when its gap is too long or the source is idle.
+    """Incremental tracking: a frame is linked once the watermark has passed it, and only open trails stay in state.
 
-    Input rows: source_id, ts, frame_no, det_id, cls, colour, subtype, x, y, w, h, conf, emb.
+    State holds the first and last box of each open trail and the boxes of frames that are not final yet, so it is bounded by what
+    moves at a time and by ``lateness``; what comes for a frame that is already linked is late and dropped. A trail leaves when its gap
+    is too long or the source is idle. Input rows: source_id, ts, frame_no, det_id, cls, x, y, w, h and others that are ignored.
     """
     tracker = tracker or MotionTracker()
 
     def advance(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held = json.loads(state.get[0]) if state.exists else []
+        trails, waiting, following = state.get if state.exists else ("[]", "[]", 0)
+        live = [Trail(**t) for t in json.loads(trails)]
+        frames: dict[int, list[dict]] = {}
+        for ms, d in json.loads(waiting):
+            frames.setdefault(d["frame_no"], []).append((ms, d))
+        done: list[Trail] = []
+        newest = max((ms for rows in frames.values() for ms, _ in rows), default=0)
+        if not state.hasTimedOut:
+            for batch in batches:
+                for r in batch.to_dict("records"):
+                    if r["frame_no"] >= following:
+                        ms = int(r["ts"].timestamp() * 1000)
+                        newest = max(newest, ms)
+                        frames.setdefault(int(r["frame_no"]), []).append((ms, {k: r[k].item() if hasattr(r[k], "item") else r[k] for k in _SEEN}))
+        mark = state.getCurrentWatermarkMs()
+        for frame in sorted(frames):
+            if not state.hasTimedOut and max(ms for ms, _ in frames[frame]) >= mark:
+                break
+            live, ended = tracker.step(live, frame, [d for _, d in frames.pop(frame)], keep=False)
+            done += ended
+            following = frame + 1
         if state.hasTimedOut:
+            done += live
             state.remove()
-            yield _told(key[0], tracker.tracks(held))
-            return
-        for batch in batches:
-            held += [{k: v.tolist() if hasattr(v, "tolist") else v for k, v in r.items() if k not in ("ts", "source_id")} for r in batch.to_dict("records")]
-        newest = max((d["frame_no"] for d in held), default=0)
-        trails = tracker.trails(held)
-        closed = [t for t in trails if newest - t[-1]["frame_no"] > tracker.max_gap + 1]
-        done = [d for t in closed for d in t]
-        gone = {d["det_id"] for d in done}
-        state.update((json.dumps([d for d in held if d["det_id"] not in gone]),))
-        state.setTimeoutTimestamp(state.getCurrentWatermarkMs() + 60_000 * max(1, _minutes(idle)))
-        if done:
-            yield _told(key[0], tracker.tracks(done))
+        else:
+            left = [x for rows in frames.values() for x in rows]
+            state.update((json.dumps([{"first": t.first, "last": t.last, "n": t.n} for t in live]), json.dumps(left), following))
+            state.setTimeoutTimestamp(max(newest, mark) + 60_000 * max(1, _minutes(idle)))
+        told = [t for t in done if t.n >= tracker.min_length]
+        if told:
+            ms = tracker.frame_ms
+            rows = [(key[0], t.first["frame_no"] * ms, (t.last["frame_no"] + 1) * ms, t.first["x"], t.first["y"], t.n) for t in told]
+            yield pd.DataFrame(rows, columns=["source_id", "start_ms", "end_ms", "first_x", "first_y", "n_det"])
 
     flow = detections.withWatermark("ts", lateness).groupBy("source_id")
     return flow.applyInPandasWithState(advance, TRACK_OUT, TRACK_STATE, "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def _told(source: int, tracks: list[dict]) -> pd.DataFrame:
-    names = ("start_ms", "end_ms", "first_x", "first_y", "n_det")
-    return pd.DataFrame([(source, *[t[n] for n in names]) for t in tracks], columns=["source_id", *names])
-
-
 def run_available(df: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
     """Process everything available into a memory table and return it."""
     writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
     if checkpoint:
         writer = writer.option("checkpointLocation", checkpoint)
-    writer.start().awaitTermination()
+    query = writer.start()
+    query.awaitTermination()
     return df.sparkSession.table(name)
 
 
+def late_rows(df: DataFrame, name: str) -> tuple[DataFrame, int]:
+    """Run everything available and return the result with the number of rows that came behind the watermark and were dropped."""
+    query = df.writeStream.format("memory").queryName(name).outputMode("append").trigger(availableNow=True).start()
+    query.awaitTermination()
+    dropped = sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
+    return df.sparkSession.table(name), dropped
+
+
 def write_each_batch(df: DataFrame, path: str, checkpoint: str):
     """Idempotent sink: a batch overwrites its own folder, so a restarted batch leaves no double rows."""
 

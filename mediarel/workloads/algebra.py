@@ -4,10 +4,12 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from mediarel import measures
 from mediarel.functions import geometry
-from mediarel.functions.semantic import SemanticFn, cost_usd, footage_tokens, narration_tokens
-from mediarel.operators import intervals, matching
+from mediarel.functions.semantic import SemanticFn, cost_usd
+from mediarel.operators import intervals, matching, reconcile
 from mediarel.plans.frame import MediaFrame
+from mediarel.sources.stored import barrier, representation
 from mediarel.workloads import points, spans
 from mediarel.workloads.points import PLANS_SQL, islands_sql
 
@@ -130,12 +132,62 @@ def window_pad(spark, sf_dir):
     return base.select("source_id", "event_id", low.alias("start_ms"), high.alias("end_ms"))
 
 
+def _hours(spark, sf_dir):
+    """Clips of a user by hour, each with the kind of its first event and whether it holds a purchase."""
+    first = F.min(F.struct("ts_ms", "event_id", "kind"))["kind"]
+    return points.footage(spark, sf_dir).groupBy("source_id", F.expr("ts_ms div 360000").alias("start_ms")).agg(first.alias("label"), F.bool_or(F.col("kind") == "purchase").alias("bought"))
+
+
 def reconcile_vote(spark, sf_dir):
     """Labels of clips (hours of a user) voted into one label a source."""
-    from mediarel.operators import reconcile
+    return reconcile.vote("label")(_hours(spark, sf_dir), ["source_id"], "label")
+
+
+def reconcile_any(spark, sf_dir):
+    """A yes on any clip is the source's answer."""
+    return reconcile.any_of(_hours(spark, sf_dir), ["source_id"], "bought")
+
+
+def reconcile_concat(spark, sf_dir):
+    """Digests of clips in order of time."""
+    return reconcile.concat(_hours(spark, sf_dir), ["source_id"], "label")
+
+
+def _conflicts(spark, sf_dir):
+    """Purchases and clicks of a user at most 15 minutes apart, scored by nearness: many pairs share a side."""
+    seen = points.footage(spark, sf_dir)
+    left = seen.where("kind = 'purchase'").select("source_id", F.col("event_id").alias("l"), F.col("ts_ms").alias("l_ms"))
+    right = seen.where("kind = 'click'").select("source_id", F.col("event_id").alias("r"), F.col("ts_ms").alias("r_ms"))
+    pairs = intervals.band_join(left, right, ["source_id"], 900_000, "l_ms", "r_ms")
+    return pairs.select("source_id", "l", "r", (-F.abs(F.col("l_ms") - F.col("r_ms"))).cast("double").alias("score"))
+
+
+def resolve_conflicts(spark, sf_dir):
+    """One-to-one settling where nearly every pair has rivals."""
+    return matching.greedy(_conflicts(spark, sf_dir), ["source_id"], "l", "r", "score")
 
-    clips = points.footage(spark, sf_dir).groupBy("source_id", F.expr("ts_ms div 360000").alias("clip_no")).agg(F.min(F.struct("ts_ms", "event_id", "kind"))["kind"].alias("label"))
-    return reconcile.vote("label")(clips, ["source_id"], "label")
+
+def resolve_conflicts_rounds(spark, sf_dir):
+    return matching.mutual_best(_conflicts(spark, sf_dir), ["source_id"], "l", "r", "score")
+
+
+def ablation_stages(spark, sf_dir):
+    """What stages of the narrow plan are worth: windows and footage without padding and without coalescing, and matches without one-to-one settling."""
+    said, refs = points.utterances(spark, sf_dir), points.reference(spark, sf_dir)
+    found = None
+    for name, before, after, merged in (("all stages", points.BEFORE, points.AFTER, True), ("no padding", 0, 1, True), ("no coalescing", points.BEFORE, points.AFTER, False)):
+        low, high = geometry.pad_window(F.col("start_ms"), F.col("start_ms"), before, after, F.lit(points.DURATION).cast("bigint"))
+        cut = said.select("source_id", low.alias("low"), high.alias("end_ms")).select("source_id", F.col("low").alias("start_ms"), "end_ms").where("start_ms < end_ms")
+        windows = intervals.coalesce(cut, ["source_id"]).select("source_id", "start_ms", "end_ms") if merged else cut
+        covered = intervals.point_join(refs, windows, ["source_id"], 60_000).agg(F.countDistinct("event_id").alias("n_covered"))
+        row = windows.agg(F.count("*").alias("n_windows"), F.sum(F.col("end_ms") - F.col("start_ms")).cast("bigint").alias("window_ms")).crossJoin(F.broadcast(covered))
+        row = row.select(F.lit(name).alias("variant"), "n_windows", "window_ms", "n_covered")
+        found = row if found is None else found.unionByName(row)
+    pairs = _conflicts(spark, sf_dir)
+    for name, kept in (("no one-to-one", pairs), ("one-to-one", matching.greedy(pairs, ["source_id"], "l", "r", "score"))):
+        row = kept.agg(F.count("*").alias("n_windows"), (-F.sum("score")).cast("bigint").alias("window_ms"), F.countDistinct("l").alias("n_covered"))
+        found = found.unionByName(row.select(F.lit(name).alias("variant"), "n_windows", "window_ms", "n_covered"))
+    return found
 
 
 def m_tiou(spark, sf_dir):
@@ -217,35 +269,46 @@ def o1_summarize_conv(spark, sf_dir):
 
 
 def o1_reuse_materialized(spark, sf_dir):
-    """The stored transcript answers a second task without the footage: utterances a source."""
-    told = points.relation(spark, sf_dir).to_df()
-    return told.select("source_id", F.size("t").cast("bigint").alias("n_said"), F.size(F.filter("t", lambda u: u["text"] == "goal")).cast("bigint").alias("n_goal"))
+    """A second task on the stored transcript: it is made and stored by the first reader and read by all others, never the footage."""
+    kind = "struct<source_id:bigint,event_id:bigint,start_ms:bigint,text:string>"
+    said = representation(spark, "utterances", "1", f"{sf_dir}/events.parquet", lambda: points.utterances(spark, sf_dir)).select(F.struct("*").cast(kind).alias("u")).select("u.*")
+    counts = said.groupBy("source_id").agg(F.count("*").alias("n_said"), F.count_if(F.col("text") == "goal").alias("n_goal"))
+    zero = lambda c: F.coalesce(c, F.lit(0).cast("bigint")).alias(c)
+    return points.sources(spark, sf_dir).select("source_id").join(counts, "source_id", "left").select("source_id", zero("n_said"), zero("n_goal"))
+
+
+_WORKLOADS = (("points", points, 30_000), ("spans", spans, 0.3))
 
 
 def plan_cost_table(spark, sf_dir):
-    """Share of footage watched, calls, tokens, money and accuracy of each plan of both event workloads."""
+    """Share of footage watched, calls, tokens, money and accuracy of each plan of both event workloads, from the ledgers of their runs."""
     found = None
-    for workload, module, curve, at in (("points", points, points.m_point_curve, 30_000), ("spans", spans, spans.m_span_curve, 0.3)):
-        whole = module.sources(spark, sf_dir).agg(F.sum("duration_ms").cast("bigint").alias("source_ms"), F.sum(footage_tokens(F.col("duration_ms"))).alias("f"), F.sum(narration_tokens(F.col("duration_ms"))).alias("n"), F.count("*").alias("sources"))
-        windows = (points.point_windows if module is points else spans.span_windows)(spark, sf_dir)
-        cut = windows.agg(F.count("*").alias("clips"), F.sum(F.col("end_ms") - F.col("start_ms")).cast("bigint").alias("window_ms"), F.sum(footage_tokens(F.col("end_ms") - F.col("start_ms"))).alias("c"))
-        base = whole.crossJoin(cut)
-        each = F.explode(
-            F.array(
-                F.struct(F.lit("direct").alias("plan"), F.lit(1.0).alias("share"), F.col("sources").alias("calls"), F.col("f").alias("tokens")),
-                F.struct(F.lit("narration").alias("plan"), F.lit(0.0).alias("share"), F.col("sources").alias("calls"), F.col("n").alias("tokens")),
-                F.struct(F.lit("narrow").alias("plan"), (F.col("window_ms") / F.col("source_ms")).alias("share"), (F.col("sources") + F.col("clips")).alias("calls"), (F.col("n") + F.col("c")).alias("tokens")),
-            )
-        )
-        costs = base.select(each.alias("p")).select("p.*")
-        accuracy = curve(spark, sf_dir).where(F.col("threshold") == at).select("plan", "precision", "recall", "f1")
-        rows = costs.join(accuracy, "plan").select(
-            F.lit(workload).alias("workload"), "plan", F.round(100 * F.col("share"), 4).alias("video_pct"), "calls", "tokens", cost_usd(F.col("tokens")).alias("cost_usd"), "precision", "recall", "f1"
+    for workload, module, at in _WORKLOADS:
+        preds = paid = None
+        for name, plan in module.PLANS.items():
+            done, ledger = plan(spark, sf_dir).metered()
+            rows, sums = module.told(done).withColumn("plan", F.lit(name)), ledger.withColumn("plan", F.lit(name))
+            preds, paid = (rows, sums) if preds is None else (preds.unionByName(rows), paid.unionByName(sums))
+        whole = module.sources(spark, sf_dir).agg(F.sum("duration_ms").alias("source_ms"))
+        costs = paid.groupBy("plan").agg(F.sum("calls").alias("calls"), F.sum("tokens").alias("tokens"), F.sum("watched_ms").alias("watched_ms")).crossJoin(F.broadcast(whole))
+        ref, preds = module.reference(spark, sf_dir), barrier(preds)
+        curve = measures.point_curve(preds, ref, (at,)) if module is points else measures.span_curve(preds, ref, (at,), ("source_id", "task_id"))
+        rows = costs.join(curve, "plan").select(
+            F.lit(workload).alias("workload"), "plan", F.round(100 * F.col("watched_ms") / F.col("source_ms"), 4).alias("video_pct"), "calls", "tokens", cost_usd(F.col("tokens")).alias("cost_usd"), "precision", "recall", "f1"
         )
         found = rows if found is None else found.unionByName(rows)
     return found
 
 
+def plan_times(spark, sf_dir):
+    """Cold-start seconds and rows of each component of every plan; stored transcripts are not counted, as in the published table."""
+    rows = []
+    for workload, module, _ in _WORKLOADS:
+        for name, plan in module.PLANS.items():
+            rows += [(workload, name, k, part, round(seconds, 3), held) for k, (part, seconds, held) in enumerate(plan(spark, sf_dir).timed()[1])]
+    return spark.createDataFrame(rows, "workload string, plan string, step int, component string, seconds double, n_rows bigint")
+
+
 def _table_pairs(spark, sf_dir):
     """Candidate pairs of tracks: a supplier is a camera, a part it ships is a track from first to last shipping date."""
     read = lambda t: spark.read.parquet(f"{sf_dir}/{t}.parquet")
@@ -283,6 +346,18 @@ w AS (
     CASE WHEN list_contains(ul, k.l) OR list_contains(ur, k.r) THEN ul ELSE list_append(ul, k.l) END, CASE WHEN list_contains(ul, k.l) OR list_contains(ur, k.r) THEN ur ELSE list_append(ur, k.r) END
   FROM w JOIN k ON k.source_id = w.source_id AND k.p = w.p + 1)
 SELECT source_id, l, r, match_score FROM w WHERE kept"""
+_PAIRS = f"""{PLANS_SQL},
+cp AS (SELECT l.source_id, l.event_id AS l, r.event_id AS r, CAST(-abs(l.ts_ms - r.ts_ms) AS DOUBLE) AS score FROM footage l JOIN footage r ON l.source_id = r.source_id AND l.kind = 'purchase' AND r.kind = 'click' AND abs(l.ts_ms - r.ts_ms) <= 900000)"""
+_SETTLED = f"""{_PAIRS},
+ck AS (SELECT *, row_number() OVER (PARTITION BY source_id ORDER BY score DESC, l, r) AS p FROM cp),
+cw AS (
+  SELECT source_id, l, r, score, p, TRUE AS kept, [l] AS ul, [r] AS ur FROM ck WHERE p = 1
+  UNION ALL SELECT ck.source_id, ck.l, ck.r, ck.score, ck.p, NOT (list_contains(ul, ck.l) OR list_contains(ur, ck.r)),
+    CASE WHEN list_contains(ul, ck.l) OR list_contains(ur, ck.r) THEN ul ELSE list_append(ul, ck.l) END, CASE WHEN list_contains(ul, ck.l) OR list_contains(ur, ck.r) THEN ur ELSE list_append(ur, ck.r) END
+  FROM cw JOIN ck ON ck.source_id = cw.source_id AND ck.p = cw.p + 1)"""
+_CONFLICTS = f"WITH RECURSIVE {_SETTLED} SELECT source_id, l, r, score FROM cw WHERE kept"
+_HOURS = f"""{PLANS_SQL},
+hour AS (SELECT source_id, ts_ms // 360000 AS hr, arg_min(kind, ts_ms * 10000000 + event_id) AS label, bool_or(kind = 'purchase') AS bought FROM footage GROUP BY ALL)"""
 _OVERLAP = f"WITH {EXTENT_SQL}, {islands_sql('ext', 'source_id', 'm')} SELECT source_id, window_no, start_ms, end_ms FROM m"
 _LOW_SQL = "(regexp_matches({t}, '[$#&%*]{{3}}') OR regexp_matches({t}, '[A-Z]{{4,}}!!') OR len(list_distinct(string_split({t}, chr(10)))) / len(string_split({t}, chr(10))) < 0.7)"
 _CLASSIFY = f"SELECT doc_id, {_LOW_SQL.format(t='text')} AS low_full, {_LOW_SQL.format(t='substr(text, 1, 200)')} AS low_head FROM documents"
@@ -294,7 +369,7 @@ QUERIES = {
         alg_join_scored, alg_join_plain, resolve_overlap, resolve_overlap_two_level, resolve_one_to_one, resolve_one_to_one_rounds, resolve_keep_best, resolve_components,
         window_pad, reconcile_vote, m_tiou, fn_box_iou, join_interval, join_point_in_interval, join_band, sample_fps, o1_classify_docs, o1_classify_prf, o1_extract_pages,
         o1_extract_agreement, o1_summarize_conv, o1_reuse_materialized, plan_cost_table, xcam_tables,
-        xcam_tables_settled,
+        xcam_tables_settled, reconcile_any, reconcile_concat, resolve_conflicts, resolve_conflicts_rounds, ablation_stages, plan_times,
     )
 }
 
@@ -316,6 +391,18 @@ ORACLE_SQL = {
     "resolve_overlap_two_level": _OVERLAP,
     "resolve_one_to_one": _ONE_TO_ONE,
     "resolve_one_to_one_rounds": _ONE_TO_ONE,
+    "resolve_conflicts": _CONFLICTS,
+    "resolve_conflicts_rounds": _CONFLICTS,
+    "reconcile_any": f"WITH {_HOURS} SELECT source_id, bool_or(bought) AS bought FROM hour GROUP BY source_id",
+    "reconcile_concat": f"WITH {_HOURS} SELECT source_id, string_agg(label, ' ' ORDER BY hr) AS label FROM hour GROUP BY source_id",
+    "ablation_stages": f"""WITH RECURSIVE {_SETTLED},
+bare AS (SELECT source_id, start_ms, least(start_ms + 1, 4320000) AS end_ms FROM utter WHERE start_ms < 4320000),
+{islands_sql('bare', 'source_id', 'bw')}
+SELECT 'all stages' AS variant, count(*) AS n_windows, CAST(sum(end_ms - start_ms) AS BIGINT) AS window_ms, (SELECT count(DISTINCT event_id) FROM ref r JOIN windows w ON r.source_id = w.source_id AND ts_ms >= start_ms AND ts_ms < end_ms) AS n_covered FROM windows
+UNION ALL SELECT 'no padding', count(*), CAST(sum(end_ms - start_ms) AS BIGINT), (SELECT count(DISTINCT event_id) FROM ref r JOIN bw w ON r.source_id = w.source_id AND ts_ms >= start_ms AND ts_ms < end_ms) FROM bw
+UNION ALL SELECT 'no coalescing', count(*), CAST(sum(end_ms - start_ms) AS BIGINT), (SELECT count(DISTINCT r.event_id) FROM ref r JOIN cand w ON r.source_id = w.source_id AND ts_ms >= w.start_ms AND ts_ms < w.end_ms) FROM cand
+UNION ALL SELECT 'no one-to-one', count(*), CAST(-sum(score) AS BIGINT), count(DISTINCT l) FROM cp
+UNION ALL SELECT 'one-to-one', count(*), CAST(-sum(score) AS BIGINT), count(DISTINCT l) FROM cw WHERE kept""",
     "resolve_keep_best": "SELECT user_id, event_type, event_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id, event_type ORDER BY value DESC, event_id) AS k FROM events) WHERE k = 1",
     "resolve_components": f"""WITH RECURSIVE {PLANS_SQL},
 e AS (SELECT DISTINCT source_id, ts_ms // 36000 AS slot FROM footage WHERE value >= 120 AND kind = 'purchase'),

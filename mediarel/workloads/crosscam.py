@@ -19,45 +19,49 @@ from mediarel.schema import media_ref
 CUTS = (0.2, 0.3, 0.4, 0.5, 0.6)
 
 
-def vehicles(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _cameras(n: int):
+    return F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("camera")
+
+
+def vehicles(spark: SparkSession, sf_dir: str, cameras: int = 2) -> DataFrame:
     """(k, camera, scene, source, frames, attributes): what is really there."""
     vectors, part = spark.read.parquet(f"{sf_dir}/embeddings.parquet"), spark.read.parquet(f"{sf_dir}/part.parquet")
     n_parts = part.count()
-    base = vectors.select(F.col("vec_id").alias("k"), F.explode(F.array(F.lit(0), F.lit(1))).alias("camera"))
-    base = base.where("NOT (camera = 0 AND k % 11 = 0) AND NOT (camera = 1 AND k % 7 = 0)")
+    base = vectors.select(F.col("vec_id").alias("k"), _cameras(cameras))
+    base = base.where("NOT (camera = 0 AND k % 11 = 0) AND NOT (camera = 1 AND k % 7 = 0) AND NOT (camera = 2 AND k % 13 = 0)")
     base = base.selectExpr(
-        "k", "camera", "k div 20 AS scene_id", "(k div 20) * 2 + camera AS source_id", "int((k * 3) % 20 + camera * (k % 5)) AS first_frame",
+        "k", "camera", "k div 20 AS scene_id", f"(k div 20) * {cameras} + camera AS source_id", "int((k * 3) % 20 + camera * (k % 5)) AS first_frame",
         "IF(k % 2 = 1, -1, 1) * (8 + k % 5) AS speed", f"k % {n_parts} AS p_partkey",
     )
     named = part.select("p_partkey", F.col("p_type").alias("cls"), F.split("p_name", " ")[0].alias("colour"), F.col("p_brand").alias("subtype"))
     return base.join(named, "p_partkey").drop("p_partkey")
 
 
-def crops(spark: SparkSession, sf_dir: str) -> DataFrame:
+def crops(spark: SparkSession, sf_dir: str, cameras: int = 2) -> DataFrame:
     """(crop, emb): the stand-in embedder's answer for a crop, a vehicle's vector with another mixed in."""
     vectors = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.col("vec_id").alias("k"), F.col("embedding").cast("array<double>").alias("v"))
     n = vectors.count()
-    each = vectors.select("k", "v", F.explode(F.array(F.lit(0), F.lit(1))).alias("camera")).withColumn("j", F.expr(f"(k * 13 + 7 * camera + 5) % {n}"))
+    each = vectors.select("k", "v", _cameras(cameras)).withColumn("j", F.expr(f"(k * 13 + 7 * camera + 5) % {n}"))
     other = vectors.select(F.col("k").alias("j"), F.col("v").alias("o"))
     weight = F.expr("IF(k % 9 = 0 AND camera = 1, 3.0D, 0.5D)")
-    return each.join(other, "j").select((F.col("k") * 2 + F.col("camera")).alias("crop"), F.zip_with("v", F.transform("o", lambda x: x * weight), lambda a, b: a + b).alias("emb"))
+    return each.join(other, "j").select((F.col("k") * cameras + F.col("camera")).alias("crop"), F.zip_with("v", F.transform("o", lambda x: x * weight), lambda a, b: a + b).alias("emb"))
 
 
-def sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+def sources(spark: SparkSession, sf_dir: str, cameras: int = 2) -> DataFrame:
     scenes = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.expr("vec_id div 20").alias("scene_id")).distinct()
-    each = scenes.select("scene_id", F.explode(F.array(F.lit(0), F.lit(1))).alias("camera")).withColumn("source_id", F.col("scene_id") * 2 + F.col("camera"))
+    each = scenes.select("scene_id", _cameras(cameras)).withColumn("source_id", F.col("scene_id") * cameras + F.col("camera"))
     return each.withColumn("duration_ms", F.lit(5000).cast("bigint")).withColumn("v", media_ref(F.col("source_id"), F.col("duration_ms")))
 
 
-def boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
+def boxes(spark: SparkSession, sf_dir: str, cameras: int = 2) -> DataFrame:
     """Raw detector output in flat form: main boxes with drop-outs, and weaker duplicates beside them."""
-    seen = vehicles(spark, sf_dir).withColumn("frame_no", F.explode(F.sequence(F.col("first_frame"), F.col("first_frame") + 24))).where("(k * 3 + frame_no) % 10 != 0")
+    seen = vehicles(spark, sf_dir, cameras).withColumn("frame_no", F.explode(F.sequence(F.col("first_frame"), F.col("first_frame") + 24))).where("(k * 3 + frame_no) % 10 != 0")
     colour = F.expr("IF(camera = 1 AND k % 5 = 2, 'unknown', colour)")
     extra = F.explode(F.expr("IF((k + frame_no) % 6 = 0, array(0, 4), array(0))")).alias("off")
     placed = seen.select("k", "camera", "source_id", "frame_no", "speed", "cls", colour.alias("colour"), "subtype", extra)
     flat = placed.selectExpr(
         "source_id", "frame_no", "bigint(frame_no * 100) AS ts_ms", "cls", "colour", "subtype", "double(700 + speed * frame_no + 300 * camera + off) AS x", "double(60 * (k % 20)) AS y",
-        "50.0D AS w", "40.0D AS h", "IF(off = 0, 0.9D, 0.6D) AS conf", "k * 2 + camera AS crop",
+        "50.0D AS w", "40.0D AS h", "IF(off = 0, 0.9D, 0.6D) AS conf", f"k * {cameras} + camera AS crop",
     )
     return flat.withColumn("det_id", F.expr("bigint(row_number() OVER (PARTITION BY source_id ORDER BY frame_no, x, y))"))
 
@@ -65,9 +69,9 @@ def boxes(spark: SparkSession, sf_dir: str) -> DataFrame:
 _FIELDS = ("det_id", "frame_no", "ts_ms", "cls", "colour", "subtype", "x", "y", "w", "h", "conf", "crop")
 
 
-def detector(spark: SparkSession, sf_dir: str):
+def detector(spark: SparkSession, sf_dir: str, cameras: int = 2):
     def detect(df: DataFrame, on: str, classes: tuple[str, ...], into: str) -> DataFrame:
-        found = boxes(spark, sf_dir)
+        found = boxes(spark, sf_dir, cameras)
         found = found.where(F.col("cls").isin(*classes)) if classes else found
         lists = found.groupBy("source_id").agg(F.array_sort(F.collect_list(F.struct(*_FIELDS))).alias(into))
         return df.join(lists, "source_id")
@@ -75,13 +79,13 @@ def detector(spark: SparkSession, sf_dir: str):
     return detect
 
 
-def refiner(spark: SparkSession, sf_dir: str):
+def refiner(spark: SparkSession, sf_dir: str, cameras: int = 2):
     """Suppress, then embed what is left."""
 
     def refine(df: DataFrame, on: str, into: str) -> DataFrame:
         kept = vision.suppress_column(df.drop("v"), on)
         flat = kept.select("scene_id", "camera", "source_id", F.explode(on).alias("d")).select("scene_id", "camera", "source_id", "d.*")
-        with_vector = flat.join(crops(spark, sf_dir), "crop").drop("crop")
+        with_vector = flat.join(crops(spark, sf_dir, cameras), "crop").drop("crop")
         return with_vector.groupBy("scene_id", "camera", "source_id").agg(F.array_sort(F.collect_list(F.struct(*[f for f in _FIELDS if f != "crop"], "emb"))).alias(into))
 
     return refine
@@ -130,13 +134,13 @@ def associator(spark: SparkSession, sf_dir: str):
     return run
 
 
-def one_shot_plan(spark: SparkSession, sf_dir: str) -> MediaFrame:
-    return MediaFrame.of(sources(spark, sf_dir), "feeds").fold(["scene_id"], associator(spark, sf_dir)).unnest("A")
+def one_shot_plan(spark: SparkSession, sf_dir: str, cameras: int = 2) -> MediaFrame:
+    return MediaFrame.of(sources(spark, sf_dir, cameras), "feeds").fold(["scene_id"], associator(spark, sf_dir)).unnest("A")
 
 
-def staged_plan(spark: SparkSession, sf_dir: str, motion: bool = True, cut: float = pairing.CUT, classes: tuple[str, ...] = ()) -> MediaFrame:
-    rule = DecomposeAssociation(detector(spark, sf_dir), refiner(spark, sf_dir), vision.track_column, _pair(motion, cut), _settle, pairing.to_association, classes)
-    return one_shot_plan(spark, sf_dir).rewrite(rule)
+def staged_plan(spark: SparkSession, sf_dir: str, motion: bool = True, cut: float = pairing.CUT, classes: tuple[str, ...] = (), cameras: int = 2) -> MediaFrame:
+    rule = DecomposeAssociation(detector(spark, sf_dir, cameras), refiner(spark, sf_dir, cameras), vision.track_column, _pair(motion, cut), _settle, pairing.to_association, classes)
+    return one_shot_plan(spark, sf_dir, cameras).rewrite(rule)
 
 
 def _flat(associations: DataFrame) -> DataFrame:
@@ -171,6 +175,16 @@ def xcam_tracks(spark, sf_dir):
     return tracks(spark, sf_dir).select("source_id", "start_ms", "end_ms", "n_det", "first_x", "first_y", "last_x", "last_y")
 
 
+def udtf_track_boxes(spark, sf_dir):
+    """Tracks from flat detections by a table function in SQL: partitioned by source, in order of frame."""
+    from mediarel import sql
+
+    sql.register(spark)
+    d = vision.suppress_column(staged_plan(spark, sf_dir).stage("detections").drop("v"), "_d").select("source_id", F.explode("_d").alias("d")).select("source_id", "d.*")
+    found = spark.sql("SELECT source_id, start_ms, end_ms, n_det FROM track_boxes(TABLE({d}) PARTITION BY source_id ORDER BY (frame_no, det_id))", d=d)
+    return found
+
+
 def _pair_columns(df: DataFrame) -> DataFrame:
     return df.select("scene_id", "left_source", "right_source", F.col("l_start_ms").alias("left_start_ms"), F.col("l_first_y").alias("left_y"), F.col("r_start_ms").alias("right_start_ms"), F.col("r_first_y").alias("right_y"), "score")
 
@@ -268,34 +282,38 @@ def xcam_cut_sweep(spark, sf_dir):
 
 
 def xcam_multi(spark, sf_dir):
-    """More than two feeds: matches of every source pair closed over tracks; one row an entity."""
-    m = staged_plan(spark, sf_dir).stage("matches")
+    """Three feeds a scene: matches of every source pair closed over tracks; one row an entity with its feeds in order."""
+    m = staged_plan(spark, sf_dir, cameras=3).stage("matches")
     key = lambda s: F.concat_ws(":", F.lpad(F.col(f"{s}_source_id").cast("string"), 12, "0"), F.lpad(F.col(f"{s}_track_id").cast("string"), 6, "0"))
     groups = matching.connected_groups(m.select(key("l").alias("a"), key("r").alias("b")))
-    return groups.groupBy("group").agg(F.count("*").alias("n_tracks"), F.min(F.split("node", ":")[0].cast("bigint")).alias("first_source")).groupBy("first_source", "n_tracks").agg(F.count("*").alias("n_entities"))
+    feeds = F.array_sort(F.collect_list(F.split("node", ":")[0].cast("bigint")))
+    entities = groups.groupBy("group").agg(F.count("*").alias("n_tracks"), F.concat_ws(",", feeds).alias("feeds"))
+    return entities.groupBy("feeds", "n_tracks").agg(F.count("*").alias("n_entities"))
 
 
 def embed_lookup(spark, sf_dir):
     return crops(spark, sf_dir).select("crop", F.round(F.element_at("emb", 1), 6).alias("e1"), F.round(F.aggregate("emb", F.lit(0.0), lambda t, x: t + x), 6).alias("total"))
 
 
-VEHICLES_SQL = """
+def vehicles_sql(cameras: int) -> str:
+    """CTEs of vehicles, tracks and scored pairs of a scene's cameras."""
+    return f"""
 n AS (SELECT count(*) AS n FROM embeddings), np AS (SELECT count(*) AS np FROM part),
 v AS (
-  SELECT vec_id AS k, camera, vec_id // 20 AS scene_id, (vec_id // 20) * 2 + camera AS source_id, (vec_id * 3) % 20 + camera * (vec_id % 5) AS ff,
+  SELECT vec_id AS k, camera, vec_id // 20 AS scene_id, (vec_id // 20) * {cameras} + camera AS source_id, (vec_id * 3) % 20 + camera * (vec_id % 5) AS ff,
          CASE WHEN vec_id % 2 = 1 THEN -1 ELSE 1 END * (8 + vec_id % 5) AS speed, p_type AS cls, split_part(p_name, ' ', 1) AS colour, p_brand AS subtype, CAST(60 * (vec_id % 20) AS DOUBLE) AS y
-  FROM embeddings CROSS JOIN (SELECT unnest([0, 1]) AS camera) CROSS JOIN np JOIN part ON p_partkey = vec_id % np
-  WHERE NOT (camera = 0 AND vec_id % 11 = 0) AND NOT (camera = 1 AND vec_id % 7 = 0)),
+  FROM embeddings CROSS JOIN (SELECT unnest(range({cameras})) AS camera) CROSS JOIN np JOIN part ON p_partkey = vec_id % np
+  WHERE NOT (camera = 0 AND vec_id % 11 = 0) AND NOT (camera = 1 AND vec_id % 7 = 0) AND NOT (camera = 2 AND vec_id % 13 = 0)),
 f AS (SELECT v.*, ff + i AS frame_no, CAST(700 + speed * (ff + i) + 300 * camera AS DOUBLE) AS x FROM v CROSS JOIN (SELECT unnest(range(25)) AS i) WHERE (k * 3 + ff + i) % 10 <> 0),
 t AS (
   SELECT k, camera, scene_id, source_id, cls, subtype, CASE WHEN camera = 1 AND k % 5 = 2 THEN 'unknown' ELSE colour END AS colour, y, speed, min(frame_no) * 100 AS start_ms, (max(frame_no) + 1) * 100 AS end_ms,
          count(*) AS n_det, arg_min(x, frame_no) AS first_x, arg_max(x, frame_no) AS last_x
   FROM f GROUP BY k, camera, scene_id, source_id, cls, subtype, colour, y, speed),
 vec AS (SELECT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings),
-crop AS (
+crop AS MATERIALIZED (
   SELECT a.vec_id AS k, camera, list_transform(list_zip(a.e, b.e), lambda z: z[1] + z[2] * CASE WHEN a.vec_id % 9 = 0 AND camera = 1 THEN 3.0 ELSE 0.5 END) AS emb
-  FROM vec a CROSS JOIN (SELECT unnest([0, 1]) AS camera) CROSS JOIN n JOIN vec b ON b.vec_id = (a.vec_id * 13 + 7 * camera + 5) % n),
-tv AS (SELECT t.*, emb FROM t JOIN crop USING (k, camera)),
+  FROM vec a CROSS JOIN (SELECT unnest(range({cameras})) AS camera) CROSS JOIN n JOIN vec b ON b.vec_id = (a.vec_id * 13 + 7 * camera + 5) % n),
+tv AS MATERIALIZED (SELECT t.*, emb FROM t JOIN crop USING (k, camera)),
 allpairs AS (
   SELECT l.k AS lk, r.k AS rk, l.scene_id, l.source_id AS left_source, r.source_id AS right_source, l.start_ms AS left_start_ms, l.end_ms AS left_end_ms, l.y AS left_y, r.start_ms AS right_start_ms, r.end_ms AS right_end_ms, r.y AS right_y,
          l.cls AS cls, l.subtype AS subtype, CASE WHEN l.colour = 'unknown' THEN r.colour ELSE l.colour END AS colour,
@@ -303,6 +321,9 @@ allpairs AS (
          round(list_cosine_similarity(l.emb, r.emb), 6) AS score, l.first_x AS lx, r.first_x AS rx
   FROM tv l JOIN tv r ON l.scene_id = r.scene_id AND l.source_id < r.source_id AND l.start_ms < r.end_ms AND r.start_ms < l.end_ms),
 pairs AS (SELECT * FROM allpairs WHERE alike AND score >= 0.4)"""
+
+
+VEHICLES_SQL = vehicles_sql(2)
 # Greedy by score, then by the places of the tracks in their sources (first frame, x, y).
 MATCHES_SQL = f"""
 WITH RECURSIVE {VEHICLES_SQL},
@@ -322,7 +343,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         xcam_oneshot, xcam_staged, xcam_detections, nms, xcam_tracks, xcam_pairs, xcam_matches, pair_candidates, cosine_pairs, m_assoc_score, m_assoc_prf,
-        m_entity_coverage, m_pair_coverage, xcam_cut_sweep, xcam_multi, embed_lookup,
+        m_entity_coverage, m_pair_coverage, xcam_cut_sweep, xcam_multi, embed_lookup, udtf_track_boxes,
     )
 }
 QUERIES["media_track"] = xcam_tracks
@@ -361,6 +382,7 @@ ORACLE_SQL = {
     "xcam_detections": _DETECTIONS,
     "media_detect": _DETECTIONS,
     "nms": f"WITH {VEHICLES_SQL} SELECT source_id, frame_no, x, y, CAST(0.9 AS DOUBLE) AS conf FROM f",
+    "udtf_track_boxes": f"WITH {VEHICLES_SQL} SELECT source_id, start_ms, end_ms, n_det FROM t WHERE n_det >= 3",
     "xcam_tracks": _TRACKS,
     "media_track": _TRACKS,
     "xcam_pairs": f"WITH {VEHICLES_SQL} SELECT scene_id, left_source, right_source, left_start_ms, left_y, right_start_ms, right_y, score FROM pairs",
@@ -370,7 +392,20 @@ ORACLE_SQL = {
     "embed_lookup": f"WITH {VEHICLES_SQL} SELECT k * 2 + camera AS crop, round(emb[1], 6) AS e1, round(list_sum(emb), 6) AS total FROM crop",
     "xcam_cut_sweep": f"""WITH {VEHICLES_SQL}, c AS (SELECT CAST(unnest([0.2, 0.3, 0.4, 0.5, 0.6]) AS DOUBLE) AS cut), m AS (SELECT unnest([TRUE, FALSE]) AS motion)
 SELECT motion, cut, count(*) AS n_pairs, CAST(sum(CAST(left_y = right_y AS INT)) AS BIGINT) AS n_right FROM allpairs CROSS JOIN c CROSS JOIN m WHERE score >= cut AND (alike OR NOT motion) GROUP BY motion, cut""",
-    "xcam_multi": f"{MATCHES_SQL} SELECT left_source AS first_source, CAST(2 AS BIGINT) AS n_tracks, count(*) AS n_entities FROM matches GROUP BY left_source",
+    "xcam_multi": f"""WITH RECURSIVE {vehicles_sql(3)},
+ranked AS (SELECT *, row_number() OVER (PARTITION BY scene_id, left_source, right_source ORDER BY score DESC, left_start_ms, lx, left_y, right_start_ms, rx, right_y) AS p FROM pairs),
+walk AS (
+  SELECT left_source, right_source, p, lk, rk, TRUE AS kept, [lk] AS ul, [rk] AS ur FROM ranked WHERE p = 1
+  UNION ALL
+  SELECT r.left_source, r.right_source, r.p, r.lk, r.rk, NOT (list_contains(ul, r.lk) OR list_contains(ur, r.rk)),
+         CASE WHEN list_contains(ul, r.lk) OR list_contains(ur, r.rk) THEN ul ELSE list_append(ul, r.lk) END,
+         CASE WHEN list_contains(ul, r.lk) OR list_contains(ur, r.rk) THEN ur ELSE list_append(ur, r.rk) END
+  FROM walk w JOIN ranked r ON r.left_source = w.left_source AND r.right_source = w.right_source AND r.p = w.p + 1),
+edge AS (SELECT left_source * 100000 + lk AS a, right_source * 100000 + rk AS b FROM walk WHERE kept),
+both_ways AS (SELECT a, b FROM edge UNION SELECT b, a FROM edge),
+reach AS (SELECT a AS node, a AS root FROM both_ways UNION SELECT g.b, reach.root FROM reach JOIN both_ways g ON g.a = reach.node),
+entity AS (SELECT root, count(*) AS n_tracks, string_agg(node // 100000, ',' ORDER BY node // 100000) AS feeds FROM (SELECT node, min(root) AS root FROM reach GROUP BY node) GROUP BY root)
+SELECT feeds, n_tracks, count(*) AS n_entities FROM entity GROUP BY feeds, n_tracks""",
     "m_assoc_score": f"{_ASSOC_SQL} SELECT scene_id, k, CAST(score AS DOUBLE) AS score, round(time_iou, 6) AS time_iou, round(exact, 6) AS exact FROM accepted WHERE plan = 'oneshot'",
     "m_assoc_prf": f"""{_ASSOC_SQL},
 a AS (SELECT plan, count(*) AS tp, round(avg(time_iou), 6) AS timeline_iou, round(avg(exact), 6) AS attr_exact FROM accepted GROUP BY plan)

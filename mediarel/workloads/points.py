@@ -10,12 +10,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from mediarel import measures
-from mediarel.functions.semantic import SemanticFn
+from mediarel.functions.semantic import SemanticFn, reading, watching
 from mediarel.operators import intervals, reconcile
 from mediarel.plans.frame import MediaFrame
-from mediarel.plans.lower import barrier
 from mediarel.plans.rules import PushdownWindows, SubstituteModality
 from mediarel.schema import CANDIDATE, EVENT, media_ref
+from mediarel.sources.stored import barrier
 
 DURATION = 4_320_000
 LONG_CONTEXT = 600_000
@@ -60,7 +60,8 @@ def task(spark: SparkSession, sf_dir: str) -> SemanticFn:
     def watch(df: DataFrame, on: str, into: str) -> DataFrame:
         clip = F.col(on)
         spans = df.select("source_id", clip["clip_start_ms"].alias("s"), clip["clip_end_ms"].alias("e"))
-        rows = seen.where("kind IN ('purchase', 'error') AND value >= 120").join(spans, "source_id").where("ts_ms >= s AND ts_ms < e")
+        # What is watched meets its footage on time buckets.
+        rows = intervals.point_join(seen.where("kind IN ('purchase', 'error') AND value >= 120"), spans, ["source_id"], LONG_CONTEXT, span=("s", "e"))
         long = F.expr(f"e - s > {LONG_CONTEXT}")
         goal = F.col("kind") == "purchase"
         told = F.when(goal, ~(long & F.expr("event_id % 10 = 3"))).otherwise(F.when(long, F.expr("event_id % 6 = 1")).otherwise(F.expr("event_id % 24 = 1")))
@@ -74,8 +75,8 @@ def task(spark: SparkSession, sf_dir: str) -> SemanticFn:
         return df.withColumn(into, F.transform(goals, lambda u: F.struct(u["start_ms"].alias("start_ms"), u["start_ms"].alias("end_ms"), F.lit(0.7).alias("conf"), u["text"].alias("evidence"))))
 
     output = f"array<{EVENT}>"
-    narrated = SemanticFn("goals in narration", "Return the time of every goal.", "t", output, read)
-    return SemanticFn("goals in footage", "Return the time of every goal.", "v", output, watch, siblings={"t": narrated})
+    narrated = SemanticFn("goals in narration", "Return the time of every goal.", "t", output, read, meter=reading)
+    return SemanticFn("goals in footage", "Return the time of every goal.", "v", output, watch, siblings={"t": narrated}, meter=watching)
 
 
 def candidates_fn() -> SemanticFn:
@@ -84,7 +85,7 @@ def candidates_fn() -> SemanticFn:
     def run(df: DataFrame, on: str, into: str) -> DataFrame:
         return df.withColumn(into, F.transform(F.col(on), lambda u: F.struct(u["start_ms"].alias("start_ms"), u["start_ms"].alias("end_ms"), F.lit(1.0).alias("score"))))
 
-    return SemanticFn("goal candidates", "Return every moment that may be near a goal.", "t", f"array<{CANDIDATE}>", run)
+    return SemanticFn("goal candidates", "Return every moment that may be near a goal.", "t", f"array<{CANDIDATE}>", run, meter=reading)
 
 
 def relation(spark: SparkSession, sf_dir: str) -> MediaFrame:
@@ -107,8 +108,16 @@ def narrow(spark: SparkSession, sf_dir: str, before_ms: int = BEFORE, after_ms:
     return direct(spark, sf_dir).rewrite(PushdownWindows(candidates_fn(), "t", before_ms, after_ms, reconcile.points(MERGE)))
 
 
+def told(found: DataFrame) -> DataFrame:
+    """Predictions of a plan's result."""
+    return found.select("source_id", F.col("events.start_ms").alias("ts_ms"))
+
+
 def _points(plan: MediaFrame) -> DataFrame:
-    return plan.to_df().select("source_id", F.col("events.start_ms").alias("ts_ms"))
+    return told(plan.to_df())
+
+
+PLANS = {"direct": direct, "narration": narration, "narrow": narrow}
 
 
 def point_direct(spark, sf_dir):

@@ -180,6 +180,63 @@ def agg_vector_mean(t):
     return each.groupBy("label", F.col("d").cast("bigint").alias("d")).agg(F.round(F.avg("x"), 5).alias("x"))
 
 
+@query("SELECT label, d, round(avg(x), 5) AS x FROM (SELECT label, unnest(range(64)) AS d, unnest(CAST(embedding AS DOUBLE[])) AS x FROM embeddings) GROUP BY label, d")
+def udaf_vector_mean(t):
+    """The same mean by a grouped-aggregate Python UDF."""
+    from mediarel.functions.udfs import vector_mean
+
+    means = t("embeddings").groupBy("label").agg(vector_mean(F.col("embedding").cast("array<double>")).alias("m"))
+    return means.select("label", F.posexplode("m").alias("d", "x")).select("label", F.col("d").cast("bigint").alias("d"), F.round("x", 5).alias("x"))
+
+
+_SHIPPED = "SELECT l_suppkey AS source_id, l_linenumber * 10 + l_partkey % 50 AS start_ms, l_linenumber * 10 + l_partkey % 50 + l_orderkey % 7 + 1 AS end_ms FROM lineitem"
+_UNION_MS = f"""WITH s AS (SELECT source_id, start_ms, end_ms, coalesce(max(end_ms) OVER (PARTITION BY source_id ORDER BY start_ms, end_ms ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), start_ms) AS reach FROM ({_SHIPPED}))
+SELECT source_id, CAST(sum(greatest(end_ms - greatest(start_ms, reach), 0)) AS BIGINT) AS union_ms FROM s GROUP BY source_id"""
+
+
+def _shipped(t):
+    start = F.expr("bigint(l_linenumber * 10 + l_partkey % 50)")
+    return t("lineitem").select(F.col("l_suppkey").alias("source_id"), start.alias("start_ms"), (start + F.expr("bigint(l_orderkey % 7 + 1)")).alias("end_ms"))
+
+
+@query(_UNION_MS)
+def udaf_union_ms(t):
+    """Length of a union of intervals by a grouped-aggregate Python UDF."""
+    from mediarel.functions.udfs import union_ms
+
+    return _shipped(t).groupBy("source_id").agg(union_ms("start_ms", "end_ms").alias("union_ms"))
+
+
+@query(_UNION_MS)
+def udtf_union_spans(t):
+    """The same by an Arrow table function that streams a partition's batches."""
+    from mediarel import sql
+
+    rows = _shipped(t)
+    sql.register(rows.sparkSession)
+    return rows.sparkSession.sql("SELECT source_id, union_ms FROM union_spans(TABLE({r}) PARTITION BY source_id ORDER BY start_ms)", r=rows)
+
+
+@query("""WITH p AS (SELECT a.vec_id AS a, b.vec_id AS b, CAST(a.embedding AS DOUBLE[]) AS x, CAST(b.embedding AS DOUBLE[]) AS y FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1)
+SELECT a, b, round(list_sum(list_transform(list_zip(x, y), lambda z: z[1] * z[2])) / sqrt(list_sum(list_transform(x, lambda v: v * v)) * list_sum(list_transform(y, lambda v: v * v))), 6) AS score FROM p""")
+def udf_cosine(t):
+    """Cosine of neighbouring vectors by a scalar Arrow UDF."""
+    from mediarel.functions.udfs import cosine_batch
+
+    v = t("embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
+    pairs = v.select(F.col("vec_id").alias("a"), F.col("e").alias("x")).join(v.select(F.col("vec_id").alias("b"), F.col("e").alias("y")), F.expr("b = a + 1"))
+    return pairs.select("a", "b", F.round(cosine_batch("x", "y"), 6).alias("score"))
+
+
+@query("SELECT p_partkey, greatest(CAST(p_size AS BIGINT) - 5, 0) AS start_ms, least(CAST(p_size AS BIGINT) + 20, 50) AS end_ms FROM part")
+def sql_pad_window(t):
+    from mediarel import sql
+
+    df = t("part")
+    sql.register(df.sparkSession)
+    return df.sparkSession.sql("SELECT p_partkey, w.start_ms, w.end_ms FROM (SELECT p_partkey, pad_window(bigint(p_size), bigint(p_size), 5L, 20L, 50L) AS w FROM {p})", p=df)
+
+
 @query("SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey HAVING count(*) > 600")
 def agg_having(t):
     return t("lineitem").groupBy("l_suppkey").agg(F.count("*").alias("n")).where("n > 600")

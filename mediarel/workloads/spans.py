@@ -10,11 +10,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from mediarel import measures
-from mediarel.functions.semantic import SemanticFn
+from mediarel.functions.semantic import SemanticFn, reading, watching
 from mediarel.operators import intervals, media, reconcile
 from mediarel.plans.frame import MediaFrame
 from mediarel.plans.rules import PushdownWindows, SubstituteModality
 from mediarel.schema import media_ref
+from mediarel.sources.stored import barrier, representation
 from mediarel.workloads.points import _predictions, islands_sql
 
 PAD = 10_000
@@ -38,27 +39,43 @@ def reference(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def span_candidates(spark: SparkSession, sf_dir: str, shared: int = SHARED) -> DataFrame:
-    """Lines that share long words with a task: an inverted join on words, never lines against tasks."""
+    """Lines that share long words with a task: an inverted join on words, never lines against tasks.
+
+    A line that shares ``shared`` words with a task shares one that is not among the task's ``shared - 1`` most usual ones, so
+    those do not join. Of several joining words the first makes the pair, so nothing is grouped afterwards.
+    """
     lines = media.transcribe_lines(sources(spark, sf_dir).select("source_id", "text"))
-    said = lines.select("source_id", "line_no", "start_ms", "end_ms", F.explode(media.long_words(F.col("line"))).alias("word"))
-    asked = tasks(spark, sf_dir).select("task_id", F.explode(media.long_words(F.col("passage"))).alias("word"))
-    hits = said.join(asked, "word").groupBy("source_id", "task_id", "line_no", "start_ms", "end_ms").agg(F.count("*").alias("shared_words"))
+    lines = lines.withColumn("_said", media.long_words(F.col("line"))).where(F.size("_said") >= shared)
+    said = lines.select("source_id", "line_no", "start_ms", "end_ms", "_said", F.explode("_said").alias("word"))
+    words = tasks(spark, sf_dir).select("task_id", F.explode(media.long_words(F.col("passage"))).alias("word"))
+    usual = words.groupBy("word").agg(F.count("*").alias("n"))
+    ranked = F.array_sort(F.collect_list(F.struct((-F.col("n")).alias("n"), F.length("word").alias("size"), F.col("word"))))
+    asked = words.join(usual, "word").groupBy("task_id").agg(F.transform(ranked, lambda x: x["word"]).alias("_asked"))
+    asked = asked.withColumn("_rare", F.slice("_asked", shared, F.greatest(F.size("_asked"), F.lit(1)))).select("task_id", "_asked", "_rare", F.explode("_rare").alias("word"))
+    pairs = said.join(asked, "word").where(F.col("word") == F.array_min(F.array_intersect("_said", "_rare")))
+    hits = pairs.select("source_id", "task_id", "line_no", "start_ms", "end_ms", F.size(F.array_intersect("_said", "_asked")).cast("bigint").alias("shared_words"))
     return hits.where(F.col("shared_words") >= shared)
 
 
+def footage_segments(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The footage as a stored table of segments in order of source, from which clips are cut."""
+    path = f"{sf_dir}/documents.parquet"
+    return representation(spark, "segments", "1", path, lambda: media.segments(sources(spark, sf_dir)).sortWithinPartitions("source_id", "segment_no"))
+
+
 def task(spark: SparkSession, sf_dir: str) -> SemanticFn:
     texts, asked = sources(spark, sf_dir), tasks(spark, sf_dir)
 
     def watch(df: DataFrame, on: str, into: str) -> DataFrame:
         if "task_id" in df.columns:
-            # A clip and its task: exact search in the cut text.
-            cut = df.join(texts.select("source_id", "text"), "source_id").join(asked, "task_id")
-            clip = F.expr(f"substring(text, int({on}.clip_start_ms div {media.CHAR_MS}) + 1, int(({on}.clip_end_ms - {on}.clip_start_ms) div {media.CHAR_MS}))")
-            at = F.expr("locate(passage, _cut)")
-            found = cut.withColumn("_cut", clip).withColumn("_at", at)
-            start = ((F.col("_at") - 1) * media.CHAR_MS).cast("bigint")
+            # A clip and its task: exact search in the text of the window's segments, the only footage that is read.
+            own = ["source_id", "task_id", "start_ms", "end_ms"]
+            clips = df.select("source_id", "task_id", F.col(f"{on}.clip_start_ms").alias("start_ms"), F.col(f"{on}.clip_end_ms").alias("end_ms"))
+            cut = media.view_segments(clips, footage_segments(spark, sf_dir), ["source_id", "task_id"], into="_cut").join(asked, "task_id")
+            start = ((F.expr("locate(passage, _cut)") - 1) * media.CHAR_MS).cast("bigint")
             event = F.struct(start.alias("start_ms"), (start + F.length("passage") * media.CHAR_MS).cast("bigint").alias("end_ms"), F.lit(0.9).alias("conf"), F.col("task_id").cast("string").alias("evidence"))
-            return found.withColumn(into, F.when(F.col("_at") > 0, F.array(event)).otherwise(F.array().cast(SPAN))).drop("_cut", "_at", "text", "passage")
+            found = cut.where("contains(_cut, passage)").select(*own, F.array(event).alias(into))
+            return df.join(found, own, "left").withColumn(into, F.coalesce(F.col(into), F.array().cast(SPAN)))
         # Whole sources: blind to some passages of long texts, as long contexts are.
         found = media.find_passages(texts, asked).join(df.select("source_id", "duration_ms"), "source_id")
         found = found.where(f"NOT ((source_id + task_id) % 3 = 0 AND duration_ms > {2000 * media.CHAR_MS})")
@@ -73,8 +90,8 @@ def task(spark: SparkSession, sf_dir: str) -> SemanticFn:
         lists = runs.groupBy("source_id").agg(F.array_sort(F.collect_list(event)).alias(into))
         return df.join(lists, "source_id", "left").withColumn(into, F.coalesce(F.col(into), F.array().cast(SPAN)))
 
-    told = SemanticFn("passages in transcript", "Return where each passage is discussed.", "t", SPAN, read)
-    return SemanticFn("passages in footage", "Return where each passage stands.", "v", SPAN, watch, siblings={"t": told})
+    told = SemanticFn("passages in transcript", "Return where each passage is discussed.", "t", SPAN, read, meter=reading)
+    return SemanticFn("passages in footage", "Return where each passage stands.", "v", SPAN, watch, siblings={"t": told}, meter=watching)
 
 
 def candidates_fn(spark: SparkSession, sf_dir: str, shared: int = SHARED) -> SemanticFn:
@@ -85,7 +102,7 @@ def candidates_fn(spark: SparkSession, sf_dir: str, shared: int = SHARED) -> Sem
         lists = span_candidates(spark, sf_dir, shared).groupBy("source_id").agg(F.collect_list(each).alias(into))
         return df.join(lists, "source_id", "left").withColumn(into, F.coalesce(F.col(into), F.array().cast(kind)))
 
-    return SemanticFn("passage candidates", "Return every line that may belong to a passage.", "t", kind, run)
+    return SemanticFn("passage candidates", "Return every line that may belong to a passage.", "t", kind, run, meter=reading)
 
 
 def direct(spark: SparkSession, sf_dir: str) -> MediaFrame:
@@ -97,8 +114,20 @@ def narrow(spark: SparkSession, sf_dir: str) -> MediaFrame:
     return direct(spark, sf_dir).rewrite(PushdownWindows(candidates_fn(spark, sf_dir), "t", PAD, PAD, reconcile.spans(), lift=("task_id",)))
 
 
+def narration(spark: SparkSession, sf_dir: str) -> MediaFrame:
+    return direct(spark, sf_dir).rewrite(SubstituteModality("v", "t"))
+
+
+def told(found: DataFrame) -> DataFrame:
+    """Predictions of a plan's result."""
+    return found.select("source_id", F.col("events.evidence").cast("bigint").alias("task_id"), F.col("events.start_ms").alias("start_ms"), F.col("events.end_ms").alias("end_ms"))
+
+
 def _spans(plan: MediaFrame) -> DataFrame:
-    return plan.to_df().select("source_id", F.col("events.evidence").cast("bigint").alias("task_id"), F.col("events.start_ms").alias("start_ms"), F.col("events.end_ms").alias("end_ms"))
+    return told(plan.to_df())
+
+
+PLANS = {"direct": direct, "narration": narration, "narrow": narrow}
 
 
 def span_direct(spark, sf_dir):
@@ -106,13 +135,19 @@ def span_direct(spark, sf_dir):
 
 
 def span_narration(spark, sf_dir):
-    return _spans(direct(spark, sf_dir).rewrite(SubstituteModality("v", "t")))
+    return _spans(narration(spark, sf_dir))
 
 
 def span_narrow(spark, sf_dir):
     return _spans(narrow(spark, sf_dir))
 
 
+def narrow_keeps_all_sources_span(spark, sf_dir):
+    """One result a source, whether it has candidates or not, and in the schema of the direct plan."""
+    folded = MediaFrame(narrow(spark, sf_dir).node.child).to_df()
+    return folded.select("source_id", F.size("events").cast("bigint").alias("n_events"))
+
+
 def span_windows(spark, sf_dir):
     return narrow(spark, sf_dir).stage("windows").select("source_id", "task_id", "start_ms", "end_ms")
 
@@ -143,7 +178,7 @@ def media_view_ref(spark, sf_dir):
 
 
 def media_view_text(spark, sf_dir):
-    cut = media.view_segments(span_windows(spark, sf_dir), media.segments(sources(spark, sf_dir)), ["source_id", "task_id"])
+    cut = media.view_segments(span_windows(spark, sf_dir), footage_segments(spark, sf_dir), ["source_id", "task_id"])
     return cut.select("source_id", "task_id", "start_ms", "end_ms", F.md5("clip").alias("clip_md5"), F.length("clip").cast("bigint").alias("clip_chars"))
 
 
@@ -188,6 +223,58 @@ def span_two_in_one(spark, sf_dir):
     return joined.select("source", "task_id", (F.col("start_ms") + F.col("at") * media.CHAR_MS).alias("start_ms"), (F.col("end_ms") + F.col("at") * media.CHAR_MS).alias("end_ms"))
 
 
+STRETCH = 30_000
+
+
+def two_in_one_plans(spark, sf_dir):
+    """Plans on long sources joined of several planted documents, where one stretch of talk may hold several passages.
+
+    The narration tells stretches only, so one prediction may be over-wide and cover several passages; the narrow plan watches the same
+    stretches and returns every passage in them. ``n_over_wide`` counts predictions that hold two or more references.
+    """
+    refs = span_two_in_one(spark, sf_dir).select("source", "start_ms", "end_ms").distinct()
+    planted = sources(spark, sf_dir).join(reference(spark, sf_dir).select("source_id").distinct(), "source_id", "left_semi")
+    whole = Window.partitionBy("source")
+    before = whole.orderBy("source_id").rowsBetween(Window.unboundedPreceding, -1)
+    placed = planted.select("source_id", "source", "text", F.coalesce(F.sum(F.length("text") + 1).over(before), F.lit(0)).cast("bigint").alias("at"), F.count("*").over(whole).alias("held")).where("held > 1")
+    long = placed.groupBy("source").agg(F.concat_ws("\n", F.transform(F.array_sort(F.collect_list(F.struct("source_id", "text"))), lambda x: x["text"])).alias("text"))
+    lines = span_candidates(spark, sf_dir).join(placed.select("source_id", "source", "at"), "source_id")
+    moved = lambda c: F.col(c) + F.col("at") * media.CHAR_MS
+    spread = lines.select("source", F.greatest(moved("start_ms") - STRETCH, F.lit(0)).alias("start_ms"), (moved("end_ms") + STRETCH).alias("end_ms"))
+    stretches = intervals.coalesce(spread.distinct(), ["source"]).select("source", "start_ms", "end_ms")
+    clip = F.expr(f"substring(text, int(start_ms div {media.CHAR_MS}) + 1, int((end_ms - start_ms) div {media.CHAR_MS}))")
+    clips = stretches.join(long, "source").select("source", F.col("start_ms").alias("clip_ms"), clip.alias("text"))
+    # A clip is a source of its own: its place among all clips is not needed, so a hash of its key names it.
+    named = clips.withColumn("source_id", F.xxhash64("source", "clip_ms"))
+    found = media.find_passages(named.select("source_id", "text"), tasks(spark, sf_dir)).join(named.select("source_id", "source", "clip_ms"), "source_id")
+    start = F.col("clip_ms") + F.col("offset") * media.CHAR_MS
+    watched = found.select("source", start.alias("start_ms"), (start + F.col("size") * media.CHAR_MS).alias("end_ms")).distinct()
+    preds = barrier(stretches.withColumn("plan", F.lit("narration")).unionByName(watched.withColumn("plan", F.lit("narrow"))))
+    curve = measures.span_curve(preds, refs, (0.3,), ("source",))
+    held = intervals.overlap_join(preds, refs.withColumnsRenamed({"start_ms": "r_start_ms", "end_ms": "r_end_ms"}), ["source"], 600_000)
+    wide = held.groupBy("plan", "source", "start_ms").agg(F.count("*").alias("n")).groupBy("plan").agg(F.count_if(F.col("n") >= 2).alias("n_over_wide"))
+    return curve.join(wide, "plan", "left").select("plan", "n_pred", "n_ref", F.coalesce("n_over_wide", F.lit(0).cast("bigint")).alias("n_over_wide"), "tp", "f1")
+
+
+def one_scan_plans(spark, sf_dir):
+    """Both rewrites over one scan of the transcript: the candidate lines are found once, answer the narration plan and name the windows of the narrow one.
+
+    One row a source and instruction: what the narration says, and what the footage of the same lines shows.
+    """
+    lines = barrier(span_candidates(spark, sf_dir).select("source_id", "task_id", "start_ms", "end_ms"))
+    kind = "array<struct<start_ms:bigint,end_ms:bigint,score:double,task_id:bigint>>"
+
+    def named(df: DataFrame, on: str, into: str) -> DataFrame:
+        lists = lines.groupBy("source_id").agg(F.collect_list(F.struct("start_ms", "end_ms", F.lit(1.0).alias("score"), "task_id")).alias(into))
+        return df.join(lists, "source_id", "left").withColumn(into, F.coalesce(F.col(into), F.array().cast(kind)))
+
+    cand = SemanticFn("passage candidates", "Return every line that may belong to a passage.", "t", kind, named, meter=reading)
+    seen = _spans(direct(spark, sf_dir).rewrite(PushdownWindows(cand, "t", PAD, PAD, reconcile.spans(), lift=("task_id",))))
+    said = intervals.coalesce(lines, ["source_id", "task_id"]).groupBy("source_id", "task_id").agg(F.count("*").alias("n_said"), F.min("start_ms").alias("said_ms"))
+    shown = seen.groupBy("source_id", "task_id").agg(F.min("start_ms").alias("seen_ms"))
+    return said.join(shown, ["source_id", "task_id"], "left")
+
+
 LINES_SQL = """
 raw AS (SELECT doc_id AS source_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) - 1 AS line_no FROM documents),
 lines AS (
@@ -218,6 +305,7 @@ QUERIES = {
     for f in (
         span_direct, span_narration, span_narrow, span_windows, span_candidates, span_reference, m_span_curve, m_candidate_recall_span, reconcile_spans,
         media_view_ref, media_view_text, law_view_is_map, media_transcribe_docs, media_transcribe_conv, media_transcribe_events, span_two_in_one,
+        narrow_keeps_all_sources_span, two_in_one_plans, one_scan_plans,
     )
 }
 
@@ -225,6 +313,7 @@ ORACLE_SQL = {
     "span_direct": f"WITH {REF_SQL} SELECT source_id, task_id, start_ms, end_ms FROM ref WHERE NOT ((source_id + task_id) % 3 = 0 AND n_chars > 2000)",
     "span_narration": f"WITH {WINDOWS_SQL} SELECT source_id, task_id, start_ms, end_ms FROM narration",
     "span_narrow": f"WITH {WINDOWS_SQL} SELECT source_id, task_id, start_ms, end_ms FROM narrow",
+    "narrow_keeps_all_sources_span": f"WITH {WINDOWS_SQL} SELECT d.doc_id AS source_id, count(n.task_id) AS n_events FROM documents d LEFT JOIN narrow n ON n.source_id = d.doc_id GROUP BY d.doc_id",
     "span_windows": f"WITH {WINDOWS_SQL} SELECT source_id, task_id, start_ms, end_ms FROM windows",
     "span_candidates": f"WITH {LINES_SQL} SELECT source_id, task_id, line_no, start_ms, end_ms, shared_words FROM cand",
     "span_reference": f"WITH {REF_SQL} SELECT source_id, task_id, start_ms, end_ms FROM ref",
@@ -254,6 +343,24 @@ SELECT source_id, task_id, min(start_ms) AS start_ms, max(end_ms) AS end_ms FROM
     "media_transcribe_conv": "SELECT conv_id AS source_id, turn, s AS start_ms, s + 50 * length(text) AS end_ms, role AS speaker FROM (SELECT *, 50 * CAST(coalesce(sum(length(text)) OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS s FROM conversations)",
     "media_transcribe_events": """SELECT source_id, event_id, start_ms, text FROM (WITH f AS (SELECT user_id AS source_id, event_id, date_diff('microsecond', TIMESTAMP '2024-01-01', ts) // 600000 AS ts_ms, event_type AS kind, value FROM events)
 SELECT source_id, event_id, greatest(ts_ms + CASE WHEN event_id % 29 = 0 THEN 45000 ELSE ((event_id * 37) % 13 - 2) * 1000 END, 0) AS start_ms, CASE WHEN kind = 'purchase' OR event_id % 8 = 5 THEN 'goal' ELSE 'close call' END AS text FROM f WHERE kind IN ('purchase', 'error') AND value >= 120)""",
+    "one_scan_plans": f"""WITH {WINDOWS_SQL},
+s AS (SELECT source_id, task_id, count(*) AS n_said, min(start_ms) AS said_ms FROM narration GROUP BY ALL), w AS (SELECT source_id, task_id, min(start_ms) AS seen_ms FROM narrow GROUP BY ALL)
+SELECT s.source_id, s.task_id, n_said, said_ms, seen_ms FROM s LEFT JOIN w ON s.source_id = w.source_id AND s.task_id = w.task_id""",
+    "two_in_one_plans": f"""WITH {LINES_SQL},
+{REF_SQL},
+p AS (SELECT doc_id, source, text, CAST(coalesce(sum(length(text) + 1) OVER (PARTITION BY source ORDER BY doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS moved, count(*) OVER (PARTITION BY source) AS held FROM documents WHERE doc_id IN (SELECT source_id FROM ref)),
+r AS (SELECT DISTINCT source, start_ms + 50 * moved AS start_ms, end_ms + 50 * moved AS end_ms FROM ref JOIN p ON doc_id = source_id WHERE held > 1),
+spread AS (SELECT DISTINCT source, greatest(start_ms + 50 * moved - 30000, 0) AS start_ms, end_ms + 50 * moved + 30000 AS end_ms FROM cand JOIN p ON doc_id = source_id WHERE held > 1),
+{islands_sql('spread', 'source', 'st')},
+seen AS (SELECT DISTINCT r.* FROM r JOIN st ON r.source = st.source AND r.start_ms >= st.start_ms AND r.end_ms <= st.end_ms),
+pred AS (SELECT 'narration' AS plan, source, start_ms, end_ms FROM st UNION ALL SELECT 'narrow', * FROM seen),
+pair AS (
+  SELECT plan, p.source, p.start_ms AS a, r.start_ms AS b, (least(p.end_ms, r.end_ms) - greatest(p.start_ms, r.start_ms)) AS o, p.end_ms - p.start_ms + r.end_ms - r.start_ms AS both_ms
+  FROM pred p JOIN r ON p.source = r.source AND p.start_ms < r.end_ms AND r.start_ms < p.end_ms),
+best AS (SELECT plan, source, a, max(o / (both_ms - o)) AS score, count(*) AS n FROM pair GROUP BY ALL)
+SELECT q.plan, n_pred, n_ref, coalesce(CAST(n_over_wide AS BIGINT), 0) AS n_over_wide, coalesce(CAST(tp AS BIGINT), 0) AS tp, round(2 * coalesce(tp, 0) / (n_pred + n_ref), 6) AS f1
+FROM (SELECT plan, count(*) AS n_pred FROM pred GROUP BY plan) q CROSS JOIN (SELECT count(*) AS n_ref FROM r)
+LEFT JOIN (SELECT plan, count(*) FILTER (n >= 2) AS n_over_wide, count(*) FILTER (score >= 0.3) AS tp FROM best GROUP BY plan) x ON x.plan = q.plan""",
     "span_two_in_one": f"""WITH {REF_SQL},
 p AS (SELECT doc_id, source, CAST(coalesce(sum(length(text) + 1) OVER (PARTITION BY source ORDER BY doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS moved, count(*) OVER (PARTITION BY source) AS held FROM documents WHERE doc_id IN (SELECT source_id FROM ref))
 SELECT source, task_id, start_ms + 50 * moved AS start_ms, end_ms + 50 * moved AS end_ms FROM ref JOIN p ON doc_id = source_id WHERE held > 1""",

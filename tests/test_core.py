@@ -138,6 +138,29 @@ def test_rewrites_keep_the_schema(spark, sf_dir):
     assert set(kinds[0]) == set(kinds[1]) == set(kinds[2])
 
 
+def test_span_rewrites_keep_the_schema(spark, sf_dir):
+    folded = [MediaFrame(p(spark, sf_dir).node.child).to_df() for p in spans.PLANS.values()]
+    kinds = [{f.name: f.dataType.simpleString() for f in df.schema} for df in folded]
+    assert kinds[0] == kinds[1] == kinds[2]
+    n = spans.sources(spark, sf_dir).count()
+    assert all(df.count() == n for df in folded)
+
+
+def test_narrow_spans_read_segments_of_windows_only(spark, sf_dir):
+    """The footage is cut from the segment table; no plan of the clips scans whole texts beside it but the transcript's."""
+    watched = spans.narrow(spark, sf_dir).stage("watched")
+    told = watched._jdf.queryExecution().optimizedPlan().toString()
+    assert "payload" in told and "contains" in told.lower()
+    assert "substring(text" not in told
+
+
+def test_both_rewrites_share_one_scan(spark, sf_dir):
+    rows = spans.one_scan_plans(spark, sf_dir).collect()
+    found = {(r.source_id, r.task_id): r for r in rows}
+    narration = spans.span_narration(spark, sf_dir).groupBy("source_id", "task_id").count().collect()
+    assert {(r.source_id, r.task_id): r["count"] for r in narration} == {k: r.n_said for k, r in found.items()}
+
+
 def test_narration_never_reads_footage(spark, sf_dir):
     plan = spans.direct(spark, sf_dir).rewrite(SubstituteModality("v", "t")).to_df()
     assert "MapInPandas" not in plan._jdf.queryExecution().executedPlan().toString()
@@ -163,16 +186,67 @@ def test_cheap_filters_move_below_semantic_maps(spark):
     assert plan.to_df().count() == 1
 
 
-def test_metered_calls_do_not_depend_on_partitions(spark):
+def test_metered_calls_do_not_depend_on_partitions(spark, tmp_path):
     fn = SemanticFn("len", "length", "x", "bigint", lambda df, on, into: df)
     df = spark.range(50).select(F.concat(F.lit("text "), "id").alias("x"))
     totals = set()
     for parts in (1, 5):
-        out = call_model(df.repartition(parts), fn, "x", "answer", lambda: lambda texts: [len(t) for t in texts])
+        out = call_model(df.repartition(parts), fn, "x", "answer", lambda: lambda texts: [len(t) for t in texts], folder=str(tmp_path / str(parts)))
         totals.add(out.agg(F.sum("tokens"), F.sum("calls"), F.sum("answer")).first())
     assert len(totals) == 1
 
 
+def test_an_answer_is_paid_once(spark, tmp_path):
+    fn = SemanticFn("twice", "double it", "x", "string", lambda df, on, into: df)
+    df = spark.createDataFrame([("a",), ("b",), ("a",)], "x string")
+    first = call_model(df, fn, "x", "y", lambda: lambda texts: [t * 2 for t in texts], folder=str(tmp_path)).collect()
+    assert sorted(r.y for r in first) == ["aa", "aa", "bb"]
+
+    def refuses():
+        def answer(texts):
+            raise AssertionError(f"paid again for {texts}")
+
+        return answer
+
+    # A retry and a new plan over the same inputs find the stored answers; only a new input is asked.
+    assert sorted(r.y for r in call_model(df, fn, "x", "y", refuses, folder=str(tmp_path)).collect()) == ["aa", "aa", "bb"]
+    more = df.union(spark.createDataFrame([("c",)], "x string"))
+    asked = call_model(more, fn, "x", "y", lambda: lambda texts: ["new"] * len(texts), folder=str(tmp_path)).collect()
+    assert sorted(r.y for r in asked) == ["aa", "aa", "bb", "new"]
+
+
+def test_ledger_and_stage_times(spark, sf_dir):
+    plan = points.narrow(spark, sf_dir)
+    done, ledger = plan.metered()
+    paid = {r.fn: r for r in ledger.collect()}
+    n = points.sources(spark, sf_dir).count()
+    windows = points.point_windows(spark, sf_dir).agg(F.count("*"), F.sum(F.col("end_ms") - F.col("start_ms"))).first()
+    assert paid["goal candidates"].calls == n and paid["goal candidates"].watched_ms == 0
+    assert (paid["goals in footage"].calls, paid["goals in footage"].watched_ms) == tuple(windows)
+    assert done.columns == plan.to_df().columns and sorted(map(str, done.collect())) == sorted(map(str, plan.to_df().collect()))
+    timed, seconds = plan.timed()
+    assert [s[0] for s in seconds] == [*reversed(plan.stages()), "result"] and all(s[1] >= 0 for s in seconds) and timed.count() == seconds[-1][2]
+
+
+def test_stored_representations_are_made_once(spark, tmp_path):
+    from mediarel.sources import stored
+
+    spark.range(5).write.parquet(str(tmp_path / "in"))
+    made = []
+
+    def build():
+        made.append(1)
+        return spark.read.parquet(str(tmp_path / "in")).withColumn("twice", F.col("id") * 2)
+
+    for _ in range(2):
+        assert stored.representation(spark, "twice", "1", str(tmp_path / "in"), build, str(tmp_path)).count() == 5
+    assert len(made) == 1
+    stored.representation(spark, "twice", "2", str(tmp_path / "in"), build, str(tmp_path))
+    spark.range(3).write.mode("append").parquet(str(tmp_path / "in"))
+    assert stored.representation(spark, "twice", "2", str(tmp_path / "in"), build, str(tmp_path)).count() == 8
+    assert len(made) == 3
+
+
 def test_compose_runs_right_to_left():
     assert compose(lambda x: x + "b", lambda x: x + "a")("") == "ab"
 
@@ -210,6 +284,138 @@ def test_streams_equal_batches(spark, sf_dir, tmp_path):
     assert once.count() == events.count()
 
 
+def _events(spark, rows):
+    return spark.createDataFrame(rows, "event_id bigint, ts string, user_id bigint, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def _file(spark, folder, name, rows):
+    """One file that the stream reads in its own batch, after those written before it."""
+    import os
+    import time
+
+    part = folder / f"draft-{name}"
+    _events(spark, rows).coalesce(1).write.parquet(str(part))
+    (folder / "in").mkdir(exist_ok=True)
+    made = next(part.glob("*.parquet"))
+    os.rename(made, folder / "in" / f"{name}.parquet")
+    when = time.time() - 1000 + 10 * len(list((folder / "in").iterdir()))
+    os.utime(folder / "in" / f"{name}.parquet", (when, when))
+
+
+def _row(i, clock, user=1, kind="purchase", value=200.0):
+    return (i, f"2024-01-01 {clock}", user, kind, value, "{}")
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    from mediarel.streaming import live
+
+    _file(spark, tmp_path, "a", [_row(1, "10:05:00"), _row(2, "10:10:00")])
+    _file(spark, tmp_path, "b", [_row(3, "15:00:00")])
+    _file(spark, tmp_path, "c", [_row(4, "10:20:00"), _row(5, "15:10:00")])
+    _file(spark, tmp_path, "d", [_row(6, "23:00:00")])
+    counts, dropped = live.late_rows(live.mention_counts(live.event_stream(spark, str(tmp_path / "in"))), "live_late")
+    assert dropped == 1
+    assert sorted((str(r.start), r.n) for r in counts.collect()) == [("2024-01-01 10:00:00", 2), ("2024-01-01 15:00:00", 2)]
+    sliding = live.run_available(live.mention_counts(live.event_stream(spark, str(tmp_path / "in")), "2 hours", "1 hour"), "live_sliding")
+    assert {str(r.start)[11:13]: r.n for r in sliding.collect()}["09"] == 2
+
+
+def test_stream_stream_join_equals_batch(spark, tmp_path):
+    from mediarel.streaming import live
+
+    rng = random.Random(5)
+    rows = [_row(i, f"{10 + i // 40}:{rng.randrange(60):02d}:{rng.randrange(60):02d}", rng.randrange(3), rng.choice(["purchase", "error", "click"]), rng.choice([50.0, 200.0])) for i in range(160)]
+    for k in range(0, 160, 40):
+        _file(spark, tmp_path, f"{k:03d}", rows[k : k + 40])
+    path = str(tmp_path / "in")
+    streams = lambda: live.event_stream(spark, path)
+    got = live.run_available(live.narrated_footage(live.mentions(streams()), streams().where("event_type = 'click'"), lateness="2 hours"), "live_joined")
+    batch = spark.read.schema(live.EVENTS).parquet(path)
+    want = live.narrated_footage(live.mentions(batch), batch.where("event_type = 'click'"))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect())) and want.count() > 10
+
+
+def test_incremental_tracker_equals_batch(spark, tmp_path):
+    import os
+    import time
+
+    from mediarel.streaming import live
+
+    kind = "source_id bigint, ts timestamp, frame_no int, det_id bigint, cls string, colour string, subtype string, x double, y double, w double, h double, conf double, emb array<double>"
+    dets = []
+    for source in (1, 2):
+        for k in range(3):
+            for f in range(5 * k, 5 * k + 40):
+                if (f * 3 + k) % 10:
+                    dets.append((source, f * 1000, f, 1000 * k + f, "car", "red", "s", 8.0 * f * (k + 1), 100.0 * k, 50.0, 40.0, 0.9, [1.0]))
+    far = [(source, 10_000_000 + 1000 * i, 10_000 + i, 1 + i, "car", "red", "s", 0.0, 0.0, 50.0, 40.0, 0.9, [1.0]) for i in range(2) for source in (1, 2)]
+    # Rows arrive out of order within the allowed lateness; far frames move the watermark past all others.
+    shuffled = sorted(dets, key=lambda d: (d[1] // 4000, random.Random(d[3]).random()))
+    files = [shuffled[i : i + 60] for i in range(0, len(shuffled), 60)] + [far[:2], far[2:], [(9, 90_000_000, 90_000, 1, "car", "red", "s", 0.0, 0.0, 50.0, 40.0, 0.9, [1.0])], [(9, 99_000_000, 99_000, 1, "car", "red", "s", 0.0, 0.0, 50.0, 40.0, 0.9, [1.0])]]
+    (tmp_path / "in").mkdir()
+    for n, rows in enumerate(files):
+        df = spark.createDataFrame([(r[0], r[1] / 1000, *r[2:]) for r in rows], kind.replace("ts timestamp", "ts double")).withColumn("ts", F.timestamp_seconds("ts"))
+        df.coalesce(1).write.parquet(str(tmp_path / f"d{n}"))
+        target = tmp_path / "in" / f"{n:03d}.parquet"
+        os.rename(next((tmp_path / f"d{n}").glob("*.parquet")), target)
+        os.utime(target, (time.time() - 1000 + n, time.time() - 1000 + n))
+    stream = spark.readStream.schema(kind).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    got = {tuple(r) for r in live.run_available(live.track_detections(stream, lateness="10 seconds"), "live_tracks").collect()}
+    want = set()
+    for source in (1, 2):
+        rows = [{"frame_no": d[2], "det_id": d[3], "cls": d[4], "colour": d[5], "subtype": d[6], "x": d[7], "y": d[8], "w": d[9], "h": d[10], "emb": d[12]} for d in dets if d[0] == source]
+        want |= {(source, t["start_ms"], t["end_ms"], t["first_x"], t["first_y"], t["n_det"]) for t in vision.MotionTracker().tracks(rows)}
+    assert want <= got and len(got - want) == 0 and want
+
+
+def test_update_mode_and_restart_from_a_checkpoint(spark, tmp_path):
+    from mediarel.streaming import live
+
+    _file(spark, tmp_path, "a", [_row(1, "10:05:00"), _row(2, "11:10:00")])
+    path, at, out = str(tmp_path / "in"), str(tmp_path / "state"), str(tmp_path / "out")
+    live.write_each_batch(live.mentions(live.event_stream(spark, path)), out, at).awaitTermination()
+    assert spark.read.parquet(out).count() == 2
+    _file(spark, tmp_path, "b", [_row(3, "12:05:00"), _row(4, "12:15:00")])
+    live.write_each_batch(live.mentions(live.event_stream(spark, path)), out, at).awaitTermination()
+    assert sorted(r.event_id for r in spark.read.parquet(out).collect()) == [1, 2, 3, 4]
+    assert {r.batch for r in spark.read.parquet(out).select("batch").distinct().collect()} == {0, 1}
+    updated = live.run_available(live.mention_counts(live.event_stream(spark, path)), "live_updates", "update")
+    latest = updated.groupBy("start").agg(F.max("n").alias("n"))
+    assert sorted(r.n for r in latest.collect()) == [1, 1, 2]
+
+
+def test_sketches_keep_their_bounds(spark):
+    rng = random.Random(2)
+    rows = [(g, rng.randrange(4000), rng.random() * 1000) for g in range(3) for _ in range(20_000)]
+    df = spark.createDataFrame(rows, "g int, v int, x double")
+    error = F.approx_count_distinct("v", 0.02).alias("near"), F.countDistinct("v").alias("exact")
+    for r in df.groupBy("g").agg(*error).collect():
+        # Three standard errors of the sketch.
+        assert abs(r.near - r.exact) <= 3 * 0.02 * r.exact
+    for r in df.groupBy("g").agg(F.percentile_approx("x", 0.5, 10_000).alias("m"), F.collect_list("x").alias("all")).collect():
+        # The rank is off by n / accuracy at most.
+        at = sum(x <= r.m for x in r.all) / len(r.all)
+        assert abs(at - 0.5) <= 1 / 10_000 + 1 / len(r.all)
+
+
+def test_text_binary_and_bucketed_sources(spark, tmp_path):
+    from mediarel.sources import scan
+
+    (tmp_path / "files").mkdir()
+    for i in range(3):
+        (tmp_path / "files" / f"{i}.txt").write_text(f"line {i}\nmore")
+    assert scan.scan(spark, str(tmp_path / "files"), "text").count() == 6
+    seen = scan.scan(spark, str(tmp_path / "files"), "binaryFile").select(F.length("content").alias("n")).collect()
+    assert [r.n for r in seen] == [11, 11, 11]
+    spark.sql(f"CREATE DATABASE IF NOT EXISTS bucketed LOCATION '{tmp_path}/db'")
+    df = spark.range(100).select(F.col("id").alias("source_id"), (F.col("id") % 7).alias("x"))
+    for name in ("bucketed.a", "bucketed.b"):
+        scan.write_bucketed(df, name, 4)
+    joined = scan.scan(spark, "bucketed.a", "table").hint("merge").join(scan.scan(spark, "bucketed.b", "table").withColumnRenamed("x", "y"), "source_id")
+    assert joined.count() == 100 and "Exchange" not in joined._jdf.queryExecution().sparkPlan().toString()
+    spark.sql("DROP DATABASE bucketed CASCADE")
+
+
 def test_manifests_and_sinks(spark, tmp_path):
     from mediarel.sources import scan
 
