@@ -92,7 +92,10 @@ def join_theta(t):
 
 @query("""SELECT c_custkey, o_orderkey FROM (SELECT c_custkey, o_orderkey, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS k FROM customer JOIN orders ON o_custkey = c_custkey) WHERE k <= 2""")
 def join_lateral(t):
-    """Top two orders of each customer. A window with a rank limit drops rows before the shuffle; a lateral join would not."""
+    """Top two orders of each customer: a lateral subquery, which Spark decorrelates into a join and a ranked window.
+
+    The rank stands in the subquery because the rewrite of a correlated LIMIT loses its order at the shuffle.
+    """
     spark = t("customer").sparkSession
     return spark.sql(
         """SELECT c_custkey, o_orderkey FROM {customer} JOIN LATERAL
@@ -101,6 +104,14 @@ def join_lateral(t):
     )
 
 
+@query("SELECT doc_id, count(*) AS n_lines, CAST(max(length(line)) AS BIGINT) AS longest FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) GROUP BY doc_id")
+def join_lateral_function(t):
+    """A lateral join with a table function of the outer row: the lines of every text."""
+    docs = t("documents").select("doc_id", "text")
+    lines = docs.sparkSession.tvf.explode(F.split(F.col("text").outer(), "\n")).toDF("line")
+    return docs.lateralJoin(lines).groupBy("doc_id").agg(F.count("*").alias("n_lines"), F.max(F.length("line")).cast("bigint").alias("longest"))
+
+
 # Aggregations --------------------------------------------------------------------------------------------------------
 
 
@@ -123,7 +134,7 @@ def agg_distinct(t):
 
 @query(None)
 def agg_approx(t):
-    """Sketches: approximate distinct counts and medians; error bounds are tested."""
+    """Sketches: approximate distinct counts and medians; a test holds them within their bounds on random rows."""
     return t("lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts"), F.percentile_approx("l_extendedprice", 0.5, 10_000).alias("median_price"))
 
 
