@@ -21,12 +21,8 @@ _ORACLE_SQL = {"op2_near_duplicates": near_dup.OP2_SQL, "op7_nearest_neighbours"
 
 
 def queries() -> dict:
-    import corpus_pipeline
-
-    return {**_QUERIES, "pipeline": corpus_pipeline.run}
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict:
-    import corpus_pipeline
-
-    return _ORACLE_SQL if corpus_pipeline.ORACLE_SQL is None else {**_ORACLE_SQL, "pipeline": corpus_pipeline.ORACLE_SQL}
+    return dict(_ORACLE_SQL)
