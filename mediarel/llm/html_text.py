@@ -1,8 +1,8 @@
 """Main text of a web page by line-block distribution.
 
 Markup is stripped into lines, one for each block element. A line's weight is its text outside links; lines of what surrounds an
-article by its nature (menus, headers, footers, sidebars, notices, adverts, forms, comments) stay as lines without
-text and weight. A block is a sliding window of lines. Text surges where a window's sum reaches a threshold, from the line
+article by its nature (menus, headers, footers, sidebars, notices, adverts, forms, comments) stay as one line
+without text and weight for each element. A block is a sliding window of lines. Text surges where a window's sum reaches a threshold, from the line
 on after which no window was empty, and dives where a whole window is empty again. The main text lies between the first surge and
 the last dive of any weight beside the heaviest; everything between is kept, so short paragraphs and headings stay.
 
@@ -150,6 +150,7 @@ class _Reader:
         self.count = dict.fromkeys(ARTICLE, 0)
         self.in_link = False
         self.taken = 0
+        self.n_taken = 0
         self.opened: list[_Open] = []
         self.held: Counter[str] = Counter()
         self.regions: list[_Region] = [_Region(0, False)]
@@ -169,9 +170,9 @@ class _Reader:
         if not last.dropped:
             self.pieces.append((text, self.in_link, last.region))
         elif not text.isspace():
-            # What is taken out leaves an empty line.
+            # What is taken out leaves an empty line, one for each element.
             self.taken += 0 if self.in_link else len(text)
-            self.pieces.append(("", True, last.region))
+            self.pieces.append(("", self.n_taken, last.region))
 
     def close(self, name: str) -> None:
         """End the innermost open element of this name and what is open inside it."""
@@ -201,6 +202,8 @@ class _Reader:
         last = self.last
         article, main, region = last.article, last.main, last.region
         gone, small, words = (True, False, set()) if last.dropped else self.surrounds(name, attributes, bool(article or main))
+        if gone and not last.dropped:
+            self.n_taken += 1
         if not gone and small:
             self.regions.append(_Region(region, bool(words & COMMENTS)))
             region = len(self.regions) - 1
@@ -241,12 +244,22 @@ class _Reader:
         return out
 
     def lines(self) -> list[Line]:
-        gone, made = self.gone(), []
+        gone, made, before = self.gone(), [], None
         for pieces, article, main in self.found:
-            left = [x for x in pieces if x[2] not in gone]
+            left = [x for x in pieces if x[2] not in gone and x[0]]
             text = " ".join(html.unescape("".join(x[0] for x in left)).split())
-            if text or any(x[0] == "" or not x[0].isspace() for x in pieces):
+            if text:
                 made.append(Line(text, min(sum(len(x[0]) for x in left if x[1]), len(text)), article, main))
+                before = None
+            elif out := [x for x in pieces if not x[0] or x[2] in gone and not x[0].isspace()]:
+                _, number, region = out[-1]
+                while self.regions[region].parent in gone:
+                    region = self.regions[region].parent
+                # All lines of one element that is taken out are one empty line.
+                element = (region, 0) if region in gone else (0, number)
+                if element != before:
+                    made.append(Line("", 0, article, main))
+                before = element
         return made
 
 

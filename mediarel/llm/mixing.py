@@ -124,10 +124,10 @@ def _settled(cells: DataFrame, most: int) -> DataFrame:
     return cells.groupBy("missing", "name").applyInPandas(one, "missing boolean, name string, size long, parts long, held long")
 
 
-def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.5, most: int = 2, size: Column | None = None) -> DataFrame:
+def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.5, most: int = 2, size: Column | None = None, tie: Column | None = None) -> DataFrame:
     """Adds ``size, source_size, target, rate, copies, taken`` to documents (doc_id, source, and text or ``size``).
 
-    ``size`` defaults to the words of ``text``. No document is taken more than ``most`` times, a whole number.
+    ``size`` defaults to the words of ``text``, and ``tie``, which orders rows that share a doc_id, to its hash. No document is taken more than ``most`` times, a whole number.
     """
     kept = [c for c in docs.columns if c not in ADDED]
     own = "_mix"
@@ -161,7 +161,9 @@ def mix(docs: DataFrame, weights: Sequence[float] = (3, 1, 2), share: float = 1.
         )
     )
     # Rows that share a doc_id are ordered by their text, so that reruns agree.
-    order = ["doc_id", *([F.xxhash64("text")] if "text" in docs.columns else [])]
+    if tie is None and "text" in docs.columns:
+        tie = F.xxhash64("text")
+    order = ["doc_id"] if tie is None else ["doc_id", tie]
     place = F.row_number().over(Window.partitionBy(own).orderBy(*order))
     met = sized.withColumn(f"{own}_place", place).join(dealt, own)
     n_copies = (F.col(f"{own}_dealt.each") + F.when(F.col(f"{own}_place") <= F.col(f"{own}_dealt.more"), 1).otherwise(0)).cast("long")

@@ -255,7 +255,7 @@ def enumerated(word, scores, unknown):
                 parts.append(word[at:i])
                 at = i
         parts.append(word[at:])
-        for ways in itertools.product(*[[(scores[p], 1)] * (p in scores) + [(len(p.encode()) * unknown, len(p.encode()))] * (len(p) == 1) for p in parts]):
+        for ways in itertools.product(*[([(scores[p], 1)] if p in scores else []) + [(len(p.encode()) * unknown, len(p.encode()))] * (len(p) == 1) for p in parts]):
             total = (sum(w[0] for w in ways), sum(w[1] for w in ways))
             if total[0] > best[0] + 1e-12 or abs(total[0] - best[0]) <= 1e-12 and total[1] < best[1]:
                 best = total
