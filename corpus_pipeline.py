@@ -11,7 +11,8 @@ its predecessor kept:
 * ``mixing``: documents leave as often as the mix takes them (0, 1 or 2 times; those without words stay once);
 * ``tokens``: ids of every text by forced-boundary BPE and the text decoded from them, in the place of ``text``.
 
-Null texts go in the first stage; an empty table passes through all stages; extra columns are carried through the last stage.
+Null texts go in the first stage; an empty table passes through all stages; extra columns are carried through the last stage, whatever
+their names, but those named as the last stage's results, which take their place.
 """
 
 from __future__ import annotations
@@ -25,15 +26,20 @@ from mediarel.llm import bpe, common, language, mixing, near_dup, quality
 LEAST_SCORE = 0.25
 
 
+def _packed(docs: DataFrame) -> DataFrame:
+    """Rows as one column, so that no column of theirs meets one of an operator's result."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"))
+
+
 def by_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = language.fit(docs.where(~language.held_out(F.col("doc_id"))).select("doc_id", "text", "lang"))
-    told = language.predict(docs, model)
-    return told.where((F.col("lang_pred") != language.UNDETERMINED) & (F.col("score") >= LEAST_SCORE)).select(*docs.columns)
+    told = language.predict(_packed(docs), model, text="_row.text")
+    return told.where((F.col("lang_pred") != language.UNDETERMINED) & (F.col("score") >= LEAST_SCORE)).select("_row.*")
 
 
 def by_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     rules = quality.fit(docs, common.table(spark, sf_dir, "labels"))
-    return quality.judge(docs, rules).where("kept").select(*docs.columns)
+    return quality.judge(_packed(docs).select("_row", "_row.text"), rules).where("kept").select("_row.*")
 
 
 def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -43,16 +49,18 @@ def without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -
         texts = known.select("doc_id", "text").distinct().orderBy("doc_id", "text").withColumn("_row", F.monotonically_increasing_id())
         texts = common.materialise(texts, "pipeline-texts")
         linked = near_dup.link(texts.select(F.col("_row").alias("doc_id"), "text"))
-        alone = texts.join(linked.where("kept").select(F.col("doc_id").alias("_row")), "_row", "left_semi").select(F.col("doc_id").alias("_id"), F.col("text").alias("_text"))
-        one = known.dropDuplicates(["doc_id", "text"])
-        one = one.join(alone, (F.col("doc_id") == F.col("_id")) & F.col("text").eqNullSafe(F.col("_text")), "left_semi")
-        return one.unionByName(docs.where("doc_id IS NULL")).select(*docs.columns)
+        alone = texts.join(linked.where("kept").select(F.col("doc_id").alias("_row")), "_row", "left_semi").alias("alone")
+        one = known.dropDuplicates(["doc_id", "text"]).alias("one")
+        one = one.join(alone, (F.col("one.doc_id") == F.col("alone.doc_id")) & F.col("one.text").eqNullSafe(F.col("alone.text")), "left_semi")
+        return one.unionByName(docs.where("doc_id IS NULL")).select(*[F.col(f"`{c}`") for c in docs.columns])
     linked = near_dup.link(docs)
-    return docs.join(linked.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(linked.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.repeat_copies(mixing.mix(docs), docs.columns)
+    rows = _packed(docs).select("_row", "_row.doc_id", "_row.source")
+    taken = mixing.mix(rows, size=common.n_words(F.col("_row.text")), tie=F.xxhash64("_row.text"))
+    return mixing.repeat_copies(taken, ["_row"]).select("_row.*")
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
