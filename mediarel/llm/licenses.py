@@ -1,14 +1,24 @@
-"""License scan: exact shingle containment of full license texts, notices and tags in overlapping text windows.
+"""License scan: MinHash bands over overlapping text windows retrieve templates, exact shingle containment verifies them.
 
-Every template has a shingle width of five words (all its words, if fewer). A text's shingles are looked up among those of all templates,
-so no window of enough containment is missed; hits of one template within its own length widened by half
-are a match if they hold 0.8 or more of its shingles (all, under twelve words). The words that tell a license from its relatives, such as the version,
+Every template has a shingle width of five words (all its words, if fewer). Its MinHash signature has one value for each band of the hash
+space, the smallest shingle hash there (one hash function, one permutation). A text is cut into overlapping windows of twice a template's
+reach, so that every match lies whole in one of them; a window that holds enough of the band values retrieves the template. Retrieved windows
+are verified exactly: hits of the template's shingles within its own length widened by half
+are a match if they hold 0.8 or more of its shingles (all, under twelve words).
+
+The band settings guarantee retrieval. Of a template's n shingles a match lacks at most n - need, so it holds at least bands - (n - need) of its
+band values, wherever the window lies; where that is one or more, retrieval is certain (templates of up to about 120 words), and that many are
+asked for. A longer template is missed only if all its band values are among the lacking fifth, a chance of at most
+0.2 ** bands, below 1e-12 for 18 bands or more; ``miss_chance`` states it for each template, and a test holds it.
+
+The words that tell a license from its relatives, such as the version,
 must stand inside the match, and it must not hold the name of a relative. A license has several wordings: notices made
 of ``LEADS`` and ``NAMES``, tags, longer notices and full texts (``license_texts``).
 
 Defined cases: null and blank texts match nothing; words are compared without case (A to Z) and punctuation;
-overlapping matches of one license are one span; a license may match several times; without templates the result
-is empty; a license named without its version is not reported where versions differ; repeated rows match alike; other columns are left out.
+overlapping matches of one license are one span; a license may match several times; templates of equal wording (ties) are all found; without templates the result
+is empty; a license named without its version is not reported where versions differ; repeated rows match alike; a very long text is scanned in
+blocks; an empty table gives an empty result; other columns are left out, whatever their names.
 """
 
 from __future__ import annotations
@@ -31,8 +41,10 @@ WIDTH = 5
 CONTAINMENT = 0.8
 #: Words of a text that one numpy block holds; blocks overlap by a shingle.
 BLOCK_WORDS = 1 << 18
-#: Slots of the filter before the exact lookup.
+#: Slots of the filter before the lookup of band values.
 SLOTS = 1 << 20
+#: Bits of a hash that name its band: 32 bands.
+BAND_BITS = 5
 #: Templates of up to so many words are notices, whose names and versions must all be in the match.
 NOTICE_WORDS = 120
 #: Shorter templates must be whole: without its lead the name of a license is a mere mention.
@@ -236,6 +248,18 @@ class Template:
     notice: bool
     wanted: bytes
     barred: bytes
+    bands: np.ndarray
+
+    @property
+    def least_bands(self) -> int:
+        """Band values that a window with a match is asked for; it holds at least so many unless all of a long template's are missing."""
+        return max(1, len(self.bands) - (len(self.shingles) - self.need))
+
+    @property
+    def miss_chance(self) -> float:
+        """Bound on the chance that a match is not retrieved: that all band values are among the shingles it lacks."""
+        lacking = len(self.shingles) - self.need
+        return 0.0 if len(self.bands) > lacking else (lacking / len(self.shingles)) ** len(self.bands)
 
     def fits(self, words: list[bytes]) -> bool:
         """Whether the words of a match tell this license and no relative."""
@@ -251,6 +275,12 @@ def _phrase(text: str | None) -> bytes:
     return b" " + text.encode() + b" " if text else b""
 
 
+def band_minima(shingles: np.ndarray) -> np.ndarray:
+    """The smallest hash of each band of the hash space that holds one."""
+    ordered = np.sort(shingles.view(np.uint64))
+    return ordered[np.unique(ordered >> np.uint64(64 - BAND_BITS), return_index=True)[1]].view(np.int64)
+
+
 def prepare(templates: Mapping[str, str | Sequence[str]]) -> list[Template]:
     made: dict[tuple[str, tuple[bytes, ...]], Template] = {}
     for name, texts in sorted(templates.items()):
@@ -269,30 +299,30 @@ def prepare(templates: Mapping[str, str | Sequence[str]]) -> list[Template]:
             if wanted.strip() not in full:
                 wanted = b""
             need = len(shingles) if len(words) < WHOLE_WORDS else ceil(CONTAINMENT * len(shingles) - 1e-9)
-            made[name, tuple(words)] = Template(name, shingles, width, reach, need, telling, notice, wanted, barred)
+            made[name, tuple(words)] = Template(name, shingles, width, reach, need, telling, notice, wanted, barred, band_minima(shingles))
     return list(made.values())
 
 
 class Scanner:
-    """Shingles of all templates by width, with the templates that hold them."""
+    """Band values of all templates by shingle width, with the templates that have them."""
 
     def __init__(self, templates: Mapping[str, str | Sequence[str]]):
         self.templates = prepare(templates)
         self.index: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
         for width in sorted({t.width for t in self.templates}):
             own = [k for k, t in enumerate(self.templates) if t.width == width]
-            values = np.concatenate([self.templates[k].shingles for k in own])
-            holders = np.repeat(np.array(own), [len(self.templates[k].shingles) for k in own])
+            values = np.concatenate([self.templates[k].bands for k in own])
+            holders = np.repeat(np.array(own), [len(self.templates[k].bands) for k in own])
             order = np.argsort(values, kind="stable")
             distinct, firsts = np.unique(values[order], return_index=True)
             slots = np.zeros(SLOTS, dtype=bool)
             slots[distinct & (SLOTS - 1)] = True
             self.index[width] = distinct, np.append(firsts, len(values)), holders[order], slots
-        self.needs = np.array([t.need for t in self.templates])
+        self.least = np.array([t.least_bands for t in self.templates])
         self.filler = np.full(WIDTH, 0x5BD1E9955BD1E995, dtype=np.uint64)
 
-    def hits(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(template, place, shingle) of every shingle of a template, in no order."""
+    def hits(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(template, place) of every band value of a template, in no order."""
         found = []
         for width, (distinct, firsts, holders, slots) in self.index.items():
             for block in range(0, len(hashes), BLOCK_WORDS):
@@ -303,9 +333,24 @@ class Scanner:
                 at, near = at[same], near[same]
                 counts = firsts[near + 1] - firsts[near]
                 each = np.repeat(firsts[near], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-                found.append((holders[each], np.repeat(at + block, counts), np.repeat(near, counts)))
+                found.append((holders[each], np.repeat(at + block, counts)))
         return tuple(np.concatenate(x) for x in zip(*found, strict=True))
 
+    @staticmethod
+    def windows(template: Template, places: np.ndarray) -> list[tuple[int, int]]:
+        """Merged overlapping windows [first, end) of a text that hold enough band values at these places, in order."""
+        slot, held = np.unique(places // template.reach, return_counts=True)
+        counts = dict(zip(slot.tolist(), held.tolist(), strict=True))
+        out: list[list[int]] = []
+        for w in sorted({x for s in counts for x in (s - 1, s) if x >= 0} | {0}):
+            if counts.get(w, 0) + counts.get(w + 1, 0) >= template.least_bands:
+                first, end = w * template.reach, (w + 2) * template.reach
+                if out and first <= out[-1][1]:
+                    out[-1][1] = end
+                else:
+                    out.append([first, end])
+        return [(a, b) for a, b in out]
+
     def stretches(self, template: Template, places: list[int], values: list[int]) -> list[list]:
         """[first, end, distinct shingles] of the merged stretches within reach that hold enough of the template."""
         held: Counter[int] = Counter()
@@ -340,19 +385,25 @@ class Scanner:
         rows: list[list[tuple[str, int, int, float]]] = [[] for _ in texts]
         if not self.templates or not any(held):
             return rows
-        owner, place, value = self.hits(np.concatenate(parts))
+        hashes = np.concatenate(parts)
+        owner, place = self.hits(hashes)
         text_of = np.searchsorted(np.array(firsts), place, side="right") - 1
         order = np.lexsort((place, owner, text_of))
-        owner, place, value, text_of = owner[order], place[order], value[order], text_of[order]
+        owner, place, text_of = owner[order], place[order], text_of[order]
         starts = np.nonzero(np.append(True, (np.diff(owner) != 0) | (np.diff(text_of) != 0)))[0] if len(owner) else np.empty(0, dtype=np.int64)
         ends = np.append(starts[1:], len(owner))
-        enough = ends - starts >= self.needs[owner[starts]]
+        enough = ends - starts >= self.least[owner[starts]]
         spans: dict[int, dict[str, list[tuple[int, int, float]]]] = {}
         for a, b in zip(starts[enough].tolist(), ends[enough].tolist(), strict=True):
             template, own = self.templates[owner[a]], int(text_of[a])
-            for first, end, n in self.stretches(template, (place[a:b] - firsts[own]).tolist(), value[a:b].tolist()):
-                if template.fits(held[own][first:end]):
-                    spans.setdefault(own, {}).setdefault(template.name, []).append((first, end, n / len(template.shingles)))
+            for low, high in self.windows(template, place[a:b] - firsts[own]):
+                # The exact shingles of the window, wherever its band values stood.
+                inside = near_dup.rolled(hashes[firsts[own] + low : firsts[own] + min(high + template.width - 1, len(held[own]))], template.width)
+                near = np.minimum(np.searchsorted(template.shingles, inside), len(template.shingles) - 1)
+                at = np.nonzero(template.shingles[near] == inside)[0]
+                for first, end, n in self.stretches(template, (at + low).tolist(), near[at].tolist()):
+                    if template.fits(held[own][first:end]):
+                        spans.setdefault(own, {}).setdefault(template.name, []).append((first, end, n / len(template.shingles)))
         for own, by_name in spans.items():
             for name, found in sorted(by_name.items()):
                 merged: list[list] = []

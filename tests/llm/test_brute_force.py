@@ -439,6 +439,30 @@ def test_licenses_against_sliding_windows(spark):
     assert all(sum(r.doc_id == i for r in found) % 2 == 0 for i in (0, 1, 2))
 
 
+def test_band_settings_guarantee_retrieval():
+    templates = licenses.prepare(licenses.known_licenses())
+    for t in templates:
+        assert t.miss_chance <= 1e-12 and (t.miss_chance == 0 or len(t.shingles) > 100), (t.name, len(t.shingles), len(t.bands), t.miss_chance)
+    assert sum(t.miss_chance == 0 for t in templates) > 0.9 * len(templates)
+
+
+@pytest.mark.parametrize("seed", range(4))
+def test_misaligned_windows_of_just_enough_containment_retrieve(seed):
+    """A fifth of the shingles lacking, at any place of a longer text: the window that holds the match retrieves the template."""
+    rng = random.Random(seed)
+    for size in (15, 60, 200, 900):
+        words = [f"w{rng.randrange(10_000)}" for _ in range(size)]
+        scanner = licenses.Scanner({"t": " ".join(words)})
+        t = scanner.templates[0]
+        for _ in range(20):
+            inner, lacking = list(words), len(t.shingles) - t.need
+            # A word that is changed takes five shingles with it.
+            for at in rng.sample(range(2, size - 2), lacking // 5):
+                inner[at] = "changed"
+            text = [f"x{rng.randrange(99)}" for _ in range(rng.randrange(3 * size))] + inner + [f"y{rng.randrange(99)}" for _ in range(rng.randrange(3 * size))]
+            assert [r[0] for r in scanner.scan([" ".join(text)])[0]] == ["t"]
+
+
 def test_two_licenses_of_equal_wording_are_both_found():
     text = "Permission to use copy and change this work is given to all persons without any charge or other condition at all."
     rows = licenses.Scanner({"b": text, "a": text}).scan([text])[0]
