@@ -15,6 +15,7 @@ from mediarel.operators import matching, pairing, vision
 from mediarel.plans.frame import MediaFrame
 from mediarel.plans.rules import DecomposeAssociation
 from mediarel.schema import media_ref
+from mediarel.sources.stored import barrier
 
 CUTS = (0.2, 0.3, 0.4, 0.5, 0.6)
 
@@ -175,6 +176,26 @@ def xcam_tracks(spark, sf_dir):
     return tracks(spark, sf_dir).select("source_id", "start_ms", "end_ms", "n_det", "first_x", "first_y", "last_x", "last_y")
 
 
+CHUNK_FRAMES = 25
+
+
+def xcam_tracks_chunked(spark, sf_dir):
+    """The same tracks from chunks of a feed: each is tracked alone, pieces that continue each other are linked, and links close into tracks."""
+    refined = staged_plan(spark, sf_dir).stage("refined").select("source_id", F.explode("_d").alias("d"))
+    chunks = refined.groupBy("source_id", F.expr(f"d.frame_no div {CHUNK_FRAMES}").alias("chunk")).agg(F.array_sort(F.collect_list("d")).alias("_d"))
+    pieces = barrier(vision.track_column(chunks, "_d", "_t", vision.MotionTracker(min_length=1)).select("source_id", "chunk", F.explode("_t").alias("t")).select("source_id", "chunk", "t.*").drop("emb"))
+    key = lambda chunk, track: F.concat_ws(":", F.lpad(F.col("source_id").cast("string"), 12, "0"), F.lpad(chunk.cast("string"), 9, "0"), F.lpad(F.col(track).cast("string"), 6, "0"))
+    links = vision.stitch(pieces).select(key(F.col("chunk"), "l_track_id").alias("a"), key(F.col("chunk") + 1, "r_track_id").alias("b"))
+    groups = matching.connected_groups(links)
+    placed = pieces.withColumn("node", key(F.col("chunk"), "track_id")).join(groups, "node", "left").withColumn("group", F.coalesce("group", "node"))
+    ends = lambda c, place: F.min_by(c, "first_frame") if place == "first" else F.max_by(c, "last_frame")
+    whole = placed.groupBy("source_id", "group").agg(
+        F.min("start_ms").alias("start_ms"), F.max("end_ms").alias("end_ms"), F.sum("n_det").cast("int").alias("n_det"),
+        *[ends(f"{place}_{c}", place).alias(f"{place}_{c}") for place in ("first", "last") for c in ("x", "y")],
+    )
+    return whole.where("n_det >= 3").select("source_id", "start_ms", "end_ms", "n_det", "first_x", "first_y", "last_x", "last_y")
+
+
 def udtf_track_boxes(spark, sf_dir):
     """Tracks from flat detections by a table function in SQL: partitioned by source, in order of frame."""
     from mediarel import sql
@@ -343,7 +364,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         xcam_oneshot, xcam_staged, xcam_detections, nms, xcam_tracks, xcam_pairs, xcam_matches, pair_candidates, cosine_pairs, m_assoc_score, m_assoc_prf,
-        m_entity_coverage, m_pair_coverage, xcam_cut_sweep, xcam_multi, embed_lookup, udtf_track_boxes,
+        m_entity_coverage, m_pair_coverage, xcam_cut_sweep, xcam_multi, embed_lookup, udtf_track_boxes, xcam_tracks_chunked,
     )
 }
 QUERIES["media_track"] = xcam_tracks
@@ -383,6 +404,7 @@ ORACLE_SQL = {
     "media_detect": _DETECTIONS,
     "nms": f"WITH {VEHICLES_SQL} SELECT source_id, frame_no, x, y, CAST(0.9 AS DOUBLE) AS conf FROM f",
     "udtf_track_boxes": f"WITH {VEHICLES_SQL} SELECT source_id, start_ms, end_ms, n_det FROM t WHERE n_det >= 3",
+    "xcam_tracks_chunked": _TRACKS,
     "xcam_tracks": _TRACKS,
     "media_track": _TRACKS,
     "xcam_pairs": f"WITH {VEHICLES_SQL} SELECT scene_id, left_source, right_source, left_start_ms, left_y, right_start_ms, right_y, score FROM pairs",

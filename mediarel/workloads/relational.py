@@ -218,6 +218,38 @@ def udaf_union_ms(t):
     return _shipped(t).groupBy("source_id").agg(union_ms("start_ms", "end_ms").alias("union_ms"))
 
 
+@query(_UNION_MS)
+def apply_in_arrow(t):
+    """The same by a grouped function on Arrow tables."""
+
+    def union(group):
+        import numpy as np
+        import pyarrow as pa
+
+        ordered = group.sort_by("start_ms")
+        start, end = (np.asarray(ordered.column(c)) for c in ("start_ms", "end_ms"))
+        reach = np.concatenate((start[:1], np.maximum.accumulate(end)[:-1]))
+        return pa.table({"source_id": ordered.column("source_id").slice(0, 1), "union_ms": pa.array([int(np.maximum(end - np.maximum(start, reach), 0).sum())], pa.int64())})
+
+    return _shipped(t).groupBy("source_id").applyInArrow(union, "source_id bigint, union_ms bigint")
+
+
+@query("SELECT o_custkey AS source_id, count(*) AS n_left, (SELECT count(*) FROM events WHERE user_id = o_custkey) AS n_right FROM orders GROUP BY o_custkey")
+def cogroup_arrow(t):
+    """Predictions and references of one key side by side: a cogrouped function on Arrow tables."""
+
+    def sizes(left, right):
+        import pyarrow as pa
+
+        if not left.num_rows:
+            return pa.table({"source_id": pa.array([], pa.int64()), "n_left": pa.array([], pa.int64()), "n_right": pa.array([], pa.int64())})
+        return pa.table({"source_id": left.column("source_id").slice(0, 1), "n_left": pa.array([left.num_rows], pa.int64()), "n_right": pa.array([right.num_rows], pa.int64())})
+
+    left = t("orders").select(F.col("o_custkey").alias("source_id"), "o_orderkey").groupBy("source_id")
+    right = t("events").select(F.col("user_id").alias("source_id"), "event_id").groupBy("source_id")
+    return left.cogroup(right).applyInArrow(sizes, "source_id bigint, n_left bigint, n_right bigint")
+
+
 @query(_UNION_MS)
 def udtf_union_spans(t):
     """The same by an Arrow table function that streams a partition's batches."""
