@@ -24,9 +24,10 @@ import os
 import re
 import unicodedata
 from array import array
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterator, Sequence
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark import SparkFiles
 from pyspark.sql import DataFrame, SparkSession
@@ -35,13 +36,12 @@ from pyspark.sql import types as T
 
 from mediarel.llm import common
 
-#: Entries of one generation of the caches: fragments and words, chunks, chunks of the library. A full generation becomes
-#: the old one, whose entries come back when they are met again. An entry has at most ``CACHED_CHARS`` characters and
-#: takes about 200 bytes, so the caches of a worker stay below 120 MB.
-CACHE_ENTRIES = 20_000
-CHUNK_ENTRIES = 250_000
-LIBRARY_ENTRIES = 300_000
-CACHED_CHARS = 48
+#: Entries of the caches of a worker at most: fragments and words, chunks, chunks of the library. An entry has at most ``CACHED_CHARS``
+#: characters and takes about 170 bytes, so the caches stay below 100 MB here and 200 MB with the library.
+CACHE_ENTRIES = 40_000
+CHUNK_ENTRIES = 450_000
+LIBRARY_ENTRIES = 1_200_000
+CACHED_CHARS = 32
 #: Symbols up to which a fragment is merged by looking at every pair again; a longer one uses a heap.
 SHORT = 24
 #: Texts that are Python strings at a time.
@@ -64,23 +64,33 @@ def vocabulary_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
-class Generations:
-    """A bounded cache of two generations."""
+class BoundedCache(dict):
+    """Keeps what comes first, up to a bound; starts anew once it has turned away four times that many entries.
 
-    def __init__(self, entries: int):
-        self.entries = entries
-        self.new: dict = {}
-        self.old: dict = {}
+    Words repeat by a steep law, so the first ones are the frequent ones; a text of another kind turns so many away that the cache adapts.
+    """
 
-    def get(self, key):
-        if (found := self.new.get(key)) is None and (found := self.old.get(key)) is not None:
-            self.put(key, found)
-        return found
+    def __init__(self, entries: int):
+        super().__init__()
+        self.entries, self.refused = entries, 0
 
     def put(self, key, value) -> None:
-        if len(self.new) >= self.entries:
-            self.old, self.new = self.new, {}
-        self.new[key] = value
+        if len(self) >= self.entries:
+            self.refused += 1
+            if self.refused <= 4 * self.entries:
+                return
+            self.clear()
+            self.refused = 0
+        self[key] = value
+
+    def put_all(self, found: dict) -> None:
+        if len(self) >= self.entries:
+            self.refused += len(found)
+            if self.refused <= 4 * self.entries:
+                return
+            self.clear()
+            self.refused = 0
+        self.update((k, v) for k, v in found.items() if len(k) <= CACHED_CHARS)
 
 
 class ForcedBoundaryBpe:
@@ -95,6 +105,8 @@ class ForcedBoundaryBpe:
         pairs = [tuple(m) if not isinstance(m, str) else tuple(m.split(" ")) for m in model["merges"]]
         self.ranks = {pair: k for k, pair in enumerate(pairs)}
         self.tokens = {i: t for t, i in self.vocab.items()} | {t["id"]: t["content"] for t in spec["added_tokens"]}
+        self.word_ends = np.zeros(max(self.tokens) + 1, dtype=bool)
+        self.word_ends[[i for i, t in self.tokens.items() if self.suffix and t.endswith(self.suffix)]] = True
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.special_pattern = re.compile("|".join(map(re.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
         self.symbols = byte_symbols()
@@ -108,12 +120,13 @@ class ForcedBoundaryBpe:
         # Latin letters, digits and marks whose class no Unicode version moves; others go to the library.
         self.plain = re.compile(r"[\x00-\x1b\x20-ɏ‐-‧€]*\Z")
         self.split = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_²³¹¼½¾]+|[\d²³¹¼½¾]|(?:[^\w\s]|_)+")
+        self.marked = re.compile(r"([^\W\d_²³¹¼½¾]+)((?:[^\w\s']|_)+)\Z")
         self._library = None
 
     def forget(self) -> None:
         """Empty the caches."""
-        self.fragments, self.words = Generations(CACHE_ENTRIES), Generations(CACHE_ENTRIES)
-        self.chunks, self.library_chunks = Generations(CHUNK_ENTRIES), Generations(LIBRARY_ENTRIES)
+        self.fragments, self.words = BoundedCache(CACHE_ENTRIES), BoundedCache(CACHE_ENTRIES)
+        self.chunks, self.library_chunks = BoundedCache(CHUNK_ENTRIES), BoundedCache(LIBRARY_ENTRIES)
 
     def library(self):
         if self._library is None:
@@ -197,8 +210,6 @@ class ForcedBoundaryBpe:
         return [text[a:b] for _, (a, b) in found]
 
     def _chunk(self, chunk: str, plain: bool) -> bytes:
-        if plain and (found := self.chunks.get(chunk)) is not None:
-            return found
         # A chunk of plain letters is one pre-token.
         made = self.word_ids(chunk) if plain and chunk.isalpha() else b"".join(map(self.word_ids, self.pretokens(chunk, plain)))
         if plain and len(chunk) <= CACHED_CHARS:
@@ -217,7 +228,7 @@ class ForcedBoundaryBpe:
         if not plain:
             return self._chunk(text, False)
         chunks = text.split()
-        found = list(map(self.chunks.new.get, chunks))
+        found = list(map(self.chunks.get, chunks))
         if None in found:
             found = [self._chunk(c, True) if ids is None else ids for c, ids in zip(chunks, found, strict=True)]
         return b"".join(found)
@@ -234,29 +245,44 @@ class ForcedBoundaryBpe:
             at = m.end()
         return b"".join([*ids, self._segment(text[at:])])
 
-    def library_ids(self, text: str) -> bytes:
-        """Ids by the library: it encodes every chunk between white space that the cache lacks, all of a text in one call."""
-        if not text:
-            return b""
-        if not self.plain.match(text) or "İ" in text or self.special_pattern is not None and self.special_pattern.search(text):
-            return array("I", self.library().encode(text, add_special_tokens=False).ids).tobytes()
-        if not text.isascii():
-            text = unicodedata.normalize("NFC", text)
-        chunks = text.lower().split()
-        known = self.library_chunks
-        found = list(map(known.new.get, chunks))
-        if None not in found:
-            return b"".join(found)
-        missing = dict.fromkeys([c for c, ids in zip(chunks, found, strict=True) if ids is None])
-        made = {c: ids for c in missing if (ids := known.old.get(c)) is not None}
-        unknown = [c for c in missing if c not in made]
-        if unknown:
-            made.update((c, array("I", e.ids).tobytes()) for c, e in zip(unknown, self.library().encode_batch_fast(unknown, add_special_tokens=False), strict=True))
-        whole = b"".join([made[c] if ids is None else ids for c, ids in zip(chunks, found, strict=True)])
-        for c, ids in made.items():
-            if len(c) <= CACHED_CHARS:
-                known.put(c, ids)
-        return whole
+    def library_ids(self, text: str | None) -> bytes:
+        """Ids of one text by the library."""
+        return self.library_batch([text])[0]
+
+    def library_batch(self, texts: Sequence[str | None]) -> list[bytes]:
+        """Ids of texts by the library: it encodes the chunks between white space that the cache lacks, all of them in one call."""
+        known, out, split = self.library_chunks, [b""] * len(texts), {}
+        for k, text in enumerate(texts):
+            if not text:
+                continue
+            if not self.plain.match(text) or "İ" in text or "<|" in text and self.special_pattern is not None and self.special_pattern.search(text):
+                out[k] = array("I", self.library().encode(text, add_special_tokens=False).ids).tobytes()
+                continue
+            chunks = (text if text.isascii() else unicodedata.normalize("NFC", text)).lower().split()
+            split[k] = chunks, list(map(known.get, chunks))
+        missing = {c for chunks, found in split.values() if None in found for c, ids in zip(chunks, found, strict=True) if ids is None}
+        # Letters and the marks after them are two pre-tokens, each of which may be known.
+        parted = {c: m.groups() for c in missing if (m := self.marked.match(c))}
+        known.put_all(self._by_library([t for t in {t for _, t in parted.values()} if t not in known]))
+        made = {c: head + tail for c, (h, t) in parted.items() if (head := known.get(h)) is not None and (tail := known.get(t)) is not None}
+        made |= self._by_library([c for c in missing if c not in made])
+        for k, (chunks, found) in split.items():
+            out[k] = b"".join([made[c] if ids is None else ids for c, ids in zip(chunks, found, strict=True)] if None in found else found)
+        known.put_all(made)
+        return out
+
+    def _by_library(self, chunks: list[str]) -> dict[str, bytes]:
+        """Ids of distinct chunks from one text of them all: the last token of every pre-token has the word-end mark."""
+        if not chunks:
+            return {}
+        ids = np.array(self.library().encode_batch_fast([" ".join(chunks)], add_special_tokens=False)[0].ids, dtype="<u4")
+        ends = np.flatnonzero(self.word_ends[ids]) + 1
+        upto = np.cumsum([1 if c.isalpha() else len(self.split.findall(c)) for c in chunks])
+        if upto[-1] != len(ends):
+            each = self.library().encode_batch_fast(chunks, add_special_tokens=False)
+            return {c: array("I", e.ids).tobytes() for c, e in zip(chunks, each, strict=True)}
+        raw, at = ids.tobytes(), (4 * np.concatenate(([0], ends))[np.concatenate(([0], upto))]).tolist()
+        return {c: raw[a:b] for c, a, b in zip(chunks, at, at[1:], strict=False)}
 
     def decode(self, ids: bytes) -> str:
         """Text of ids, special tokens included: their tokens joined by spaces."""

@@ -163,7 +163,7 @@ def crowd(n_docs: int) -> int:
 
 
 def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
-    """Values in many documents, most frequent first up to ``HOT_MOST``; only the order of values depends on it."""
+    """Values in many documents, the most frequent ones up to ``HOT_MOST``; only the order of values depends on it."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common.claim("words")
@@ -193,8 +193,21 @@ def frequent_values(docs: DataFrame, width: int, n_docs: int) -> np.ndarray:
 
     least = crowd(n_docs)
     found = docs.select("text").mapInArrow(count, "v long, times long").groupBy("v").agg(F.sum("times").alias("times"))
-    rows = found.where(F.col("times") > least).orderBy(F.desc("times"), "v").limit(HOT_MOST).select("v").toPandas()
-    return np.sort(rows["v"].to_numpy(dtype=np.int64))
+    return _most_frequent(found.where(F.col("times") > least))
+
+
+def _most_frequent(counts: DataFrame) -> np.ndarray:
+    """Sorted values of (v, times): the most frequent ones up to ``HOT_MOST``, cut between two steps of frequency, of which a few hundred are counted."""
+    counts = common.materialise(counts.withColumn("step", F.floor(8 * F.log2("times")).cast("int")), "dup-frequent")
+    room, least = HOT_MOST, 0
+    for r in counts.groupBy("step").count().orderBy(F.desc("step")).collect():
+        room -= r["count"]
+        if room < 0:
+            least = r["step"] + 1
+            break
+    values = counts.where(F.col("step") >= least).select("v").toPandas()["v"].to_numpy(dtype=np.int64)
+    common.discard(counts)
+    return np.sort(values)
 
 
 def sketches(docs: DataFrame, width: int, per_cent: int, hot: np.ndarray) -> DataFrame:
@@ -408,6 +421,11 @@ def _classes(base: DataFrame, n_docs: int) -> tuple[DataFrame, DataFrame | None,
 
 def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs`` (doc_id, text)."""
+    with common.small_batches(docs.sparkSession):
+        return _linked(docs, width, per_cent)
+
+
+def _linked(docs: DataFrame, width: int, per_cent: int) -> DataFrame:
     docs = docs.select("doc_id", "text")
     n_docs = docs.count()
     hot = frequent_values(docs, width, n_docs)
@@ -415,8 +433,7 @@ def link(docs: DataFrame, width: int = 5, per_cent: int = 80) -> DataFrame:
     copies, bridges, reps = _classes(base, n_docs)
     # Counting in blocks misses values that are thinly spread; exact lists show them, and they move to the end too.
     cool = reps.select("doc_id", "n", "cool", F.posexplode("prefix").alias("place", "v")).where("place < cool").select("doc_id", "v")
-    listed = cool.groupBy("v").agg(F.count("*").alias("held")).where(F.col("held") > crowd(n_docs))
-    values = listed.orderBy(F.desc("held"), "v").limit(HOT_MOST).select("v").toPandas()["v"].to_numpy(dtype=np.int64)
+    values = _most_frequent(cool.groupBy("v").agg(F.count("*").alias("times")).where(F.col("times") > crowd(n_docs)))
     if len(values):
         # Prefixes are cut again where the texts are read: no text is shuffled for it.
         common.discard(base, copies)

@@ -129,15 +129,17 @@ def write(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int
         coder = bpe.encoder(name)
         writer = None
         for rows in common.slices(batches, bpe.ROWS):
-            for part, doc, text in zip(*(c.to_pylist() for c in rows.columns), strict=True):
+            parts, docs_, texts = (c.to_pylist() for c in rows.columns)
+            for part, doc, ids in zip(parts, docs_, coder.library_batch(texts), strict=True):
                 writer = writer or _Writer(part, bits, chunk_ids, block_ids)
-                if writer.add(doc, coder.library_ids(text or "") + tail):
+                if writer.add(doc, ids + tail):
                     yield writer.batch()
         if writer and writer.docs:
             yield writer.batch()
 
     keyed = ordered.select(F.spark_partition_id().alias("part"), F.col("doc_id").cast("long").alias("doc_id"), "text")
-    keyed.mapInArrow(encode, CHUNK_SCHEMA).write.parquet(f"{path}/chunks")
+    with common.small_batches(spark):
+        keyed.mapInArrow(encode, CHUNK_SCHEMA).write.parquet(f"{path}/chunks")
     spark.read.schema(CHUNK_SCHEMA).parquet(f"{path}/chunks").select("part", "chunk", "first_doc", "n_docs", "start_in_part", "n_ids", "crc").coalesce(1).write.parquet(f"{path}/index")
 
 

@@ -100,6 +100,24 @@ def test_word_hashes_do_not_depend_on_place_or_blocks(monkeypatch):
     assert not len(near_dup.word_hashes(b"")) and not len(near_dup.word_hashes(b" \n"))
 
 
+def test_frequent_values_beyond_the_bound_stay_in_lists(spark, monkeypatch):
+    counts = spark.createDataFrame([(v, 10 + v) for v in range(200)], "v long, times long")
+    assert near_dup._most_frequent(counts).tolist() == list(range(200))
+    monkeypatch.setattr(near_dup, "HOT_MOST", 50)
+    kept = near_dup._most_frequent(counts).tolist()
+    assert 0 < len(kept) <= 50 and kept == list(range(200 - len(kept), 200))
+    # Links do not depend on it.
+    monkeypatch.setattr(near_dup, "HOT_LEAST", 3)
+    monkeypatch.setattr(near_dup, "HOT_MOST", 2)
+    rng = random.Random(9)
+    base = [f"w{rng.randrange(500)}" for _ in range(80)]
+    rows = [(i, " ".join(w if rng.random() > 0.02 else f"x{rng.randrange(99)}" for w in base)) for i in range(25)]
+    from test_operators import brute_components
+
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dup.link(spark.createDataFrame(rows, "doc_id long, text string"), 3, 85).collect()}
+    assert got == brute_components(rows, 3, 85)
+
+
 def test_large_classes_and_families(spark, monkeypatch):
     """A class of copies and a family with a hub, both far above the bound for a key that is joined by shuffle."""
     monkeypatch.setattr(near_dup, "HOT_LEAST", 5)
@@ -194,7 +212,7 @@ def test_digests_of_the_registered_path(spark, coder, clashing, tmp_path):
     assert {(r.doc_id, r.n_tokens) for r in coded.collect()} == {(i, len(ids)) for i, ids, _ in library_rows(coder, clashing)}
 
 
-def test_small_generations_change_no_ids(monkeypatch, coder):
+def test_small_caches_change_no_ids(monkeypatch, coder):
     with open(bpe.vocabulary_path(), encoding="utf-8") as f:
         monkeypatch.setattr(bpe, "CHUNK_ENTRIES", 3)
         monkeypatch.setattr(bpe, "CACHE_ENTRIES", 2)
