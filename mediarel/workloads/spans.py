@@ -70,6 +70,8 @@ def task(spark: SparkSession, sf_dir: str) -> SemanticFn:
         if "task_id" in df.columns:
             # A clip and its task: exact search in the text of the window's segments, the only footage that is read.
             own = ["source_id", "task_id", "start_ms", "end_ms"]
+            # The windows are read twice below, so their candidates are found once.
+            df = barrier(df)
             clips = df.select("source_id", "task_id", F.col(f"{on}.clip_start_ms").alias("start_ms"), F.col(f"{on}.clip_end_ms").alias("end_ms"))
             cut = media.view_segments(clips, footage_segments(spark, sf_dir), ["source_id", "task_id"], into="_cut").join(asked, "task_id")
             start = ((F.expr("locate(passage, _cut)") - 1) * media.CHAR_MS).cast("bigint")
