@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from mediarel import measures
 from mediarel.functions import geometry
-from mediarel.functions.semantic import SemanticFn, cost_usd
+from mediarel.functions.semantic import SemanticFn, call_model, cost_usd
 from mediarel.operators import intervals, matching, reconcile
 from mediarel.plans import cost
 from mediarel.plans.frame import MediaFrame
@@ -210,6 +210,23 @@ def join_interval(spark, sf_dir):
     return intervals.overlap_join(left, right, ["source_id"], 20_000).select("source_id", "l", "r")
 
 
+def join_interval_dense(spark, sf_dir):
+    """Overlapping stays of a user around purchases and clicks, with their temporal IoU: many intervals overlap many."""
+    seen = points.footage(spark, sf_dir)
+    long = lambda c: (F.col("ts_ms") + c).alias("e")
+    left = seen.where("kind = 'purchase'").select("source_id", F.col("event_id").alias("l"), F.col("ts_ms").alias("start_ms"), long(400_000).alias("end_ms"))
+    right = seen.where("kind = 'click'").select("source_id", F.col("event_id").alias("r"), F.col("ts_ms").alias("r_start_ms"), long(250_000).alias("r_end_ms"))
+    both = intervals.overlap_join(left, right, ["source_id"], 300_000)
+    return both.select("source_id", "l", "r", F.round(geometry.tiou(F.col("start_ms"), F.col("end_ms"), F.col("r_start_ms"), F.col("r_end_ms")), 6).alias("tiou"))
+
+
+def semantic_call(spark, sf_dir):
+    """A model asked once for each distinct turn, its answers stored under their keys: a retry or another plan pays nothing again."""
+    fn = SemanticFn("asks", "Does this turn ask a question?", "text", "boolean", lambda df, on, into: df)
+    turns = spark.read.parquet(f"{sf_dir}/conversations.parquet").select("conv_id", "turn", "text")
+    return call_model(turns, fn, "text", "asks", lambda: lambda texts: ["?" in t for t in texts]).select("conv_id", "turn", "asks", "tokens")
+
+
 def join_point_in_interval(spark, sf_dir):
     return intervals.point_join(points.reference(spark, sf_dir), points.point_windows(spark, sf_dir), ["source_id"], 30_000).select("source_id", "event_id", "window_no")
 
@@ -383,7 +400,7 @@ QUERIES = {
         alg_join_scored, alg_join_plain, resolve_overlap, resolve_overlap_two_level, resolve_one_to_one, resolve_one_to_one_rounds, resolve_keep_best, resolve_components,
         window_pad, reconcile_vote, m_tiou, fn_box_iou, join_interval, join_point_in_interval, join_band, sample_fps, o1_classify_docs, o1_classify_prf, o1_extract_pages,
         o1_extract_agreement, o1_summarize_conv, o1_reuse_materialized, plan_cost_table, xcam_tables,
-        xcam_tables_settled, reconcile_any, reconcile_concat, resolve_conflicts, resolve_conflicts_rounds, ablation_stages, plan_times, plan_choice,
+        xcam_tables_settled, reconcile_any, reconcile_concat, resolve_conflicts, resolve_conflicts_rounds, ablation_stages, plan_times, plan_choice, join_interval_dense, semantic_call,
     )
 }
 
@@ -431,6 +448,10 @@ SELECT source_id, label FROM (SELECT *, row_number() OVER (PARTITION BY source_i
     "m_tiou": f"WITH {EXTENT_SQL} SELECT l, r, match_score AS tiou FROM sc",
     "fn_box_iou": """WITH b AS (SELECT p_partkey, CAST(p_size AS DOUBLE) AS s, greatest(least(s + 20, 15 + s) - greatest(s, 15), 0) * greatest(least(s, 35) - 5, 0) AS i FROM part)
 SELECT p_partkey, round(CASE WHEN 20 * s + 30 * s - i > 0 THEN i / (20 * s + 30 * s - i) ELSE 0 END, 6) AS iou FROM b""",
+    "join_interval_dense": f"""WITH {PLANS_SQL},
+o AS (SELECT l.source_id, l.event_id AS l, r.event_id AS r, least(l.ts_ms + 400000, r.ts_ms + 250000) - greatest(l.ts_ms, r.ts_ms) AS ms FROM footage l JOIN footage r ON l.source_id = r.source_id AND l.kind = 'purchase' AND r.kind = 'click' AND l.ts_ms < r.ts_ms + 250000 AND r.ts_ms < l.ts_ms + 400000)
+SELECT source_id, l, r, round(ms / (650000 - ms), 6) AS tiou FROM o""",
+    "semantic_call": "SELECT conv_id, turn, contains(text, '?') AS asks, CAST(length(text) // 4 + 1 AS BIGINT) AS tokens FROM conversations",
     "join_interval": f"WITH {EXTENT_SQL} SELECT source_id, l, r FROM sc",
     "join_point_in_interval": f"WITH {PLANS_SQL} SELECT r.source_id, event_id, window_no FROM ref r JOIN windows w ON r.source_id = w.source_id AND ts_ms >= start_ms AND ts_ms < end_ms",
     "join_band": f"WITH {PLANS_SQL} SELECT r.source_id, r.event_id, u.event_id AS said_id FROM ref r JOIN utter u ON r.source_id = u.source_id AND abs(r.ts_ms - u.start_ms) <= 30000",
