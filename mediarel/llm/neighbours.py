@@ -19,7 +19,6 @@ than k give them all; an empty table gives an empty result; other columns are le
 from __future__ import annotations
 
 import heapq
-from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
