@@ -198,16 +198,17 @@ def predict(docs: DataFrame, model: BitmaskFilter, orders: tuple[int, ...] = NGR
     narrow, rates = model.compact(), model.false_rates()
     sent = docs.sparkSession.sparkContext.broadcast((narrow.languages, narrow.slices, narrow.probes, rates))
 
-    def classify(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        common.claim("language")
-        languages, slices, probes, rates = sent.value
-        local = BitmaskFilter(languages, slices, probes)
-        for batch in batches:
-            told = [local.classify(t, rates, orders) for t in common.each_text_of(batch)]
-            yield pa.StructArray.from_arrays([pa.array([x[0] for x in told], pa.string()), pa.array([x[1] for x in told], pa.float64())], names=["lang_pred", "score"])
+    # One text costs far more than its transport: plain rows in small batches keep less of them in memory than Arrow's.
+    held: list[BitmaskFilter] = []
 
-    classify = F.arrow_udf(classify, T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
+    def told(value: str | None) -> tuple[str, float]:
+        languages, slices, probes, rates = sent.value
+        if not held:
+            common.claim("language")
+            held.append(BitmaskFilter(languages, slices, probes))
+        return held[0].classify(value, rates, orders)
 
+    classify = F.udf(told, T.StructType([T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]), useArrow=False)
     return kept.withColumn("_lang", classify(F.col(text))).select(*kept.columns, "_lang.lang_pred", "_lang.score")
 
 
