@@ -166,6 +166,18 @@ def test_narration_never_reads_footage(spark, sf_dir):
     assert "MapInPandas" not in plan._jdf.queryExecution().executedPlan().toString()
 
 
+def test_plans_hold_no_nested_loops(spark, sf_dir):
+    """Interval, point, band, word and pair joins are equi joins; scans push filters down and read only what is used."""
+    from mediarel.workloads import algebra, crosscam
+
+    physical = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    for query in (points.point_direct, points.point_narrow, spans.span_candidates, spans.span_windows, spans.span_narrow, crosscam.xcam_pairs, crosscam.pair_candidates, algebra.join_interval_dense, algebra.join_band, algebra.resolve_conflicts):
+        told = physical(query(spark, sf_dir))
+        assert "CartesianProduct" not in told and "BroadcastNestedLoopJoin" not in told, query.__name__
+    told = physical(points.reference(spark, sf_dir))
+    assert "EqualTo(event_type,purchase)" in told and "GreaterThanOrEqual(value" in told and "props" not in told
+
+
 def test_whole_windows_equal_the_direct_plan(spark, sf_dir):
     """A clip that is the whole source gives what the direct plan gives."""
     everything = SemanticFn("all", "everything", "t", "array<struct<start_ms:bigint,end_ms:bigint,score:double>>", lambda df, on, into: df.withColumn(into, F.array(F.struct(F.lit(0).cast("bigint").alias("start_ms"), F.col("duration_ms").alias("end_ms"), F.lit(1.0).alias("score")))))
