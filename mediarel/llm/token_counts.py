@@ -31,7 +31,7 @@ MARK = "▁"
 #: Rank shift of the score: flattens the head as word frequencies do.
 SHIFT = 2.7
 #: Distinct pre-tokens whose stored counts a worker keeps, and how many share one trie.
-KEPT_COUNTS = 250_000
+KEPT_COUNTS = 500_000
 TRIE_WORDS = 40_000
 #: Depth of the trie, and bytes of a word whose count is kept.
 SHARED = 64
