@@ -484,3 +484,21 @@ def test_equal_extremes_name_the_first_event(spark, tmp_path, parts):
     spark.createDataFrame(rows, "event_id bigint, event_type string, value double").repartition(parts).sortWithinPartitions(F.desc("event_id")).write.parquet(f"{tmp_path}/events.parquet")
     told = {r.event_type: (r.high, r.top_id, r.low_id) for r in relational.QUERIES["agg_conditional"](spark, str(tmp_path)).collect()}
     assert told == {"a": (0, 0, 1), "b": (0, None, None), "c": (0, 42, 42)}
+
+
+def test_a_stretch_shows_a_passage_in_each_of_its_documents(spark, tmp_path):
+    passage, filler = "violet lanterns drifted slowly across harbour", "a b c " * 400
+    texts = [f"one\n{passage}\nend", f"two\n{passage}\nend", f"{passage}\n{filler}\n{passage}"]
+    rows = [(i, text, "en", "web", len(text)) for i, text in enumerate(texts)] + [(3, passage, "en", "alone", len(passage)), (4, None, "en", "web", 0)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(7, passage), (8, passage)], "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    told = {r.plan: r for r in spans.two_in_one_plans(spark, str(tmp_path)).collect()}
+    assert (told["narrow"].n_pred, told["narrow"].n_ref, told["narrow"].tp, told["narrow"].f1) == (3, 3, 3, 1.0)
+    assert (told["narration"].n_pred, told["narration"].n_over_wide) == (2, 1)
+    # A later place in a stretch of its own is no event, nor is a place that a stretch cuts.
+    placed = docs.where("doc_id = 2").selectExpr("doc_id AS source_id", "source", "text", "10L AS at")
+    asked = spans.tasks(spark, str(tmp_path))
+    events = lambda a, b: [(r.start_ms, r.end_ms) for r in spans.watched_in(spark.createDataFrame([("web", a, b)], "source string, start_ms bigint, end_ms bigint"), placed, asked).collect()]
+    assert events(0, 10_000) == [(500, 500 + 50 * len(passage))]
+    assert events(550, 10_000) == events(20_000, 1_000_000) == []
